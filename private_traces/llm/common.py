@@ -62,6 +62,14 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
 
 
+def drawn_labels(labels: DataFrame, column: str, most: int) -> DataFrame:
+    """``doc_id`` and ``column`` (int; the larger of repeated rows) of at most about ``most`` labelled rows, drawn by a
+    hash of the id. Rows with a null id or label and held-out rows are left out."""
+    given = labels.where(F.col(column).isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max(column).cast("int").alias(column))
+    n = given.count()
+    return given.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < (1 << 20) * min(1.0, most / max(1, n)))
+
+
 def widened(df: DataFrame, ddl: str) -> T.StructType:
     """The schema of ``df`` with the columns of ``ddl`` after it."""
     return T.StructType([*df.schema.fields, *T.StructType.fromDDL(ddl).fields])

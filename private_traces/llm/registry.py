@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, language, secrets, token_files
+from . import bpe, language, quality, secrets, token_files, toxicity
 from .common import table
 
 
@@ -12,6 +12,15 @@ def _vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op2_quality_rules(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return quality.judge(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
+
+
+def op3_toxicity(spark, sf_dir):
+    return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op4_language_id(spark, sf_dir):
     docs = table(spark, sf_dir, "documents")
     return language.identify(docs, language.learnable(docs))
@@ -32,6 +41,8 @@ def op10_byte_bpe(spark, sf_dir):
 
 
 QUERIES = {
+    "op2_quality_rules": op2_quality_rules,
+    "op3_toxicity": op3_toxicity,
     "op4_language_id": op4_language_id,
     "op5_token_files": op5_token_files,
     "op8_secret_scan": op8_secret_scan,
