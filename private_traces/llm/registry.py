@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from . import bpe, language, quality, secrets, token_files, toxicity
+from pyspark.sql import functions as F
+
+from . import bpe, language, lines, quality, secrets, token_files, toxicity
 from .common import table
 
 
@@ -12,6 +14,12 @@ def _vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_line_dedup(spark, sf_dir):
+    """Per document: its non-blank lines, how many are removed, and a digest of what stays."""
+    done = lines.dedup(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return done.select("doc_id", F.col("n_lines").cast("long").alias("n_lines"), F.col("n_removed").cast("long").alias("n_removed"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
 def op2_quality_rules(spark, sf_dir):
     docs = table(spark, sf_dir, "documents")
     return quality.judge(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
@@ -41,6 +49,7 @@ def op10_byte_bpe(spark, sf_dir):
 
 
 QUERIES = {
+    "op1_line_dedup": op1_line_dedup,
     "op2_quality_rules": op2_quality_rules,
     "op3_toxicity": op3_toxicity,
     "op4_language_id": op4_language_id,
@@ -48,4 +57,25 @@ QUERIES = {
     "op8_secret_scan": op8_secret_scan,
     "op10_byte_bpe": op10_byte_bpe,
 }
-ORACLES: dict[str, str] = {}
+#: Lines one edit apart share the first or the last half; places compared as (doc_id, line number).
+LINE_DEDUP_SQL = r"""
+WITH raw AS (SELECT doc_id, text, unnest(string_split(text, chr(10))) AS raw, generate_subscripts(string_split(text, chr(10)), 1) AS n FROM documents WHERE text IS NOT NULL),
+lines AS (SELECT doc_id, n, raw, trim(raw, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS line FROM raw),
+firsts AS (SELECT line, min((doc_id, n)) AS at, length(line) AS len FROM lines WHERE line <> '' GROUP BY line),
+pairs AS (
+  SELECT a.line AS longer, b.line AS shorter, a.at AS long_at, b.at AS short_at, a.len AS len
+  FROM firsts a JOIN firsts b ON b.len BETWEEN a.len - 1 AND a.len AND a.len >= 16 AND b.len >= 16 AND a.line <> b.line
+    AND (substr(a.line, 1, b.len // 2) = substr(b.line, 1, b.len // 2) OR substr(a.line, a.len - (b.len - b.len // 2) + 1) = substr(b.line, b.len // 2 + 1))
+),
+near AS (
+  SELECT longer, shorter, long_at, short_at FROM pairs
+  WHERE len(list_filter(range(0, len), lambda i: substr(longer, 1, i) = substr(shorter, 1, i)
+    AND (substr(longer, i + 2) = substr(shorter, i + 2) AND length(longer) = length(shorter) OR substr(longer, i + 2) = substr(shorter, i + 1) AND length(longer) > length(shorter)))) > 0
+),
+gone AS (SELECT longer AS line FROM near WHERE short_at < long_at UNION SELECT shorter FROM near WHERE long_at < short_at),
+judged AS (SELECT l.doc_id, l.n, l.raw, l.line = '' AS blank, f.at = (l.doc_id, l.n) AND g.line IS NULL AS stays FROM lines l LEFT JOIN firsts f ON f.line = l.line LEFT JOIN gone g ON g.line = l.line),
+done AS (SELECT doc_id, count(*) FILTER (WHERE NOT blank) AS n_lines, count(*) FILTER (WHERE NOT blank AND NOT stays) AS n_removed, coalesce(string_agg(raw, chr(10) ORDER BY n) FILTER (WHERE blank OR stays), '') AS kept FROM judged GROUP BY doc_id)
+SELECT d.doc_id, coalesce(n_lines, 0) AS n_lines, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM documents d LEFT JOIN done USING (doc_id)
+"""
+
+ORACLES: dict[str, str] = {"op1_line_dedup": LINE_DEDUP_SQL}
