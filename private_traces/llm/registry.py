@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, language, lines, quality, secrets, token_files, toxicity
+from . import bpe, language, lines, minhash, quality, secrets, token_files, toxicity
 from .common import table
 
 
@@ -38,6 +38,11 @@ def op5_token_files(spark, sf_dir):
     return token_files.round_trip(table(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"))
 
 
+def op7_minhash(spark, sf_dir):
+    found = minhash.classes(table(spark, sf_dir, "documents"), width=2, percent=80)
+    return found.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+
+
 def op8_secret_scan(spark, sf_dir):
     return secrets.digests(table(spark, sf_dir, "documents"))
 
@@ -54,6 +59,7 @@ QUERIES = {
     "op3_toxicity": op3_toxicity,
     "op4_language_id": op4_language_id,
     "op5_token_files": op5_token_files,
+    "op7_minhash": op7_minhash,
     "op8_secret_scan": op8_secret_scan,
     "op10_byte_bpe": op10_byte_bpe,
 }
@@ -78,4 +84,19 @@ done AS (SELECT doc_id, count(*) FILTER (WHERE NOT blank) AS n_lines, count(*) F
 SELECT d.doc_id, coalesce(n_lines, 0) AS n_lines, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM documents d LEFT JOIN done USING (doc_id)
 """
 
-ORACLES: dict[str, str] = {"op1_line_dedup": LINE_DEDUP_SQL}
+#: All pairs of distinct sets that share a shingle, then the classes by recursion.
+NEAR_DUPLICATE_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+sets AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 2 THEN [w[1]] ELSE list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) END AS s FROM w
+),
+flat AS (SELECT doc_id, len(s) AS n, unnest(s) AS x FROM sets),
+shared AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k, any_value(a.n) AS na, any_value(b.n) AS nb FROM flat a JOIN flat b ON a.x = b.x AND a.doc_id < b.doc_id AND least(a.n, b.n) >= 0.8 * greatest(a.n, b.n) - 1e-9 GROUP BY 1, 2),
+links AS (SELECT a, b FROM shared WHERE 100 * k >= 80 * (na + nb - k)),
+twoway AS (SELECT a, b FROM links UNION SELECT b, a FROM links),
+reach AS (SELECT doc_id AS a, doc_id AS b FROM sets UNION SELECT r.a, e.b FROM reach r JOIN twoway e ON e.a = r.b),
+least_id AS (SELECT a AS doc_id, min(b) AS component_id FROM reach GROUP BY a)
+SELECT doc_id, len(s)::BIGINT AS n_shingles, component_id, doc_id = component_id AS kept FROM sets JOIN least_id USING (doc_id)
+"""
+
+ORACLES: dict[str, str] = {"op1_line_dedup": LINE_DEDUP_SQL, "op7_minhash": NEAR_DUPLICATE_SQL}
