@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, language, lines, minhash, quality, secrets, token_files, toxicity
+from . import bpe, language, lines, minhash, quality, secrets, suffixes, token_files, toxicity
 from .common import table
 
 
@@ -38,6 +38,10 @@ def op5_token_files(spark, sf_dir):
     return token_files.round_trip(table(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"))
 
 
+def op6_suffix_dedup(spark, sf_dir):
+    return suffixes.digests(table(spark, sf_dir, "documents"))
+
+
 def op7_minhash(spark, sf_dir):
     found = minhash.classes(table(spark, sf_dir, "documents"), width=2, percent=80)
     return found.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
@@ -59,6 +63,7 @@ QUERIES = {
     "op3_toxicity": op3_toxicity,
     "op4_language_id": op4_language_id,
     "op5_token_files": op5_token_files,
+    "op6_suffix_dedup": op6_suffix_dedup,
     "op7_minhash": op7_minhash,
     "op8_secret_scan": op8_secret_scan,
     "op10_byte_bpe": op10_byte_bpe,
