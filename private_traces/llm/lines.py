@@ -7,7 +7,7 @@ for lines of ``least_chars`` characters or more, differs by one character insert
 Steps. (1) Exact copies: one row per distinct line with its first place; partial sums keep a line that fills the
 corpus to one row per task. (2) Which lines can have a partner at all: of two lines one edit apart, the first or the
 last half of the shorter one stands unchanged at the same end of the other; lines sharing no such half leave here,
-without loss. (3) Every variant of the rest with at most one character deleted becomes a hashed key. Lines that
+without loss, and of the rest those that share no whole line but one of ``FINE`` segments. (3) Every variant of the rest with at most one character deleted becomes a hashed key. Lines that
 share a key at the same place are one substitution apart, and a line that equals another's variant is one deletion
 away; the earliest line of each key is joined to its later ones, never all pairs. (4) Each such pair is confirmed by
 edit distance. (5) The first places that remain are regrouped by document and the text is put together from them.
@@ -26,6 +26,7 @@ from .common import let, written
 
 BLANK = "\x20\t\n\x0b\x0c\r"
 SMALL = 500_000
+FINE = 32
 
 
 def _trimmed(line: Column) -> Column:
@@ -43,35 +44,37 @@ def lines_of(docs: DataFrame) -> DataFrame:
     return cut.select("doc_id", "row", "n", _trimmed(F.col("raw")).alias("line")).where("line != ''")
 
 
-def _halves(line: Column, n: Column) -> list[Column]:
-    """Keys of the halves this line shares with any line one edit away: as the shorter or equal one (cut at n div 2)
-    and as the longer one (cut where a line one shorter is cut)."""
-    first, less = (n / 2).cast("int"), ((n - 1) / 2).cast("int")
-    return [
-        F.xxhash64(F.lit("a"), n, F.substring(line, F.lit(1), first)),
-        F.xxhash64(F.lit("z"), n, F.substring(line, first + 1, n)),
-        F.xxhash64(F.lit("a"), n - 1, F.substring(line, F.lit(1), less)),
-        F.xxhash64(F.lit("z"), n - 1, F.substring(line, less + 2, n)),
-    ]
+def _without_segment(line: Column, n: Column, m: int) -> Column:
+    """Keys of the line without each of ``m`` segments, cut as the shorter or equal one of a pair (by its own length)
+    and as the longer one (by the length less one). Lines one edit apart share the key without the edited segment."""
+
+    def keys(length: Column) -> Column:
+        edge = lambda j: F.floor(length * j / m).cast("int")
+        return F.transform(
+            F.sequence(F.lit(0), F.lit(m - 1)),
+            lambda j: F.xxhash64(j, length, F.substring(line, F.lit(1), edge(j)), F.lit("|"), F.substring(line, n - length + edge(j + 1) + 1, n)),
+        )
+
+    return F.concat(keys(n), keys(n - 1))
 
 
 def first_places(docs: DataFrame, least_chars: int) -> DataFrame:
-    """One row per distinct line: its hashes ``h1, h2``, the keys of its halves (null below ``least_chars``) and where
-    it stands first, as ``at = (doc_id, n, row)``."""
+    """One row per distinct line: its hashes ``h1, h2``, the keys of its halves (``keys``; null below ``least_chars``) and
+    where it stands first, as ``at = (doc_id, n, row)``."""
     n = F.length("line")
     keyed = lines_of(docs).select(
         *[c.alias(a) for c, a in zip(_hash("line"), ("h1", "h2"))],
         F.struct("doc_id", "n", "row").alias("at"),
-        F.when(n >= least_chars, F.array(*_halves(F.col("line"), n))).alias("halves"),
+        F.when(n >= least_chars, _without_segment(F.col("line"), n, 2)).alias("keys"),
     )
-    return keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.first("halves").alias("halves"))
+    return keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.first("keys").alias("keys"))
 
 
-def partners_possible(firsts: DataFrame) -> DataFrame:
-    """``h1, h2`` of distinct lines that share a half with another one."""
-    halves = firsts.where("halves is not null").select("h1", "h2", F.explode("halves").alias("half"))
-    shared = halves.groupBy("half").agg(F.min("h1").alias("least"), F.max("h1").alias("most")).where("least != most").select("half")
-    return halves.join(shared, "half", "left_semi").groupBy("h1", "h2").agg(F.lit(True).alias("possible")).select("h1", "h2")
+def partners_possible(keyed: DataFrame) -> DataFrame:
+    """``h1, h2`` of distinct lines that share one of their ``keys`` with another line."""
+    each = keyed.where("keys is not null").select("h1", "h2", F.explode("keys").alias("key"))
+    shared = each.groupBy("key").agg(F.min("h1").alias("least"), F.max("h1").alias("most")).where("least != most").select("key")
+    return each.join(shared, "key", "left_semi").select("h1", "h2").distinct()
 
 
 def variants(line: Column) -> Column:
@@ -117,7 +120,8 @@ def kept_places(docs: DataFrame, least_chars: int = 16) -> DataFrame:
     at_line, sought = lines_of(docs), F.broadcast(places) if few else places
     found = at_line.join(sought, at_line.doc_id.eqNullSafe(sought.doc_id) & (at_line.n == sought.n) & (at_line.row == sought.row))
     candidates = written(found.select(sought.h1, sought.h2, sought["at"], at_line.line).dropDuplicates(["h1", "h2"]), "candidates")
-    gone = edited(candidates)
+    finer = partners_possible(candidates.withColumn("keys", _without_segment(F.col("line"), F.length("line"), FINE)))
+    gone = written(edited(written(candidates.join(finer, ["h1", "h2"], "left_semi"), "close")), "gone")
     stay = firsts.select("h1", "h2", "at").join(gone, ["h1", "h2"], "left_anti")
     return stay.groupBy("at.doc_id", "at.row").agg(F.collect_list("at.n").alias("kept"))
 

@@ -30,7 +30,8 @@ from .common import fresh_path, pieces, written
 
 CHUNK = 4_000_000
 BATCH = 64
-KEPT = 250_000
+KEPT = 300_000
+KEPT_PARTS = 1_000_000
 
 
 class Encoder:
@@ -66,7 +67,7 @@ class Encoder:
         cut = [plain(t).split(" ") for t in texts]
         if len(self.words) > KEPT:
             self.words.clear()
-        if len(self.parts) > KEPT:
+        if len(self.parts) > KEPT_PARTS:
             self.parts.clear()
         new = {w: self.split(w) for w in set().union(*cut) if w not in self.words} if cut else {}
         lacking = list({p for ps in new.values() for p in ps if p not in self.parts})
