@@ -6,7 +6,7 @@ map gives any sequence without copying, and sequence i is row ``i % BATCH`` of b
 ``docs-N.arrow`` has the documents of the shard (doc_id, start within the shard, n_tokens). Shards hold
 consecutive ranges of doc_id in ascending order, so the global order is shard by shard.
 
-Each distinct word of a slice of texts is encoded once; words and their pieces are kept in bounded memos. A
+Each distinct word of a slice of texts is encoded once and kept in a bounded memo. A
 shard is written under another name and then renamed, so a retried task leaves the same file.
 
 Defined results: a null text is empty (only the end id); rows with a null id come first; equal ids keep all
@@ -30,18 +30,24 @@ from .common import fresh_path, pieces, written
 
 CHUNK = 4_000_000
 BATCH = 64
-KEPT = 300_000
-KEPT_PARTS = 1_000_000
+KEPT = 1_000_000
 
 
 class Encoder:
-    """The tokenizers library behind memos of words and pieces, when the file's pre-split allows it."""
+    """The tokenizers library behind a bounded memo of words (runs without ASCII white space).
+
+    Where the file's pre-split never crosses white space, a word's ids do not depend on its neighbours. New words are
+    then encoded in one call, set apart by a control character whose id marks the borders; words that hold that
+    character are encoded alone.
+    """
+
+    MARK = "\x01"
 
     def __init__(self, path: str):
         import os
+        import re
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        import regex
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
@@ -50,32 +56,42 @@ class Encoder:
             spec = json.load(f)
         self.dtype = np.dtype("<u2") if self.tok.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         first = ((spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0]
-        self.split = None
-        if first.get("type") == "Split" and first.get("invert") and first.get("behavior") == "Removed" and spec["model"]["type"] == "BPE":
-            self.split = regex.compile(first["pattern"]["Regex"]).findall
+        apart = first.get("type") == "Split" and first.get("invert") and first.get("behavior") == "Removed" and spec["model"]["type"] == "BPE"
+        mark = self.tok.encode(self.MARK, add_special_tokens=False).ids
+        self.mark = mark[0] if apart and len(mark) == 1 else None
+        self.split = re.compile(r"[^\x20\x09-\x0D]+").findall
         self.words: dict[str, bytes] = {}
-        self.parts: dict[str, bytes] = {}
 
     def _raw(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, self.dtype).tobytes() for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _learn(self, new: list[str]) -> None:
+        plain = [w for w in new if self.MARK not in w and len(w) < 1000]
+        alone = [w for w in new if self.MARK in w or len(w) >= 1000]
+        for a in range(0, len(plain), 20_000):
+            part = plain[a : a + 20_000]
+            ids = np.array(self.tok.encode_batch_fast([f" {self.MARK} ".join(part)], add_special_tokens=False)[0].ids, self.dtype)
+            cuts = np.flatnonzero(ids == self.mark)
+            if len(cuts) != len(part) - 1:
+                alone += part
+                continue
+            raw, size = ids.tobytes(), self.dtype.itemsize
+            begins, ends = [0, *((cuts + 1) * size).tolist()], [*(cuts * size).tolist(), len(raw)]
+            self.words.update(zip(part, [raw[x:y] for x, y in zip(begins, ends)]))
+        self.words.update(zip(alone, self._raw(alone)))
+
     def texts(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian integers of ``dtype``."""
-        if self.split is None:
+        if self.mark is None:
             return self._raw(texts)
-        plain = self.tok.normalizer.normalize_str
-        cut = [plain(t).split(" ") for t in texts]
-        if len(self.words) > KEPT:
-            self.words.clear()
-        if len(self.parts) > KEPT_PARTS:
-            self.parts.clear()
-        new = {w: self.split(w) for w in set().union(*cut) if w not in self.words} if cut else {}
-        lacking = list({p for ps in new.values() for p in ps if p not in self.parts})
-        self.parts.update(zip(lacking, self._raw(lacking)))
-        for w, ps in new.items():
-            self.words[w] = b"".join([self.parts[p] for p in ps])
+        cut = list(map(self.split, texts))
+        need = set().union(*cut) if cut else set()
+        self._learn([w for w in need if w not in self.words])
         get = self.words.__getitem__
-        return [b"".join(map(get, ws)) for ws in cut]
+        out = [b"".join(map(get, ws)) for ws in cut]
+        if len(self.words) > KEPT:  # the words of this slice are the likeliest to come again
+            self.words = {w: self.words[w] for w in need}
+        return out
 
 
 @lru_cache(maxsize=1)
