@@ -26,9 +26,10 @@ from pyspark.sql import functions as F
 
 from .common import pieces, widened
 
-CHUNK = 2_000_000
+CHUNK = 4_000_000
 LONG = 64
-KEPT_WORDS = 250_000
+KEPT_WORDS = 600_000
+SLOT_BITS = 21
 NO_RANK = (1 << 31) - 1
 _NONE = np.int64(1) << 62
 
@@ -46,7 +47,8 @@ class Folder:
 
         self.ranks = read_ranks(path)
         self.words = regex.compile(pattern).findall
-        self.piece = dict((i, b) for b, i in self.ranks.items())
+        self.piece = {i: b for b, i in self.ranks.items()}
+        self.shown = {i: str(i) for i in self.piece}
         self.byte = np.array([self.ranks[bytes([i])] for i in range(256)], np.int64)
         pairs = {}
         for token, rank in self.ranks.items():
@@ -54,14 +56,39 @@ class Folder:
                 left, right = self.ranks.get(token[:cut]), self.ranks.get(token[cut:])
                 if left is not None and right is not None:
                     pairs[left << 20 | right] = rank
-        self.keys = np.array(sorted(pairs), np.int64)
-        self.joined = np.array([pairs[k] for k in self.keys.tolist()], np.int64)
-        self.memo: dict[str, tuple[str, int, bytes, list[int]]] = {}
+        self._table(np.array(list(pairs), np.int64), np.array(list(pairs.values()), np.int64))
+        self.memo: dict[str, tuple[str, int, bytes]] = {}
+
+    @staticmethod
+    def _slot(pair: np.ndarray) -> np.ndarray:
+        return ((pair.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
+
+    def _table(self, pairs: np.ndarray, ranks: np.ndarray) -> None:
+        """An open-addressed table of the pairs; ``probes`` slots from the home slot find any of them."""
+        self.keys, self.joined = np.full((1 << SLOT_BITS) + 64, -1), np.full((1 << SLOT_BITS) + 64, _NONE)
+        self.probes = 0
+        while len(pairs):
+            slot = self._slot(pairs) + self.probes
+            free = self.keys[slot] == -1
+            _, first = np.unique(slot[free], return_index=True)
+            put = np.flatnonzero(free)[first]
+            self.keys[slot[put]], self.joined[slot[put]] = pairs[put], ranks[put]
+            left = np.ones(len(pairs), bool)
+            left[put] = False
+            pairs, ranks = pairs[left], ranks[left]
+            self.probes += 1
 
     def _rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         want = left << 20 | right
-        at = np.minimum(np.searchsorted(self.keys, want), len(self.keys) - 1)
-        return np.where(self.keys[at] == want, self.joined[at], _NONE)
+        slot = self._slot(want)
+        found = np.where(self.keys[slot] == want, self.joined[slot], _NONE)
+        for i in range(1, self.probes):
+            open_ = np.flatnonzero((found == _NONE) & (self.keys[slot + i - 1] != -1))
+            if not len(open_):
+                break
+            at = slot[open_] + i
+            found[open_] = np.where(self.keys[at] == want[open_], self.joined[at], _NONE)
+        return found
 
     def fold_long(self, word: bytes) -> list[int]:
         """One word by a heap of ranked neighbours over a linked list."""
@@ -128,19 +155,20 @@ class Folder:
         for i, r in enumerate(raw):
             if ids[i] is None:
                 ids[i] = self.fold_long(r)
+        shown, piece = self.shown.__getitem__, self.piece.__getitem__
         for w, found in zip(new, ids):
-            self.memo[w] = " ".join(map(str, found)), len(found), b"".join(map(self.piece.__getitem__, found)), found
+            self.memo[w] = " ".join(map(shown, found)), len(found), b"".join(map(piece, found))
 
     def texts(self, texts: list[str]):
         """The memo entries of the words of each text, in order."""
         cut = [self.words(t) for t in texts]
         need = set().union(*cut) if cut else set()
-        if len(self.memo) > KEPT_WORDS:
-            self.memo.clear()
         self.learn(need)
         get = self.memo.__getitem__
         for words in cut:
-            yield [get(w) for w in words]
+            yield list(map(get, words))
+        if len(self.memo) > KEPT_WORDS:  # the words of this slice are the likeliest to come again
+            self.memo = {w: self.memo[w] for w in need}
 
 
 @lru_cache(maxsize=2)
@@ -153,9 +181,10 @@ def _digest(batches, path: str, pattern: str):
     for batch, texts in pieces(batches, "text", CHUNK):
         n, ids, back = [], [], []
         for entries in own.texts(texts):
-            n.append(sum(e[1] for e in entries))
-            ids.append(hashlib.sha256(" ".join([e[0] for e in entries]).encode()).hexdigest())
-            back.append(hashlib.sha256(b"".join([e[2] for e in entries])).hexdigest())
+            shown, counts, raw = zip(*entries) if entries else ((), (), ())
+            n.append(sum(counts))
+            ids.append(hashlib.sha256(" ".join(shown).encode()).hexdigest())
+            back.append(hashlib.sha256(b"".join(raw)).hexdigest())
         yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "n_tokens": pa.array(n, pa.int64()), "ids_sha256": pa.array(ids, pa.string()), "decoded_sha256": pa.array(back, pa.string())})
 
 
@@ -167,7 +196,7 @@ def digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 def _encode(batches, path: str, pattern: str):
     own = folder(path, pattern)
     for batch, texts in pieces(batches, "text", CHUNK):
-        ids = [[i for e in entries for i in e[3]] for entries in own.texts(texts)]
+        ids = [[int(i) for e in entries for i in e[0].split()] for entries in own.texts(texts)]
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(ids, pa.list_(pa.int32()))], [*batch.schema.names, "token_ids"])
 
 
