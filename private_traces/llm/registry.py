@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import bpe, language, lines, minhash, quality, secrets, suffixes, token_files, toxicity
+from . import bpe, decontaminate, language, lines, minhash, quality, secrets, suffixes, token_files, toxicity
 from .common import table
 
 
@@ -51,6 +51,10 @@ def op8_secret_scan(spark, sf_dir):
     return secrets.digests(table(spark, sf_dir, "documents"))
 
 
+def op9_decontaminate(spark, sf_dir):
+    return decontaminate.flags(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op10_byte_bpe(spark, sf_dir):
     import public_tokenizers
 
@@ -66,6 +70,7 @@ QUERIES = {
     "op6_suffix_dedup": op6_suffix_dedup,
     "op7_minhash": op7_minhash,
     "op8_secret_scan": op8_secret_scan,
+    "op9_decontaminate": op9_decontaminate,
     "op10_byte_bpe": op10_byte_bpe,
 }
 #: Lines one edit apart share the first or the last half; places compared as (doc_id, line number).
