@@ -17,6 +17,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import heapq
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -57,7 +58,7 @@ class Folder:
                 if left is not None and right is not None:
                     pairs[left << 20 | right] = rank
         self._table(np.array(list(pairs), np.int64), np.array(list(pairs.values()), np.int64))
-        self.memo: dict[str, tuple[str, int, bytes]] = {}
+        self.memo: dict[str, tuple[str, int, bytes, bytes]] = {}
 
     @staticmethod
     def _slot(pair: np.ndarray) -> np.ndarray:
@@ -157,7 +158,7 @@ class Folder:
                 ids[i] = self.fold_long(r)
         shown, piece = self.shown.__getitem__, self.piece.__getitem__
         for w, found in zip(new, ids):
-            self.memo[w] = " ".join(map(shown, found)), len(found), b"".join(map(piece, found))
+            self.memo[w] = " ".join(map(shown, found)), len(found), b"".join(map(piece, found)), array("i", found).tobytes()
 
     def texts(self, texts: list[str]):
         """The memo entries of the words of each text, in order."""
@@ -181,7 +182,7 @@ def _digest(batches, path: str, pattern: str):
     for batch, texts in pieces(batches, "text", CHUNK):
         n, ids, back = [], [], []
         for entries in own.texts(texts):
-            shown, counts, raw = zip(*entries) if entries else ((), (), ())
+            shown, counts, raw, _ = zip(*entries) if entries else ((), (), (), ())
             n.append(sum(counts))
             ids.append(hashlib.sha256(" ".join(shown).encode()).hexdigest())
             back.append(hashlib.sha256(b"".join(raw)).hexdigest())
@@ -196,8 +197,10 @@ def digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 def _encode(batches, path: str, pattern: str):
     own = folder(path, pattern)
     for batch, texts in pieces(batches, "text", CHUNK):
-        ids = [[int(i) for e in entries for i in e[0].split()] for entries in own.texts(texts)]
-        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(ids, pa.list_(pa.int32()))], [*batch.schema.names, "token_ids"])
+        raw = [b"".join([e[3] for e in entries]) for entries in own.texts(texts)]
+        ends = np.cumsum([0, *(len(r) // 4 for r in raw)])
+        ids = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.frombuffer(b"".join(raw), np.int32)))
+        yield pa.RecordBatch.from_arrays([*batch.columns, ids], [*batch.schema.names, "token_ids"])
 
 
 def encode(docs: DataFrame, path: str, pattern: str) -> DataFrame:
@@ -207,9 +210,11 @@ def encode(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
 
 def _decode(batches, path: str, pattern: str):
-    piece = folder(path, pattern).piece
+    piece = folder(path, pattern).piece.__getitem__
     for batch in batches:
-        raw = [b"".join([piece[i] for i in ids or ()]) for ids in batch.column("token_ids").to_pylist()]
+        given = batch.column("token_ids")
+        values, ends = given.flatten().to_numpy(), np.cumsum([0, *(n or 0 for n in given.value_lengths().to_pylist())])
+        raw = [b"".join(map(piece, values[a:b].tolist())) for a, b in zip(ends, ends[1:])]
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(raw, pa.binary())], [*batch.schema.names, "decoded"])
 
 

@@ -285,8 +285,9 @@ def _scored(batches, shared, columns: list[str]):
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """``docs`` with ``score`` and ``evidence`` in place of any columns of those names."""
     kept = docs.drop("score", "evidence")
+    names = kept.columns
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    return kept.mapInArrow(lambda b: _scored(b, shared, kept.columns), widened(kept, "score double, evidence array<struct<doc_id:bigint,cosine:double,toxic:int>>"))
+    return kept.mapInArrow(lambda b: _scored(b, shared, names), widened(kept, "score double, evidence array<struct<doc_id:bigint,cosine:double,toxic:int>>"))
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
