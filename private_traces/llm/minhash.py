@@ -8,9 +8,10 @@ coordinate, named by its minwise token there. Two sets that agree with probabili
 share a child at every level with a probability that falls only slowly with depth, and independent trees raise
 the recall to the target (``recall`` gives the bound).
 
-Nodes of up to ``LIMIT`` sets are compared exhaustively by their minwise sketches. A larger node compares all of
-its sets with two of them (its first by id and its first by a hash) and branches again; sets already found in one class
-with the whole node need no further comparison there. At ``DEEPEST`` every set of a large node outside its largest
+Nodes of up to ``LIMIT`` sets are compared exhaustively by their minwise sketches, in two rounds: each set first meets the
+first set it is near to, which joins a group of near copies by a row per set; once those links are confirmed, all near
+pairs of different classes follow. A larger node compares all of its sets with two of them (its first by id and its first
+by a hash) and branches again; a node whose sets are all in one class needs no further comparison. At ``DEEPEST`` every set of a large node outside its largest
 class meets all others. Sketches only choose candidates: every
 link is confirmed on the full sets, and pairs of one class are confirmed until the class is connected.
 
@@ -34,7 +35,7 @@ COORDS = 48
 LIMIT = 48
 FIRST_DEPTH = 2
 DEEPEST = 9
-LOOSE = 0.55  # sketch agreement from which a pair is confirmed; over four deviations below 0.8
+LOOSE = 0.6  # sketch agreement from which a pair is confirmed; three and a half deviations below 0.8
 SMALL = 500_000
 _words = re.compile(r"[^\x20\x09-\x0D]+").findall
 _lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -162,39 +163,56 @@ def _rooted(batches, trees: int, threshold: float):
                 rows, path = children(path, sketch[at], threshold)
                 at = at[rows]
             take = pa.array(at)
-            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), *(part.column(c).take(take) for c in ("id", "class", "n", "sketch"))], ["path", "id", "class", "n", "sketch"])
+            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(np.zeros(len(path), bool)), *(part.column(c).take(take) for c in COLUMNS[2:])], COLUMNS)
 
 
-NODE = "path long, id long, class long, n long, sketch binary"
-FOUND = "a long, b long, path long, id long, class long, n long, sketch binary"
+NODE = "path long, full boolean, id long, class long, n long, sketch binary"
+FOUND = f"a long, b long, {NODE}"
+COLUMNS = ["path", "full", "id", "class", "n", "sketch"]
 
 
 def _compare(batches, threshold: float, last: bool):
-    """Candidate pairs (a, b) of each node, and the rows of large nodes under their children (a, b null)."""
+    """Candidate pairs (a, b) of each node, and rows (a, b null) to come back with their new classes: those of large nodes
+    under their children, and those of small nodes with more near pairs than were given, then to be compared in full."""
     for node in aligned(batches, ["path"], 20_000):
-        path, ids, label, n = (node.column(c).to_numpy() for c in ("path", "id", "class", "n"))
+        path, full, ids, label, n = (node.column(c).to_numpy() for c in COLUMNS[:5])
         sketch = _unpack(node.column("sketch"))
         starts = starts_of(path)
         sizes = np.diff(np.r_[starts, len(path)])
         size = np.repeat(sizes, sizes)
         pairs: list[np.ndarray] = []
 
-        def near(i: np.ndarray, j: np.ndarray):
-            """Pairs of rows that may be linked and are not known to be in one class."""
+        def near(i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            """Those of the pairs of rows that may be linked and are not known to be in one class."""
             ok = (label[i] != label[j]) & (ids[i] != ids[j])
             ok &= np.minimum(n[i], n[j]) >= threshold * np.maximum(n[i], n[j]) - 1e-9
             i, j = i[ok], j[ok]
+            close = np.zeros(len(i), bool)
             for a in range(0, len(i), 100_000):
-                x, y = i[a : a + 100_000], j[a : a + 100_000]
-                close = (sketch[x] == sketch[y]).mean(axis=1) >= LOOSE
-                x, y = ids[x[close]], ids[y[close]]
-                pairs.append(np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)]), axis=1))
+                close[a : a + 100_000] = (sketch[i[a : a + 100_000]] == sketch[j[a : a + 100_000]]).mean(axis=1) >= LOOSE
+            return i[close], j[close]
+
+        def give(i: np.ndarray, j: np.ndarray):
+            if len(i):
+                pairs.append(np.unique(np.stack([np.minimum(ids[i], ids[j]), np.maximum(ids[i], ids[j])]), axis=1))
 
         rows = np.arange(len(path))
         small = size <= LIMIT
+        found = []
         for off in range(1, int(sizes[sizes <= LIMIT].max(initial=1))):
             i = rows[: len(rows) - off]
-            near(*(lambda k: (k, k + off))(i[small[i] & (path[i] == path[i + off])]))
+            i = i[small[i] & (path[i] == path[i + off])]
+            found.append(near(i, i + off))
+        back = np.zeros(len(path), bool)
+        if found:
+            i, j = (np.concatenate([f[k] for f in found]) for k in (0, 1))
+            give(i[full[i]], j[full[i]])
+            i, j = i[~full[i]], j[~full[i]]
+            order = np.lexsort((i, j))  # each set with the first it is near to: enough to join a group of copies
+            i, j = i[order], j[order]
+            lead = np.r_[True, j[1:] != j[:-1]][: len(j)]
+            give(i[lead], j[lead])
+            back[np.isin(path, path[j[~lead]])] = True
         large = np.flatnonzero(sizes > LIMIT)
         again = []
         for s, m in zip(starts[large], sizes[large]):
@@ -206,32 +224,37 @@ def _compare(batches, threshold: float, last: bool):
                 kind, where, count = np.unique(label[own], return_inverse=True, return_counts=True)
                 pivots = own[where != count.argmax()].tolist()
             for p in pivots:
-                near(np.full(m, p), own)
+                give(*near(np.full(m, p), own))
             if not last:
                 again.append(own)
         if pairs:
             p = np.unique(np.concatenate(pairs, axis=1), axis=1)
-            k = p.shape[1]
-            nothing = {c: pa.nulls(k, t) for c, t in (("path", pa.int64()), ("id", pa.int64()), ("class", pa.int64()), ("n", pa.int64()), ("sketch", pa.binary()))}
-            yield pa.RecordBatch.from_pydict({"a": p[0], "b": p[1]} | nothing)
+            kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+            yield pa.RecordBatch.from_pydict({"a": p[0], "b": p[1]} | {c: pa.nulls(p.shape[1], t) for c, t in zip(COLUMNS, kinds)})
+        at, below, whole = np.flatnonzero(back), path[back].view(np.uint64), np.ones(int(back.sum()), bool)
         if again:
             own = np.concatenate(again)
-            at, below = children(path[own].view(np.uint64), sketch[own], threshold)
-            take = pa.array(own[at])
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(at), pa.int64()), pa.nulls(len(at), pa.int64()), pa.array(below.view(np.int64)), *(node.column(c).combine_chunks().take(take) for c in ("id", "class", "n", "sketch"))], ["a", "b", "path", "id", "class", "n", "sketch"])
+            child, deeper = children(path[own].view(np.uint64), sketch[own], threshold)
+            at, below, whole = np.r_[at, own[child]], np.r_[below, deeper], np.r_[whole, np.zeros(len(child), bool)]
+        if len(at):
+            take = pa.array(at)
+            kept = [node.column(c).combine_chunks().take(take) for c in COLUMNS[2:]]
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(at), pa.int64()), pa.nulls(len(at), pa.int64()), pa.array(below.view(np.int64)), pa.array(whole), *kept], ["a", "b", *COLUMNS])
 
 
 def _confirm(batches, width: int, percent: int):
     last, held = None, set()
     for batch in batches:
         keep = []
-        for i, (a, ta, tb) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("a", "ta", "tb")))):
-            if a != last:
-                last, held = a, shingles(ta, width)
-            other = shingles(tb, width)
-            both = len(held & other)
-            if 100 * both >= percent * (len(held) + len(other) - both):
-                keep.append(i)
+        for at in range(0, batch.num_rows, 256):  # few texts as Python strings at a time
+            part = batch.slice(at, 256)
+            for i, (a, ta, tb) in enumerate(zip(*(part.column(c).to_pylist() for c in ("a", "ta", "tb"))), at):
+                if a != last:
+                    last, held = a, shingles(ta, width)
+                other = shingles(tb, width)
+                both = len(held & other)
+                if 100 * both >= percent * (len(held) + len(other) - both):
+                    keep.append(i)
         yield pa.RecordBatch.from_arrays([batch.column(c).take(pa.array(keep, pa.int64())) for c in ("a", "b")], ["a", "b"])
 
 
@@ -280,8 +303,8 @@ def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int = 10)
     if rows.select("doc_id").distinct().count() < rows.count():  # ids that repeat: take the text whose set is meant
         texts = _own_texts(given, reps, width)
     links = tested = labels = None
-    for depth in range(FIRST_DEPTH, DEEPEST + 1):
-        last = depth == DEEPEST
+    for depth in range(FIRST_DEPTH, DEEPEST + 2):  # one more round for what small nodes left
+        last = depth >= DEEPEST
         dealt = nodes.repartition(F.col("path")).sortWithinPartitions("path", "id")
         out = written(dealt.mapInArrow(lambda b, last=last: _compare(b, threshold, last), FOUND), "nodes")
         pairs = out.where("a is not null").select("a", "b").distinct()
@@ -294,10 +317,10 @@ def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int = 10)
             links = fresh if links is None else links.unionByName(fresh)
             tested = pairs if labels is None else tested.unionByName(pairs)
             labels = components(links)
-        if last or not deeper.limit(1).count():
+        if depth > DEEPEST or not deeper.limit(1).count():
             break
         if labels is not None:
-            deeper = deeper.join(labels.withColumnRenamed("class", "now"), "id", "left").select("path", "id", F.coalesce("now", "id").alias("class"), "n", "sketch")
+            deeper = deeper.join(labels.withColumnRenamed("class", "now"), "id", "left").select("path", "full", "id", F.coalesce("now", "id").alias("class"), "n", "sketch")
         nodes = deeper
     members = rows.withColumn("known", known).join(reps.withColumnRenamed("id", "rep"), ["s1", "s2", "n"], "left")
     if labels is None:
