@@ -7,8 +7,9 @@ for lines of ``least_chars`` characters or more, differs by one character insert
 Steps. (1) Exact copies: one row per distinct line with its first place; partial sums keep a line that fills the
 corpus to one row per task. (2) Which lines can have a partner at all: of two lines one edit apart, the first or the
 last half of the shorter one stands unchanged at the same end of the other; lines sharing no such half leave here,
-without loss, and of the rest those that share no whole line but one of ``FINE`` segments. (3) Every variant of the rest with at most one character deleted becomes a hashed key. Lines that
-share a key at the same place are one substitution apart, and a line that equals another's variant is one deletion
+without loss; of the rest, only those of ``FINE`` segments stay without which two lines are equal. (3) Every variant of a
+line with at most one character of such a segment deleted becomes a hashed key. Lines that share a key at the same
+place are one substitution apart, and a line that equals another's variant is one deletion
 away; the earliest line of each key is joined to its later ones, never all pairs. (4) Each such pair is confirmed by
 edit distance. (5) The first places that remain are regrouped by document and the text is put together from them.
 
@@ -26,7 +27,7 @@ from .common import let, written
 
 BLANK = "\x20\t\n\x0b\x0c\r"
 SMALL = 500_000
-FINE = 32
+FINE = 16
 
 
 def _trimmed(line: Column) -> Column:
@@ -40,22 +41,21 @@ def _hash(*of: Column | str) -> list[Column]:
 
 def lines_of(docs: DataFrame) -> DataFrame:
     """``doc_id, row, n, line``: every non-blank trimmed line; ``row`` tells texts under one id apart."""
-    cut = docs.where("text is not null").select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(F.split("text", "\n", -1)).alias("n", "raw"))
-    return cut.select("doc_id", "row", "n", _trimmed(F.col("raw")).alias("line")).where("line != ''")
-
-
-def _without_segment(line: Column, n: Column, m: int) -> Column:
-    """Keys of the line without each of ``m`` segments, cut as the shorter or equal one of a pair (by its own length)
-    and as the longer one (by the length less one). Lines one edit apart share the key without the edited segment."""
-
-    def keys(length: Column) -> Column:
-        edge = lambda j: F.floor(length * j / m).cast("int")
-        return F.transform(
-            F.sequence(F.lit(0), F.lit(m - 1)),
-            lambda j: F.xxhash64(j, length, F.substring(line, F.lit(1), edge(j)), F.lit("|"), F.substring(line, n - length + edge(j + 1) + 1, n)),
-        )
-
-    return F.concat(keys(n), keys(n - 1))
+    trimmed = F.transform(F.split("text", "\n", -1), _trimmed)
+    cut = docs.where("text is not null").select("doc_id", F.xxhash64("text").alias("row"), F.posexplode(trimmed).alias("n", "line"))
+    return cut.where("line != ''")
+
+
+def _halves(line: Column, n: Column) -> Column:
+    """Keys of the halves this line shares with any line one edit away: as the shorter or equal one of the two (cut at
+    n div 2) and as the longer one (cut where a line one shorter is cut)."""
+    first, less = (n / 2).cast("int"), ((n - 1) / 2).cast("int")
+    return F.array(
+        F.xxhash64(F.lit("a"), n, F.substring(line, F.lit(1), first)),
+        F.xxhash64(F.lit("z"), n, F.substring(line, first + 1, n)),
+        F.xxhash64(F.lit("a"), n - 1, F.substring(line, F.lit(1), less)),
+        F.xxhash64(F.lit("z"), n - 1, F.substring(line, less + 2, n)),
+    )
 
 
 def first_places(docs: DataFrame, least_chars: int) -> DataFrame:
@@ -65,40 +65,60 @@ def first_places(docs: DataFrame, least_chars: int) -> DataFrame:
     keyed = lines_of(docs).select(
         *[c.alias(a) for c, a in zip(_hash("line"), ("h1", "h2"))],
         F.struct("doc_id", "n", "row").alias("at"),
-        F.when(n >= least_chars, _without_segment(F.col("line"), n, 2)).alias("keys"),
+        F.when(n >= least_chars, _halves(F.col("line"), n)).alias("keys"),
     )
     return keyed.groupBy("h1", "h2").agg(F.min("at").alias("at"), F.first("keys").alias("keys"))
 
 
-def partners_possible(keyed: DataFrame) -> DataFrame:
-    """``h1, h2`` of distinct lines that share one of their ``keys`` with another line."""
-    each = keyed.where("keys is not null").select("h1", "h2", F.explode("keys").alias("key"))
-    shared = each.groupBy("key").agg(F.min("h1").alias("least"), F.max("h1").alias("most")).where("least != most").select("key")
-    return each.join(shared, "key", "left_semi").select("h1", "h2").distinct()
+def _shared(each: DataFrame) -> DataFrame:
+    """The rows of ``each(h1, h2, key, ...)`` whose key another line has too."""
+    keys = each.groupBy("key").agg(F.min("h1").alias("least"), F.max("h1").alias("most")).where("least != most").select("key")
+    return each.join(keys, "key", "left_semi")
+
 
+def partners_possible(firsts: DataFrame) -> DataFrame:
+    """``h1, h2`` of distinct lines that share a half with another one."""
+    return _shared(firsts.where("keys is not null").select("h1", "h2", F.explode("keys").alias("key"))).select("h1", "h2").distinct()
 
-def variants(line: Column) -> Column:
-    """``(key, place)`` of the line itself (place -1) and of each deletion, once per run of equal characters."""
-    n = F.length(line)
 
-    def each(chars: Column) -> Column:
-        starts = F.filter(F.sequence(F.lit(0), n - 1), lambda i: F.coalesce(F.get(chars, i) != F.get(chars, i - 1), F.lit(True)))
-        gone = F.transform(starts, lambda i: F.struct(F.xxhash64(F.substring(line, F.lit(1), i), F.substring(line, i + 2, n)).alias("key"), i.cast("int").alias("place")))
-        whole = F.struct(F.xxhash64(line, F.lit("")).alias("key"), F.lit(-1).alias("place"))
-        return F.concat(F.array(whole), gone)
+def _edge(length: Column, j: Column) -> Column:
+    return F.floor(length * j / FINE).cast("int")
 
-    return let(F.split(line, ""), each)
+
+def segments_shared(candidates: DataFrame) -> DataFrame:
+    """``h1, h2, length, j``: segments without which the line equals another one without its own; ``length`` is that of the
+    shorter or equal line of the pair, by which both are cut."""
+
+    def keys(line: Column, n: Column, length: Column) -> Column:
+        one = lambda j: F.struct(length.alias("length"), j.cast("int").alias("j"), F.xxhash64(j, length, F.substring(line, F.lit(1), _edge(length, j)), F.lit("|"), F.substring(line, n - length + _edge(length, j + 1) + 1, n)).alias("key"))
+        return F.transform(F.sequence(F.lit(0), F.lit(FINE - 1)), one)
+
+    both = let(F.struct("line", F.length("line").alias("n")), lambda x: F.concat(let(x["n"], lambda n: keys(x["line"], n, n)), let(x["n"] - 1, lambda less: keys(x["line"], less + 1, less))))
+    each = written(candidates.select("h1", "h2", F.inline(both)), "segments")
+    return _shared(each).select("h1", "h2", "length", "j").distinct()
+
+
+def variants(line: Column, n: Column, length: Column, j: Column) -> Column:
+    """``(key, place)`` of the line itself (place -1) and of each deletion inside segment j."""
+    gone = F.transform(
+        F.sequence(_edge(length, j), _edge(length, j + 1) - 1 + n - length),
+        lambda i: F.struct(F.xxhash64(F.concat(F.substring(line, F.lit(1), i), F.substring(line, i + 2, n))).alias("key"), i.cast("int").alias("place")),
+    )
+    return F.concat(F.array(F.struct(F.xxhash64(line).alias("key"), F.lit(-1).alias("place"))), gone)
 
 
-def edited(candidates: DataFrame) -> DataFrame:
+def edited(candidates: DataFrame, segments: DataFrame) -> DataFrame:
     """``h1, h2`` of lines with a confirmed earlier line one edit away. ``candidates``: h1, h2, at, line (distinct lines)."""
-    # one row per key and place; a run of equal characters counts once, so equal (key, place) is one substitution
-    exploded = candidates.select("h1", "h2", "at", F.explode(variants(F.col("line"))).alias("v")).select("h1", "h2", "at", "v.key", "v.place")
+    cut = candidates.join(segments, ["h1", "h2"]).withColumn("c", F.length("line"))
+    inside = F.col("c") - F.col("length") + _edge(F.col("length"), F.col("j") + 1) > _edge(F.col("length"), F.col("j"))
+    one = cut.where(inside).select("h1", "h2", "at", F.inline(let(F.struct("line", "c", "length", "j"), lambda x: variants(x["line"], x["c"], x["length"], x["j"]))))
+    exploded = written(one.distinct(), "variants")
     who = F.struct("at", "h1", "h2")
+    # equal variants with the same place are one substitution apart
     same_place = exploded.where("place >= 0").groupBy("key", "place").agg(F.min(who).alias("first"), F.count("*").alias("rows")).where("rows > 1").select("key", "place", "first")
+    # a line that equals a variant of another is one deletion away: the earliest of either kind for those of the other
     by_key = exploded.groupBy("key").agg(F.min(F.when(F.col("place") < 0, who)).alias("whole"), F.min(F.when(F.col("place") >= 0, who)).alias("cut")).where("whole is not null and cut is not null")
-    # the earliest shorter line for a longer one, and the earliest longer line for a shorter one
-    deletion = by_key.select("key", F.explode(F.array(F.struct(F.lit(False).alias("is_whole"), F.col("whole").alias("first")), F.struct(F.lit(True).alias("is_whole"), F.col("cut").alias("first")))).alias("x")).select("key", "x.is_whole", "x.first")
+    deletion = by_key.select("key", F.inline(F.array(F.struct(F.lit(False).alias("is_whole"), F.col("whole").alias("first")), F.struct(F.lit(True).alias("is_whole"), F.col("cut").alias("first")))))
     met = exploded.join(same_place, ["key", "place"]).select("h1", "h2", "at", "first").unionByName(
         exploded.withColumn("is_whole", F.col("place") < 0).join(deletion, ["key", "is_whole"]).select("h1", "h2", "at", "first")
     )
@@ -120,8 +140,7 @@ def kept_places(docs: DataFrame, least_chars: int = 16) -> DataFrame:
     at_line, sought = lines_of(docs), F.broadcast(places) if few else places
     found = at_line.join(sought, at_line.doc_id.eqNullSafe(sought.doc_id) & (at_line.n == sought.n) & (at_line.row == sought.row))
     candidates = written(found.select(sought.h1, sought.h2, sought["at"], at_line.line).dropDuplicates(["h1", "h2"]), "candidates")
-    finer = partners_possible(candidates.withColumn("keys", _without_segment(F.col("line"), F.length("line"), FINE)))
-    gone = written(edited(written(candidates.join(finer, ["h1", "h2"], "left_semi"), "close")), "gone")
+    gone = written(edited(candidates, segments_shared(candidates)), "gone")
     stay = firsts.select("h1", "h2", "at").join(gone, ["h1", "h2"], "left_anti")
     return stay.groupBy("at.doc_id", "at.row").agg(F.collect_list("at.n").alias("kept"))
 
