@@ -1,11 +1,11 @@
 """Benchmark decontamination: latent semantic retrieval, then longest-common-subsequence and answer checks.
 
 Words are lower-cased runs of letters and digits. (1) Passage frequencies of the benchmark's words are counted over
-all passages of all documents. (2) The TF-IDF matrix of the benchmark's passages has its leading right singular
+all passages of all documents; those of more than ``COMMON`` of them are left to step 4. (2) The TF-IDF matrix of the benchmark's passages has its leading right singular
 vectors found by a randomised SVD: every pass is a distributed product A'(A X) over the passages, summed from one
-partial matrix per task. (3) Each window of ``SPAN`` words of every whole document is projected (prefix sums of the
-projected words, so a window costs one difference) and compared with every item by cosine in that space; no cap on
-candidates. (4) Neighbouring candidate windows of one item form a region, which is checked by the longest common
+partial matrix per task. (3) Each window of ``SPAN`` words of every whole document is projected (as a sum of blocks of
+``STRIDE`` words) and compared with every item by cosine in that space, and by the share of the item it
+carries; no cap on candidates. (4) Neighbouring candidate windows of one item form a region, which is checked by the longest common
 subsequence with the item. A region that holds ``COPY`` of the item's words in order is a copy; one that holds
 ``PARAPHRASE`` of them must also hold most of the item's ``answer``: its rarest words.
 
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -29,10 +30,13 @@ from .common import pieces, widened, written
 
 CHUNK = 2_000_000
 BLOCK = 2_000
-SPAN = 32
+SPAN = 36
 STRIDE = 12
 RANK = 96
+PASSAGE = 128
+COMMON = 0.1
 LEAST_COSINE = 0.45
+LEAST_SHARE = 0.2
 COPY = 0.7
 PARAPHRASE = 0.5
 ANSWER_WORDS = 5
@@ -63,9 +67,9 @@ def _frequencies(batches, vocabulary: frozenset):
     for _, texts in pieces(batches, "text", CHUNK):
         for text in texts:
             ws = words_of(text)
-            for a in range(0, len(ws), SPAN):
+            for a in range(0, len(ws), PASSAGE):
                 passages += 1
-                seen.update(vocabulary.intersection(ws[a : a + SPAN]))
+                seen.update(vocabulary.intersection(ws[a : a + PASSAGE]))
     names = list(seen)
     yield pa.RecordBatch.from_pydict({"word": pa.array([*names, None], pa.string()), "n": pa.array([*(seen[w] for w in names), passages], pa.int64())})
 
@@ -76,11 +80,14 @@ class Space:
     def __init__(self, items: list[tuple[int, str]], counts: dict):
         self.ids = [i for i, _ in items]
         self.texts = [words_of(t or "") for _, t in items]
-        self.at = {w: k for k, w in enumerate(sorted({w for t in self.texts for w in t}))}
         total = counts.get(None, 0)
+        rare = lambda w: (counts.get(w, 0), w)
+        self.answers = [set(sorted(set(t), key=rare)[:ANSWER_WORDS]) for t in self.texts]
+        # words of more than COMMON of the passages tell nothing, but where they are all an item has
+        telling = {w for t in self.texts for w in t if counts.get(w, 0) <= COMMON * total}.union(*self.answers)
+        self.at = {w: k for k, w in enumerate(sorted(telling))}
         n = np.array([counts.get(w, 0) for w in self.at], float)
         self.idf = np.log((1 + total) / (1 + n)) + 0.1
-        self.answers = [set(sorted(set(t), key=lambda w: (-self.idf[self.at[w]], w))[:ANSWER_WORDS]) for t in self.texts]
 
     def rows(self, texts: list[list[str]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """TF-IDF entries (row, word, weight) of texts, each of length one."""
@@ -98,9 +105,10 @@ class Space:
         item = np.zeros((len(self.texts), basis.shape[1]), np.float32)
         for i, t in enumerate(self.texts):
             if t:
-                item[i] = self.word[[self.at[w] for w in t]].sum(axis=0)
+                item[i] = self.word[[self.at[w] for w in t if w in self.at]].sum(axis=0)
         size = np.linalg.norm(item, axis=1, keepdims=True)
         self.item = item / np.where(size > 0, size, 1)
+        self.size = np.where(size > 0, size, np.inf).ravel()
 
 
 def _product(batches, shared, basis):
@@ -143,34 +151,46 @@ def randomised_svd(passages: DataFrame, space: Space, rank: int = RANK, rounds:
 
 def candidates(space: Space, texts: list[list[str]]):
     """(text, item, first word, last word, cosine) of every region of neighbouring candidate windows."""
-    get = space.at.get
-    flat = np.fromiter((get(w, -1) for t in texts for w in t), np.int32, sum(map(len, texts)))
+    flat = np.fromiter(map(space.at.get, chain.from_iterable(texts), repeat(-1)), np.int32, sum(map(len, texts)))
     bounds = np.cumsum([0, *map(len, texts)])
     if not len(flat) or not len(space.item) or not space.word.shape[1]:
         return
     known = np.flatnonzero(flat >= 0)
-    sums = np.zeros((len(known) + 1, space.word.shape[1]), np.float64)
-    np.cumsum(space.word[flat[known]], axis=0, dtype=np.float64, out=sums[1:])
-    n = np.diff(bounds)
-    count = np.where(n > 0, np.maximum(0, -(-(n - SPAN) // STRIDE)) + 1, 0)
-    text = np.repeat(np.arange(len(texts)), count)
-    step = np.arange(int(count.sum())) - np.repeat(np.cumsum(count) - count, count)
-    first = bounds[text] + step * STRIDE
+    if not len(known):
+        return
+    # sums per block of STRIDE words; a window is SPAN / STRIDE blocks in a row
+    blocks = -(-np.diff(bounds) // STRIDE)
+    base = np.cumsum([0, *blocks])
+    text = np.searchsorted(bounds, known, side="right") - 1
+    block = base[text] + (known - bounds[text]) // STRIDE
+    starts = np.flatnonzero(np.r_[True, block[1:] != block[:-1]])
+    ids, sums = block[starts], np.add.reduceat(space.word[flat[known]], starts, axis=0)
+    wide = SPAN // STRIDE
+    owner = np.searchsorted(base, ids, side="right") - 1
+    begin = np.concatenate([np.clip(ids - k, base[owner], np.maximum(base[owner], base[owner + 1] - wide)) for k in range(wide)])
+    begin = np.unique(begin)
+    text = np.searchsorted(base, begin, side="right") - 1
+    first = bounds[text] + (begin - base[text]) * STRIDE
     last = np.minimum(first + SPAN, bounds[1:][text])
     for a in range(0, len(first), 20_000):
         f, e = first[a : a + 20_000], last[a : a + 20_000]
-        window = (sums[np.searchsorted(known, e)] - sums[np.searchsorted(known, f)]).astype(np.float32)
+        window = np.zeros((len(f), sums.shape[1]), np.float32)
+        for k in range(wide):
+            want = begin[a : a + 20_000] + k
+            at = np.minimum(np.searchsorted(ids, want), len(ids) - 1)
+            here = (ids[at] == want) & (want < base[text[a : a + 20_000] + 1])
+            window[here] += sums[at[here]]
         size = np.linalg.norm(window, axis=1)
-        window /= np.where(size > 1e-6, size, 1)[:, None]
-        cosine = window @ space.item.T
-        w, item = np.nonzero(cosine >= LEAST_COSINE)
+        along = window @ space.item.T
+        w, item = np.nonzero((along >= LEAST_SHARE * space.size) & (along >= LEAST_COSINE * np.maximum(size, 1e-6)[:, None]))
+        cosine = along / np.maximum(size, 1e-6)[:, None]
         t = text[a : a + 20_000][w]
         order = np.lexsort((f[w], item, t))
         t, item, lo, hi, c = t[order], item[order], f[w][order], e[w][order], cosine[w, item][order]
         cut = np.flatnonzero(np.r_[True, (t[1:] != t[:-1]) | (item[1:] != item[:-1]) | (lo[1:] > hi[:-1])][: len(t)])
         for s, z in zip(cut.tolist(), np.r_[cut[1:], len(t)].tolist()):
-            base = bounds[t[s]]
-            yield int(t[s]), int(item[s]), int(lo[s] - base), int(hi[z - 1] - base), float(c[s:z].max())
+            zero = bounds[t[s]]
+            yield int(t[s]), int(item[s]), int(lo[s] - zero), int(hi[z - 1] - zero), float(c[s:z].max())
 
 
 def judge(item: list[str], answer: set[str], region: list[str]) -> tuple[bool, float]:
