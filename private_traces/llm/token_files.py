@@ -59,7 +59,9 @@ class Encoder:
         apart = first.get("type") == "Split" and first.get("invert") and first.get("behavior") == "Removed" and spec["model"]["type"] == "BPE"
         mark = self.tok.encode(self.MARK, add_special_tokens=False).ids
         self.mark = mark[0] if apart and len(mark) == 1 else None
-        self.split = re.compile(r"[^\x20\x09-\x0D]+").findall
+        self.runs = re.compile(r"[^\x20\x09-\x0D]+").findall
+        self.odd = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]").search
+        self.lowers = any(n.get("type") == "Lowercase" for n in (spec.get("normalizer") or {}).get("normalizers", []))
         self.words: dict[str, bytes] = {}
 
     def _raw(self, texts: list[str]) -> list[bytes]:
@@ -80,13 +82,19 @@ class Encoder:
             self.words.update(zip(part, [raw[x:y] for x, y in zip(begins, ends)]))
         self.words.update(zip(alone, self._raw(alone)))
 
+    def split(self, text: str) -> list[str]:
+        """Runs without ASCII white space; A-Z lowered where the tokenizer lowers anyway, so that fewer words differ."""
+        if self.lowers and not text.islower():
+            text = text.encode("utf-8", "surrogatepass").lower().decode("utf-8", "surrogatepass")
+        return self.runs(text) if self.odd(text) else text.split()
+
     def texts(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian integers of ``dtype``."""
         if self.mark is None:
             return self._raw(texts)
         cut = list(map(self.split, texts))
         need = set().union(*cut) if cut else set()
-        self._learn([w for w in need if w not in self.words])
+        self._learn(list(need - self.words.keys()))
         get = self.words.__getitem__
         out = [b"".join(map(get, ws)) for ws in cut]
         if len(self.words) > KEPT:  # the words of this slice are the likeliest to come again
