@@ -29,7 +29,7 @@ from .common import pieces, widened
 
 CHUNK = 4_000_000
 LONG = 64
-KEPT_WORDS = 600_000
+KEPT_WORDS = 400_000
 SLOT_BITS = 21
 NO_RANK = (1 << 31) - 1
 _NONE = np.int64(1) << 62
@@ -224,6 +224,27 @@ def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
     return kept.mapInArrow(lambda b: _decode(b, path, pattern), widened(kept, "decoded binary"))
 
 
+def _round_trip(batches, path: str, pattern: str):
+    own = folder(path, pattern)
+    for batch, texts in pieces(batches, "text", CHUNK):
+        ids, back = [], []
+        for entries in own.texts(texts):
+            ids.append(b"".join([e[3] for e in entries]))
+            back.append(b"".join([e[2] for e in entries]))
+        same = pa.array([b == t.encode("utf-8", "surrogatepass") for b, t in zip(back, texts)])
+        ends = np.cumsum([0, *(len(r) // 4 for r in ids)])
+        tokens = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.frombuffer(b"".join(ids), np.int32)))
+        names = [n for n in batch.schema.names if n != "text"]
+        yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), tokens, same], [*names, "token_ids", "round_trip"])
+
+
+def round_trip(docs: DataFrame, path: str, pattern: str) -> DataFrame:
+    """``docs`` without its text but with ``token_ids`` and ``round_trip``: whether decoding gives the text's bytes. One pass
+    (and one Python worker a task) for both directions."""
+    kept = docs.drop("token_ids", "round_trip")
+    return kept.mapInArrow(lambda b: _round_trip(b, path, pattern), widened(kept.drop("text"), "token_ids array<int>, round_trip boolean"))
+
+
 def rank_literal(path: str, cells: int = 4096) -> Column:
     """The rank file as one constant array of small maps, by crc32 of the piece's hexadecimal text."""
     import json
