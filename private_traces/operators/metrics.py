@@ -6,6 +6,7 @@ once. Traces come in nested form, so no metric needs a shuffle of readings.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from functools import reduce
 
@@ -34,7 +35,7 @@ def jsd(p: DataFrame, q: DataFrame, keys: list[str], base: float = 2.0) -> DataF
     b = q.select(*keys, F.col("mass").cast("double").alias("q"))
     both = a.join(b, keys, "full").select(F.coalesce("p", F.lit(0.0)).alias("p"), F.coalesce("q", F.lit(0.0)).alias("q"))
     sums = both.agg(F.coalesce(F.sum("p"), F.lit(0.0)).alias("sp"), F.coalesce(F.sum("q"), F.lit(0.0)).alias("sq"))
-    term = lambda x, y: F.when(x > 0, 0.5 * x * F.log(2 * x / (x + y)) / F.lit(float(__import__("math").log(base)))).otherwise(0.0)
+    term = lambda x, y: F.when(x > 0, 0.5 * x * F.log(2 * x / (x + y)) / F.lit(math.log(base))).otherwise(0.0)
     x, y = F.try_divide(F.col("p"), F.col("sp")), F.try_divide(F.col("q"), F.col("sq"))
     each = both.crossJoin(F.broadcast(sums)).agg(F.sum(term(x, y) + term(y, x)).alias("value"), F.max("sp").alias("sp"), F.max("sq").alias("sq"))
     return each.select(F.when((F.coalesce("sp", F.lit(0.0)) <= 0) | (F.coalesce("sq", F.lit(0.0)) <= 0), 1.0).otherwise(F.greatest(F.lit(0.0), F.col("value"))).alias("value"))
@@ -116,10 +117,13 @@ def query_error(real: DataFrame, synth: DataFrame, queries: DataFrame, bound: fl
 
 def ngrams(paths: DataFrame, low: int = 2, high: int = 8) -> DataFrame:
     """``pattern``: every run of ``low`` to ``high`` cells of every trace, as text; one row per occurrence."""
-    runs = [
-        F.when(F.size("cells") >= k, F.transform(F.sequence(F.lit(1), F.greatest(F.size("cells") - (k - 1), F.lit(1))), lambda i, k=k: F.array_join(F.slice("cells", i, F.lit(k)).cast("array<string>"), ">"))).otherwise(F.array().cast("array<string>"))
-        for k in range(low, high + 1)
-    ]
+
+    def runs_of(k: int) -> Column:
+        starts = F.sequence(F.lit(1), F.greatest(F.size("cells") - (k - 1), F.lit(1)))
+        texts = F.transform(starts, lambda i: F.array_join(F.slice("cells", i, F.lit(k)).cast("array<string>"), ">"))
+        return F.when(F.size("cells") >= k, texts).otherwise(F.array().cast("array<string>"))
+
+    runs = [runs_of(k) for k in range(low, high + 1)]
     return paths.select("trace_id", F.concat(*runs).alias("g"))
 
 

@@ -200,10 +200,13 @@ def ledger_of(cfg: SynthesisConfig, w: SplitWeights) -> Ledger:
     return book.free("generator")
 
 
-def extract_synopsis(traces: DataFrame | None, bounds: Bounds, weights: SplitWeights, cfg: SynthesisConfig, stats: statistics.LeafStatistics | None = None, seed: int | None = None) -> ReleasedSynopsis:
-    """The whole synopsis from traces, or from leaf statistics made before (then the traces are not read again)."""
+def extract_synopsis(traces: DataFrame | None, bounds: Bounds, weights: SplitWeights, cfg: SynthesisConfig, stats: statistics.LeafStatistics | None = None, seed: int | None = None, write: bool = True) -> ReleasedSynopsis:
+    """The whole synopsis from traces, or from leaf statistics made before (then the traces are not read again).
+
+    ``write`` False keeps the tables in memory: for the throw-away synopses of a tuning loop."""
     weights.validate()
     seed = cfg.seed if seed is None else seed
+    hold = release if write else lambda df, tag: df.persist()
     share = (lambda x: None) if cfg.epsilon is None else (lambda x: cfg.epsilon * x)
     if stats is None:
         stats = statistics.leaf_statistics(traces, bounds, cfg.top_n, cfg.max_len)
@@ -219,9 +222,9 @@ def extract_synopsis(traces: DataFrame | None, bounds: Bounds, weights: SplitWei
         moved, counts, hist = statistics.direct_statistics(traces, bounds, grid.top_n, cfg.max_len, grid.cell_of, cfg.collapse_repeats)
     else:
         moved, counts, hist = stats.roll_up(grid.cell_of)
-    mobility = release(mobility_model(moved, grid, share(weights.mobility), seed, cfg.clean_up, cfg.noise_on, cfg.noise_source).where("prob > 0"), "mobility")
-    trips = release(trip_distribution(counts, grid, share(weights.trips), seed, cfg.clean_up, cfg.total, cfg.noise_source).where("prob > 0"), "trips")
-    laws = release(length_laws(hist, trips, share(weights.lengths), cfg, seed), "lengths")
+    mobility = hold(mobility_model(moved, grid, share(weights.mobility), seed, cfg.clean_up, cfg.noise_on, cfg.noise_source).where("prob > 0"), "mobility")
+    trips = hold(trip_distribution(counts, grid, share(weights.trips), seed, cfg.clean_up, cfg.total, cfg.noise_source).where("prob > 0"), "trips")
+    laws = hold(length_laws(hist, trips, share(weights.lengths), cfg, seed), "lengths")
     total = trips.agg(F.coalesce(F.sum("mass"), F.lit(0.0)).alias("n")).first().n
     return ReleasedSynopsis(grid, mobility, trips, laws, ledger_of(cfg, weights), cfg, weights, max(0, round(total)))
 

@@ -174,10 +174,13 @@ def objective_of(real: metrics.RealSide, stats: statistics.LeafStatistics, bound
 
     def run(w: np.ndarray, seed: int) -> float:
         count[0] += 1
-        syn = extract_synopsis(None, bounds, SplitWeights.of(w), cfg, stats, seed + (7919 * count[0] if fresh else 0))
+        syn = extract_synopsis(None, bounds, SplitWeights.of(w), cfg, stats, seed + (7919 * count[0] if fresh else 0), write=False)
         n = min(n_tune, max(1, real.total))
         made = generator.generate(syn, n, seed)
-        return float(metrics.REGISTRY[metric](real, made, real.total / n).first().value)
+        value = float(metrics.REGISTRY[metric](real, made, real.total / n).first().value)
+        for df in (syn.mobility, syn.trips, syn.lengths):
+            df.unpersist()
+        return value
 
     return run
 

@@ -403,9 +403,9 @@ def trip_error(spark, sf_dir):
     return _value(metrics.trip_error(d, _half(d)))
 
 
-@query(sql.DISTANCES + "SELECT trace_id, round(d, 6) AS d FROM dist")
+@query(sql.DISTANCES + "SELECT trace_id, d FROM dist")
 def travel_distances(spark, sf_dir):
-    return metrics.distances(views.drift_trips(spark, sf_dir)).select("trace_id", *r6("d"))
+    return metrics.distances(views.drift_trips(spark, sf_dir))
 
 
 @query(sql.DISTANCES + "SELECT bucket, count(*) AS n FROM hist GROUP BY 1")
@@ -508,19 +508,19 @@ def distance_histograms(spark, sf_dir):
 # ---- relational operators ----
 
 
-@query(sql.GRID6 + "SELECT start_cell, end_cell, count(*) AS n FROM trips6 GROUP BY ROLLUP (start_cell, end_cell)")
+@query(sql.GRID6 + "SELECT coalesce(start_cell, -1) AS start_cell, coalesce(end_cell, -1) AS end_cell, count(*) AS n FROM trips6 GROUP BY ROLLUP (trips6.start_cell, trips6.end_cell)")
 def trip_rollup(spark, sf_dir):
-    return statistics.ends(_grid6(spark, sf_dir)).rollup("start_cell", "end_cell").agg(F.count("*").alias("n"))
+    return statistics.ends(_grid6(spark, sf_dir)).rollup("start_cell", "end_cell").agg(F.count("*").alias("n")).na.fill(-1)
 
 
-@query(sql.GRID6 + "SELECT start_cell, end_cell, count(*) AS n FROM trips6 GROUP BY GROUPING SETS ((start_cell), (end_cell), (start_cell, end_cell), ())")
+@query(sql.GRID6 + "SELECT coalesce(start_cell, -1) AS start_cell, coalesce(end_cell, -1) AS end_cell, count(*) AS n FROM trips6 GROUP BY GROUPING SETS ((trips6.start_cell), (trips6.end_cell), (trips6.start_cell, trips6.end_cell), ())")
 def trip_grouping_sets(spark, sf_dir):
-    return statistics.ends(_grid6(spark, sf_dir)).groupingSets([["start_cell"], ["end_cell"], ["start_cell", "end_cell"], []], "start_cell", "end_cell").agg(F.count("*").alias("n"))
+    return statistics.ends(_grid6(spark, sf_dir)).groupingSets([["start_cell"], ["end_cell"], ["start_cell", "end_cell"], []], "start_cell", "end_cell").agg(F.count("*").alias("n")).na.fill(-1)
 
 
-@query(sql.TRAVEL + "SELECT day, a, b, count(*) AS n FROM ab GROUP BY CUBE (day, a, b)")
+@query(sql.TRAVEL + "SELECT coalesce(day::VARCHAR, 'all') AS day, coalesce(a, -1) AS a, coalesce(b, -1) AS b, count(*) AS n FROM ab GROUP BY CUBE (ab.day, ab.a, ab.b)")
 def trip_cube(spark, sf_dir):
-    return metrics.area_trips(views.drift_trips(spark, sf_dir), _area).cube("day", "a", "b").agg(F.count("*").alias("n"))
+    return metrics.area_trips(views.drift_trips(spark, sf_dir), _area).cube("day", "a", "b").agg(F.count("*").alias("n")).select(F.coalesce(F.col("day").cast("string"), F.lit("all")).alias("day"), "a", "b", "n").na.fill(-1)
 
 
 @query(sql.SESSIONS)

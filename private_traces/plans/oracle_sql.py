@@ -128,8 +128,9 @@ PATTERNS = GRID6 + grams("cells6", "trace_id", "seq") + ", supports AS (SELECT p
 
 
 def jsd(name: str, on: str) -> str:
-    return f""", both AS (SELECT coalesce(p.m, 0) / (SELECT sum(m) FROM p) AS x, coalesce(q.m, 0) / (SELECT sum(m) FROM q) AS y FROM p FULL JOIN q ON {on})
-SELECT '{name}' AS metric, round(sum((CASE WHEN x > 0 THEN 0.5 * x * log2(2 * x / (x + y)) ELSE 0 END) + (CASE WHEN y > 0 THEN 0.5 * y * log2(2 * y / (x + y)) ELSE 0 END)), 6) AS value FROM both""".replace(", both AS", ", twoway AS").replace("FROM both", "FROM twoway")
+    half = lambda x, y: f"(CASE WHEN {x} > 0 THEN 0.5 * {x} * log2(2 * {x} / ({x} + {y})) ELSE 0 END)"
+    return f""", twoway AS (SELECT coalesce(p.m, 0) / (SELECT sum(m) FROM p) AS x, coalesce(q.m, 0) / (SELECT sum(m) FROM q) AS y FROM p FULL JOIN q ON {on})
+SELECT '{name}' AS metric, round(sum({half('x', 'y')} + {half('y', 'x')}), 6) AS value FROM twoway"""
 
 
 DISTANCES = view("drift_trips") + """, dist AS (SELECT trace_id, round(coalesce(sum(step ORDER BY seq), 0), 9) AS d FROM (SELECT trace_id, seq, sqrt((x - lag(x) OVER w) ** 2 + (y - lag(y) OVER w) ** 2) AS step FROM drift_trips WINDOW w AS (PARTITION BY trace_id ORDER BY seq)) GROUP BY 1),
