@@ -79,6 +79,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def give_back() -> None:
+    """Return freed memory to the system, so that an idle Python worker stays small beside the next stage."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        return
+
+
 def pieces(batches: Iterator[pa.RecordBatch], column: str, most_chars: int) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
     """Slices of the batches whose texts (null: empty) hold about ``most_chars`` characters at most, or one long text."""
     for batch in batches:
@@ -91,6 +104,7 @@ def pieces(batches: Iterator[pa.RecordBatch], column: str, most_chars: int) -> I
             size += len(text)
         if len(texts) > start:
             yield batch.slice(start), texts[start:]
+    give_back()
 
 
 def aligned(batches: Iterator[pa.RecordBatch], keys: list[str], rows: int = 50_000) -> Iterator[pa.Table]:

@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from .common import drawn_labels, held_out, pieces, widened
 
 BLOCK = 64
-CHUNK = 4_000_000
+CHUNK = 2_000_000
 NEIGHBOURS = 15
 SHOWN = 3
 CUT = 0.3
@@ -84,7 +84,7 @@ class Features:
 
     def counts(self, text: str) -> dict[int, int]:
         found: dict[int, int] = {}
-        if len(self.memo) > 300_000:
+        if len(self.memo) > 100_000:
             self.memo.clear()
         memo, at = self.memo, self.at
         for w, n in Counter(_words(text.lower())).items():
