@@ -55,7 +55,8 @@ def trip_distribution(counts: DataFrame, grid: Grid, epsilon: float | None, seed
             target = F.lit(float(exact))
         dense = dense.withColumn("mass", F.col("mass") + laplace(1 / own, seed, "trip", *keys, source=source))
         dense = clean_up(dense, "mass", [], mode, total=target)
-    return to_probabilities(dense, "mass", [])
+    # without any mass left (few traces, much noise) every pair is as likely as any other
+    return to_probabilities(dense, "mass", []).withColumn("prob", F.coalesce("prob", F.lit(1.0 / grid.size**2)))
 
 
 def log_factorials(n: int) -> Column:
