@@ -8,11 +8,11 @@ coordinate, named by its minwise token there. Two sets that agree with probabili
 share a child at every level with a probability that falls only slowly with depth, and independent trees raise
 the recall to the target (``recall`` gives the bound).
 
-Nodes of up to ``LIMIT`` sets are compared exhaustively by their minwise sketches, in two rounds: each set first meets the
-first set it is near to, which joins a group of near copies by a row per set; once those links are confirmed, all near
-pairs of different classes follow. A larger node compares all of its sets with two of them (its first by id and its first
+Nodes of up to ``LIMIT`` sets are compared exhaustively by their minwise sketches, in three rounds: each set first meets the
+set it is nearest to, then the nearest of every other class, which joins a group of near copies by a row per set; once those
+links are confirmed, all near pairs of different classes follow. A larger node compares all of its sets with two of them (its first by id and its first
 by a hash) and branches again; a node whose sets are all in one class needs no further comparison. At ``DEEPEST`` every set of a large node outside its largest
-class meets all others. Sketches only choose candidates: every
+class meets all others by a sketch of ``WIDE`` tokens. Sketches only choose candidates: every
 link is confirmed on the full sets, and pairs of one class are confirmed until the class is connected.
 
 Defined results: null, empty and word-less texts have an empty set and link with nothing; repeated rows of one id
@@ -35,11 +35,11 @@ COORDS = 48
 LIMIT = 48
 FIRST_DEPTH = 2
 DEEPEST = 9
-LOOSE = 0.6  # sketch agreement from which a pair is confirmed; three and a half deviations below 0.8
+WIDE = 2048  # minwise tokens of the sets that are still together at the last level
 SMALL = 500_000
 _words = re.compile(r"[^\x20\x09-\x0D]+").findall
 _lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-_mult = (np.random.default_rng(7).integers(1, 1 << 63, COORDS, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
+_mult = (np.random.default_rng(7).integers(1, 1 << 63, WIDE, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -61,6 +61,11 @@ def recall(threshold: float, trees: int, depth: int) -> float:
     return 1 - (1 - q) ** trees
 
 
+def loose(threshold: float, coords: int) -> float:
+    """Sketch agreement from which a pair is confirmed: three and a half deviations below the threshold."""
+    return threshold - 3.5 * (threshold * (1 - threshold) / coords) ** 0.5
+
+
 def shingles(text: str, width: int) -> set[tuple[str, ...]]:
     """The set itself, as tuples of words."""
     w = _words(text.translate(_lower) if not text.islower() else text)
@@ -101,12 +106,12 @@ class Hasher:
         return out
 
 
-def _sketch(sets: list[np.ndarray]) -> np.ndarray:
+def _sketch(sets: list[np.ndarray], coords: int = COORDS) -> np.ndarray:
     """16-bit minwise tokens, one row per non-empty set."""
     flat = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
     starts = np.concatenate([[0], np.cumsum([len(s) for s in sets])[:-1]]).astype(np.int64)
-    out = np.empty((len(sets), COORDS), np.uint16)
-    for j in range(COORDS):
+    out = np.empty((len(sets), coords), np.uint16)
+    for j in range(coords):
         turned = flat * _mult[j]
         turned ^= turned >> np.uint64(29)
         low = np.minimum.reduceat(turned, starts)
@@ -148,7 +153,15 @@ def _documents(batches, width: int):
 
 
 def _unpack(column) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(-1, COORDS)
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(len(column), -1)
+
+
+def _widened(batches, width: int):
+    """Longer sketches of the sets of ``id, text``."""
+    hasher = Hasher()
+    for batch, texts in pieces(batches, "text", CHUNK // 8):
+        sketch = _sketch(hasher.sets(texts, width), WIDE)
+        yield pa.RecordBatch.from_pydict({"id": batch.column("id"), "sketch": pa.array([r.tobytes() for r in sketch], pa.binary())})
 
 
 def _rooted(batches, trees: int, threshold: float):
@@ -163,34 +176,36 @@ def _rooted(batches, trees: int, threshold: float):
                 rows, path = children(path, sketch[at], threshold)
                 at = at[rows]
             take = pa.array(at)
-            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(np.zeros(len(path), bool)), *(part.column(c).take(take) for c in COLUMNS[2:])], COLUMNS)
+            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(np.zeros(len(path), np.int32)), *(part.column(c).take(take) for c in COLUMNS[2:])], COLUMNS)
 
 
-NODE = "path long, full boolean, id long, class long, n long, sketch binary"
+NODE = "path long, round int, id long, class long, n long, sketch binary"
 FOUND = f"a long, b long, {NODE}"
-COLUMNS = ["path", "full", "id", "class", "n", "sketch"]
+COLUMNS = ["path", "round", "id", "class", "n", "sketch"]
 
 
 def _compare(batches, threshold: float, last: bool):
     """Candidate pairs (a, b) of each node, and rows (a, b null) to come back with their new classes: those of large nodes
-    under their children, and those of small nodes with more near pairs than were given, then to be compared in full."""
-    for node in aligned(batches, ["path"], 20_000):
-        path, full, ids, label, n = (node.column(c).to_numpy() for c in COLUMNS[:5])
+    under their children, and those of small nodes with more near pairs than were given. In a small node's round 0 each set
+    gets its nearest one; in round 1 its nearest one of every other class; in round 2 all near pairs of two classes follow."""
+    for node in aligned(batches, ["path"], 4_000 if last else 20_000):
+        path, turn, ids, label, n = (node.column(c).to_numpy() for c in COLUMNS[:5])
         sketch = _unpack(node.column("sketch"))
         starts = starts_of(path)
         sizes = np.diff(np.r_[starts, len(path)])
         size = np.repeat(sizes, sizes)
         pairs: list[np.ndarray] = []
 
-        def near(i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-            """Those of the pairs of rows that may be linked and are not known to be in one class."""
+        def near(i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            """Those of the pairs of rows that may be linked and are not known to be in one class, and how near they seem."""
             ok = (label[i] != label[j]) & (ids[i] != ids[j])
             ok &= np.minimum(n[i], n[j]) >= threshold * np.maximum(n[i], n[j]) - 1e-9
             i, j = i[ok], j[ok]
-            close = np.zeros(len(i), bool)
-            for a in range(0, len(i), 100_000):
-                close[a : a + 100_000] = (sketch[i[a : a + 100_000]] == sketch[j[a : a + 100_000]]).mean(axis=1) >= LOOSE
-            return i[close], j[close]
+            like, step = np.zeros(len(i)), max(1, 4_000_000 // sketch.shape[1])
+            for a in range(0, len(i), step):
+                like[a : a + step] = (sketch[i[a : a + step]] == sketch[j[a : a + step]]).mean(axis=1)
+            close = like >= loose(threshold, sketch.shape[1])
+            return i[close], j[close], like[close]
 
         def give(i: np.ndarray, j: np.ndarray):
             if len(i):
@@ -205,14 +220,17 @@ def _compare(batches, threshold: float, last: bool):
             found.append(near(i, i + off))
         back = np.zeros(len(path), bool)
         if found:
-            i, j = (np.concatenate([f[k] for f in found]) for k in (0, 1))
-            give(i[full[i]], j[full[i]])
-            i, j = i[~full[i]], j[~full[i]]
-            order = np.lexsort((i, j))  # each set with the first it is near to: enough to join a group of copies
-            i, j = i[order], j[order]
-            lead = np.r_[True, j[1:] != j[:-1]][: len(j)]
-            give(i[lead], j[lead])
-            back[np.isin(path, path[j[~lead]])] = True
+            i, j, like = (np.concatenate([f[k] for f in found]) for k in range(3))
+            rest = turn[i] >= 2
+            give(i[rest], j[rest])
+            i, j, like = i[~rest], j[~rest], like[~rest]
+            me, other = np.r_[i, j], np.r_[j, i]
+            kind = np.where(turn[me] > 0, label[other], 0)
+            order = np.lexsort((other, -np.r_[like, like], kind, me))
+            me, other, kind = me[order], other[order], kind[order]
+            lead = np.r_[True, (me[1:] != me[:-1]) | (kind[1:] != kind[:-1])][: len(me)]
+            give(me[lead], other[lead])
+            back[np.isin(path, path[me[~lead]])] = True
         large = np.flatnonzero(sizes > LIMIT)
         again = []
         for s, m in zip(starts[large], sizes[large]):
@@ -224,22 +242,22 @@ def _compare(batches, threshold: float, last: bool):
                 kind, where, count = np.unique(label[own], return_inverse=True, return_counts=True)
                 pivots = own[where != count.argmax()].tolist()
             for p in pivots:
-                give(*near(np.full(m, p), own))
+                give(*near(np.full(m, p), own)[:2])
             if not last:
                 again.append(own)
         if pairs:
             p = np.unique(np.concatenate(pairs, axis=1), axis=1)
-            kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
             yield pa.RecordBatch.from_pydict({"a": p[0], "b": p[1]} | {c: pa.nulls(p.shape[1], t) for c, t in zip(COLUMNS, kinds)})
-        at, below, whole = np.flatnonzero(back), path[back].view(np.uint64), np.ones(int(back.sum()), bool)
+        at, below, then = np.flatnonzero(back), path[back].view(np.uint64), turn[back] + 1
         if again:
             own = np.concatenate(again)
             child, deeper = children(path[own].view(np.uint64), sketch[own], threshold)
-            at, below, whole = np.r_[at, own[child]], np.r_[below, deeper], np.r_[whole, np.zeros(len(child), bool)]
+            at, below, then = np.r_[at, own[child]], np.r_[below, deeper], np.r_[then, np.zeros(len(child), np.int64)]
         if len(at):
             take = pa.array(at)
             kept = [node.column(c).combine_chunks().take(take) for c in COLUMNS[2:]]
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(at), pa.int64()), pa.nulls(len(at), pa.int64()), pa.array(below.view(np.int64)), pa.array(whole), *kept], ["a", "b", *COLUMNS])
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(at), pa.int64()), pa.nulls(len(at), pa.int64()), pa.array(below.view(np.int64)), pa.array(then, pa.int32()), *kept], ["a", "b", *COLUMNS])
 
 
 def _confirm(batches, width: int, percent: int):
@@ -303,8 +321,11 @@ def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int = 10)
     if rows.select("doc_id").distinct().count() < rows.count():  # ids that repeat: take the text whose set is meant
         texts = _own_texts(given, reps, width)
     links = tested = labels = None
-    for depth in range(FIRST_DEPTH, DEEPEST + 2):  # one more round for what small nodes left
+    for depth in range(FIRST_DEPTH, DEEPEST + 3):  # two more for what small nodes left
         last = depth >= DEEPEST
+        if depth == DEEPEST:  # what is left is alike: longer sketches tell apart what is just below the threshold
+            alike = texts.join(nodes.select("id").distinct(), "id", "left_semi")
+            nodes = nodes.drop("sketch").join(alike.mapInArrow(lambda b: _widened(b, width), "id long, sketch binary"), "id").select(*COLUMNS)
         dealt = nodes.repartition(F.col("path")).sortWithinPartitions("path", "id")
         out = written(dealt.mapInArrow(lambda b, last=last: _compare(b, threshold, last), FOUND), "nodes")
         pairs = out.where("a is not null").select("a", "b").distinct()
@@ -317,10 +338,10 @@ def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int = 10)
             links = fresh if links is None else links.unionByName(fresh)
             tested = pairs if labels is None else tested.unionByName(pairs)
             labels = components(links)
-        if depth > DEEPEST or not deeper.limit(1).count():
+        if depth > DEEPEST + 1 or not deeper.limit(1).count():
             break
         if labels is not None:
-            deeper = deeper.join(labels.withColumnRenamed("class", "now"), "id", "left").select("path", "full", "id", F.coalesce("now", "id").alias("class"), "n", "sketch")
+            deeper = deeper.join(labels.withColumnRenamed("class", "now"), "id", "left").select("path", "round", "id", F.coalesce("now", "id").alias("class"), "n", "sketch")
         nodes = deeper
     members = rows.withColumn("known", known).join(reps.withColumnRenamed("id", "rep"), ["s1", "s2", "n"], "left")
     if labels is None:
