@@ -30,6 +30,7 @@ from .common import pieces, widened
 CHUNK = 4_000_000
 LONG = 64
 KEPT_WORDS = 400_000
+KEPT_WITH_IDS = 150_000  # beside the heap of a pipeline's other stages
 SLOT_BITS = 21
 NO_RANK = (1 << 31) - 1
 _NONE = np.int64(1) << 62
@@ -43,9 +44,11 @@ def read_ranks(path: str) -> dict[bytes, int]:
 class Folder:
     """Folds words by the ranks of one file; keeps a bounded memo of words met before."""
 
-    def __init__(self, path: str, pattern: str):
+    def __init__(self, path: str, pattern: str, ids: bool = False):
         import regex
 
+        self.ids, self.kept = ids, KEPT_WITH_IDS if ids else KEPT_WORDS
+
         self.ranks = read_ranks(path)
         self.words = regex.compile(pattern).findall
         self.piece = {i: b for b, i in self.ranks.items()}
@@ -58,7 +61,7 @@ class Folder:
                 if left is not None and right is not None:
                     pairs[left << 20 | right] = rank
         self._table(np.array(list(pairs), np.int64), np.array(list(pairs.values()), np.int64))
-        self.memo: dict[str, tuple[str, int, bytes, bytes]] = {}
+        self.memo: dict[str, tuple] = {}  # (ids as text, number, bytes), or (ids as 32-bit integers, bytes)
 
     @staticmethod
     def _slot(pair: np.ndarray) -> np.ndarray:
@@ -158,7 +161,8 @@ class Folder:
                 ids[i] = self.fold_long(r)
         shown, piece = self.shown.__getitem__, self.piece.__getitem__
         for w, found in zip(new, ids):
-            self.memo[w] = " ".join(map(shown, found)), len(found), b"".join(map(piece, found)), array("i", found).tobytes()
+            raw = b"".join(map(piece, found))
+            self.memo[w] = (array("i", found).tobytes(), raw) if self.ids else (" ".join(map(shown, found)), len(found), raw)
 
     def texts(self, texts: list[str]):
         """The memo entries of the words of each text, in order."""
@@ -168,13 +172,13 @@ class Folder:
         get = self.memo.__getitem__
         for words in cut:
             yield list(map(get, words))
-        if len(self.memo) > KEPT_WORDS:  # the words of this slice are the likeliest to come again
+        if len(self.memo) > self.kept:  # the words of this slice are the likeliest to come again
             self.memo = {w: self.memo[w] for w in need}
 
 
 @lru_cache(maxsize=2)
-def folder(path: str, pattern: str) -> Folder:
-    return Folder(path, pattern)
+def folder(path: str, pattern: str, ids: bool = False) -> Folder:
+    return Folder(path, pattern, ids)
 
 
 def _digest(batches, path: str, pattern: str):
@@ -182,7 +186,7 @@ def _digest(batches, path: str, pattern: str):
     for batch, texts in pieces(batches, "text", CHUNK):
         n, ids, back = [], [], []
         for entries in own.texts(texts):
-            shown, counts, raw, _ = zip(*entries) if entries else ((), (), (), ())
+            shown, counts, raw = zip(*entries) if entries else ((), (), ())
             n.append(sum(counts))
             ids.append(hashlib.sha256(" ".join(shown).encode()).hexdigest())
             back.append(hashlib.sha256(b"".join(raw)).hexdigest())
@@ -195,9 +199,9 @@ def digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
 
 def _encode(batches, path: str, pattern: str):
-    own = folder(path, pattern)
-    for batch, texts in pieces(batches, "text", CHUNK):
-        raw = [b"".join([e[3] for e in entries]) for entries in own.texts(texts)]
+    own = folder(path, pattern, True)
+    for batch, texts in pieces(batches, "text", CHUNK // 4):
+        raw = [b"".join([e[0] for e in entries]) for entries in own.texts(texts)]
         ends = np.cumsum([0, *(len(r) // 4 for r in raw)])
         ids = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.frombuffer(b"".join(raw), np.int32)))
         yield pa.RecordBatch.from_arrays([*batch.columns, ids], [*batch.schema.names, "token_ids"])
@@ -225,12 +229,12 @@ def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
 
 
 def _round_trip(batches, path: str, pattern: str):
-    own = folder(path, pattern)
-    for batch, texts in pieces(batches, "text", CHUNK):
+    own = folder(path, pattern, True)
+    for batch, texts in pieces(batches, "text", CHUNK // 4):
         ids, back = [], []
         for entries in own.texts(texts):
-            ids.append(b"".join([e[3] for e in entries]))
-            back.append(b"".join([e[2] for e in entries]))
+            ids.append(b"".join([e[0] for e in entries]))
+            back.append(b"".join([e[1] for e in entries]))
         same = pa.array([b == t.encode("utf-8", "surrogatepass") for b, t in zip(back, texts)])
         ends = np.cumsum([0, *(len(r) // 4 for r in ids)])
         tokens = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.frombuffer(b"".join(ids), np.int32)))

@@ -35,6 +35,7 @@ STRIDE = 12
 RANK = 96
 PASSAGE = 128
 COMMON = 0.1
+PRIOR = 100  # passages without the word that every share counts besides
 LEAST_COSINE = 0.45
 LEAST_SHARE = 0.2
 COPY = 0.7
@@ -84,7 +85,7 @@ class Space:
         rare = lambda w: (counts.get(w, 0), w)
         self.answers = [set(sorted(set(t), key=rare)[:ANSWER_WORDS]) for t in self.texts]
         # words of more than COMMON of the passages tell nothing, but where they are all an item has
-        telling = {w for t in self.texts for w in t if counts.get(w, 0) <= COMMON * total}.union(*self.answers)
+        telling = {w for t in self.texts for w in t if counts.get(w, 0) <= COMMON * (total + PRIOR)}.union(*self.answers)
         self.at = {w: k for k, w in enumerate(sorted(telling))}
         n = np.array([counts.get(w, 0) for w in self.at], float)
         self.idf = np.log((1 + total) / (1 + n)) + 0.1
