@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from private_traces.config import SplitWeights, SynthesisConfig, equal_split, prior_split
 from private_traces.functions import lattice, noise
-from private_traces.operators import experiments, generator, grid, ledger, metrics, relational, report, statistics, synopsis, tuning
+from private_traces.operators import bulk, experiments, generator, grid, ledger, metrics, relational, report, statistics, synopsis, tuning
 from private_traces.sources import views
 from private_traces.streaming import sessions
 
@@ -595,6 +595,14 @@ def tune_small(spark, sf_dir):
     return experiments.convergence_study(spark, sf_dir, explore=4, guided=3, n_tune=2000).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
 
 
+@query(sql.BULK)
+def bulk_exploration(spark, sf_dir):
+    """Forty candidate splits on a uniform 6 x 6 grid, evaluated in one job."""
+    g = grid.uniform_grid(DRIFT, 6, 6)
+    found = bulk.trip_errors(statistics.trip_counts(_grid6(spark, sf_dir)), g, sql.bulk_weights(), 1.0, CFG.seed)
+    return found.select("eval_id", *r6("value"))
+
+
 def tuned(weights: SplitWeights) -> SplitWeights:
     return weights.validate()
 

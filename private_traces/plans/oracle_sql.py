@@ -157,3 +157,21 @@ SELECT user_id, min(ts)::TIMESTAMP AS first_ts, max(ts)::TIMESTAMP AS last_ts, c
 ASOF = view("user_long") + """, sec AS (SELECT trace_id, seq, x, y, floor(epoch_us(ts) / 1000000)::BIGINT AS s FROM user_long), span AS (SELECT trace_id, (ceil(arg_min(s, seq) / 21600.0) * 21600)::BIGINT AS a, arg_max(s, seq) AS b FROM sec GROUP BY 1),
 g AS (SELECT trace_id, unnest(range(a, b + 1, 21600)) AS g FROM span)
 SELECT g.trace_id, make_timestamp(g.g * 1000000) AS at, round(arg_max(x, seq), 6) AS x, round(arg_max(y, seq), 6) AS y FROM g JOIN sec ON sec.trace_id = g.trace_id AND sec.s <= g.g GROUP BY 1, 2"""
+
+
+def bulk_weights(n: int = 40):
+    """Candidates whose trip share runs from 0.05 to 0.83."""
+    import numpy as np
+
+    w3 = 0.05 + 0.02 * np.arange(n)
+    return np.stack([(1 - w3) / 3, (1 - w3) / 3, w3, (1 - w3) / 3], axis=1)
+
+
+BULK = GRID6 + f""", cnt AS (SELECT start_cell AS s, end_cell AS e, count(*)::DOUBLE AS c FROM trips6 GROUP BY 1, 2),
+base AS (SELECT a.range AS s, b.range AS e, coalesce(c, 0) AS c, {laplace(1.0, 'trip', 'a.range', 'b.range')} AS unit FROM range(36) a CROSS JOIN range(36) b LEFT JOIN cnt ON cnt.s = a.range AND cnt.e = b.range),
+raw AS (SELECT v.range::INTEGER AS eval_id, s, e, c, c + unit / (0.05 + 0.02 * v.range) AS m FROM base, range(40) v),
+ranked AS (SELECT eval_id, m, row_number() OVER (PARTITION BY eval_id ORDER BY m DESC) AS i, sum(m) OVER (PARTITION BY eval_id ORDER BY m DESC ROWS UNBOUNDED PRECEDING) AS up, sum(m) OVER (PARTITION BY eval_id) AS total FROM raw),
+lev AS (SELECT eval_id, arg_max((up - total) / i, i) AS level FROM ranked WHERE m > (up - total) / i GROUP BY 1),
+clean AS (SELECT eval_id, c, greatest(0, m - level) AS m FROM raw JOIN lev USING (eval_id)),
+sides AS (SELECT eval_id, c / sum(c) OVER (PARTITION BY eval_id) AS x, m / sum(m) OVER (PARTITION BY eval_id) AS y FROM clean)
+SELECT eval_id, round(sum((CASE WHEN x > 0 THEN 0.5 * x * log2(2 * x / (x + y)) ELSE 0 END) + (CASE WHEN y > 0 THEN 0.5 * y * log2(2 * y / (x + y)) ELSE 0 END)), 6) AS value FROM sides GROUP BY 1"""

@@ -308,3 +308,12 @@ def test_bad_readings_are_dropped(spark):
 def test_scan_reads_only_what_it_needs(spark, sf):
     plan = views.order_trips(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "l_comment" not in plan and "l_extendedprice" in plan
+
+
+def test_data_source_samples_a_released_synopsis(spark, syn, tmp_path):
+    from private_traces.sources import synthetic
+
+    syn.trips.write.parquet(str(tmp_path / "trips"))
+    synthetic.register(spark)
+    got = spark.read.format("synthetic_trips").option("synopsis", str(tmp_path / "trips")).option("n", 300).load()
+    assert got.count() == 300 and got.join(syn.trips, ["start_cell", "end_cell"], "left_anti").count() == 0
