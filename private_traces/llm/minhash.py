@@ -278,7 +278,8 @@ def _confirm(batches, width: int, percent: int):
 
 def confirmed(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets reach the threshold. ``texts``: id, text of the sets' representatives."""
-    ids = written(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "ids")
+    sides = [pairs.select(F.col(c).alias("id")).distinct() for c in ("a", "b")]  # each side's repeats go before they meet
+    ids = written(sides[0].union(sides[1]).distinct(), "ids")
     few = ids.count() <= SMALL  # 8 bytes a row: a checked bound for a broadcast
     own = written(texts.join(F.broadcast(ids) if few else ids, "id", "left_semi"), "texts")
     left, right = own.select(F.col("id").alias("a"), F.col("text").alias("ta")), own.select(F.col("id").alias("b"), F.col("text").alias("tb"))
@@ -346,7 +347,8 @@ def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int = 10)
     members = rows.withColumn("known", known).join(reps.withColumnRenamed("id", "rep"), ["s1", "s2", "n"], "left")
     if labels is None:
         return members.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("rep")).otherwise(F.col("known")).alias("component_id"), F.lit(0).cast("long").alias("n_links"))
-    degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
+    ends = [links.groupBy(F.col(c).alias("rep")).agg(F.count("*").alias("k")) for c in ("a", "b")]
+    degree = ends[0].union(ends[1]).groupBy("rep").agg(F.sum("k").alias("n_links"))
     joined = members.join(labels.select(F.col("id").alias("rep"), "class"), "rep", "left").join(degree, "rep", "left")
     return joined.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("class", "rep", "known").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
