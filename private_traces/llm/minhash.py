@@ -2,11 +2,13 @@
 
 A document's set is its distinct word shingles (``width`` words, A-Z lower-cased; a text of fewer words is one
 shingle). Documents with equal sets are joined first by two sums of shingle hashes, so a group of copies is one
-set from there on. Each set has ``COORDS`` minwise tokens. In each of ``trees`` independent trees a node picks,
+set from there on. Each set has ``COORDS`` minwise tokens of its own in each of ``trees`` trees. In a tree a node picks,
 by a hash of its path, on average 1/threshold of the coordinates; a set goes to one child per picked
 coordinate, named by its minwise token there. Two sets that agree with probability at or above the threshold
-share a child at every level with a probability that falls only slowly with depth, and independent trees raise
-the recall to the target (``recall`` gives the bound).
+share a child at every level with a probability that falls only slowly with depth, and trees raise the recall: no two
+share a coordinate, so they fail independently. ``recall`` counts that all picks of one tree come from the same
+``COORDS`` tokens, and that its sketch may fall below the cut; ``trees_for`` takes as many trees as miss a pair at the
+threshold with a chance of at most ``MISS`` at the last level.
 
 Nodes of up to ``LIMIT`` sets are compared exhaustively by their minwise sketches, in three rounds: each set first meets the
 set it is nearest to, then the nearest of every other class, which joins a group of near copies by a row per set; once those
@@ -21,7 +23,9 @@ count as one document with the set of each row; a null id takes part and sorts f
 
 from __future__ import annotations
 
+import math
 import re
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -31,15 +35,15 @@ from pyspark.sql import functions as F
 from .common import aligned, pieces, starts_of, written
 
 CHUNK = 2_000_000
-COORDS = 48
+COORDS = 32  # minwise tokens of each tree
 LIMIT = 48
 FIRST_DEPTH = 2
 DEEPEST = 9
 WIDE = 2048  # minwise tokens of the sets that are still together at the last level
+MISS = 1e-4  # the chance that a pair at the threshold is not found
 SMALL = 500_000
 _words = re.compile(r"[^\x20\x09-\x0D]+").findall
 _lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-_mult = (np.random.default_rng(7).integers(1, 1 << 63, WIDE, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -52,18 +56,35 @@ def mixed(x: np.ndarray) -> np.ndarray:
 
 
 def recall(threshold: float, trees: int, depth: int) -> float:
-    """The chance that a pair at the threshold meets in some tree at ``depth``."""
-    q = 1.0
-    extra = 1 / threshold - 1
-    for _ in range(depth):
-        one = threshold * q
-        q = (1 - extra) * one + extra * (1 - (1 - one) ** 2)
-    return 1 - (1 - q) ** trees
+    """The chance that a pair at the threshold meets in some tree at ``depth`` and passes the cut there. Within a tree both
+    hang on how many of its ``COORDS`` tokens agree."""
+    extra, one_tree = 1 / threshold - 1, 0.0
+    for agree in range(COORDS + 1):
+        if agree < loose(threshold, COORDS) * COORDS:
+            continue
+        q = 1.0
+        for _ in range(depth):
+            one = agree / COORDS * q
+            q = (1 - extra) * one + extra * (1 - (1 - one) ** 2)
+        one_tree += math.comb(COORDS, agree) * threshold**agree * (1 - threshold) ** (COORDS - agree) * q
+    return 1 - (1 - one_tree) ** trees
+
+
+def trees_for(threshold: float) -> int:
+    """The least number of trees that miss a pair at the threshold with a chance of at most ``MISS`` at ``DEEPEST``, the cut of
+    the long sketches there included."""
+    cut = math.erfc(deviations(WIDE) / math.sqrt(2)) / 2
+    return math.ceil(math.log(MISS - cut) / math.log(1 - recall(threshold, 1, DEEPEST)))
+
+
+def deviations(coords: int) -> float:
+    """How far below the threshold the cut is: a short sketch has other trees to make good for it, the long one has not."""
+    return 4.0 if coords >= WIDE else 3.5
 
 
 def loose(threshold: float, coords: int) -> float:
-    """Sketch agreement from which a pair is confirmed: three and a half deviations below the threshold."""
-    return threshold - 3.5 * (threshold * (1 - threshold) / coords) ** 0.5
+    """Sketch agreement from which a pair is confirmed."""
+    return threshold - deviations(coords) * (threshold * (1 - threshold) / coords) ** 0.5
 
 
 def shingles(text: str, width: int) -> set[tuple[str, ...]]:
@@ -106,16 +127,24 @@ class Hasher:
         return out
 
 
-def _sketch(sets: list[np.ndarray], coords: int = COORDS) -> np.ndarray:
+@lru_cache(maxsize=4)
+def _turns(coords: int) -> np.ndarray:
+    """Odd multipliers and offsets of the coordinates."""
+    turns = np.random.default_rng(7).integers(0, 1 << 32, (2, coords), dtype=np.uint32)
+    turns[0] |= np.uint32(1)
+    return turns
+
+
+def _sketch(sets: list[np.ndarray], coords: int) -> np.ndarray:
     """16-bit minwise tokens, one row per non-empty set."""
-    flat = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
+    flat = (np.concatenate(sets) if sets else np.zeros(0, np.uint64)) >> np.uint64(32)
+    flat, turned = flat.astype(np.uint32), np.empty(len(flat), np.uint32)
     starts = np.concatenate([[0], np.cumsum([len(s) for s in sets])[:-1]]).astype(np.int64)
     out = np.empty((len(sets), coords), np.uint16)
-    for j in range(coords):
-        turned = flat * _mult[j]
-        turned ^= turned >> np.uint64(29)
-        low = np.minimum.reduceat(turned, starts)
-        out[:, j] = mixed(low) & np.uint64(0xFFFF)
+    for j, (by, add) in enumerate(_turns(coords).T):
+        np.multiply(flat, by, out=turned)
+        np.add(turned, add, out=turned)
+        out[:, j] = mixed(np.minimum.reduceat(turned, starts)) & np.uint64(0xFFFF)
     return out
 
 
@@ -137,12 +166,12 @@ def children(path: np.ndarray, sketch: np.ndarray, threshold: float) -> tuple[np
     return at, mixed(mixed(path[at] + np.uint64(0x51ED2701)) ^ (token << np.uint64(8)) ^ coord.astype(np.uint64) ^ np.uint64(1 << 40))
 
 
-def _documents(batches, width: int):
+def _documents(batches, width: int, coords: int):
     hasher = Hasher()
     for batch, texts in pieces(batches, "text", CHUNK):
         sets = hasher.sets(texts, width)
         some = [i for i, s in enumerate(sets) if len(s)]
-        sketch = _sketch([sets[i] for i in some]) if some else np.zeros((0, COORDS), np.uint16)
+        sketch = _sketch([sets[i] for i in some], coords) if some else np.zeros((0, coords), np.uint16)
         row = dict(zip(some, sketch))
         yield pa.RecordBatch.from_pydict({
             "doc_id": batch.column("doc_id"), "n": pa.array([len(s) for s in sets], pa.int64()),
@@ -156,6 +185,12 @@ def _unpack(column) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(len(column), -1)
 
 
+def _packed(sketch: np.ndarray) -> pa.Array:
+    """The rows as a binary column."""
+    ends = np.arange(len(sketch) + 1, dtype=np.int32) * np.int32(2 * sketch.shape[1])
+    return pa.Array.from_buffers(pa.binary(), len(sketch), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(sketch))])
+
+
 def _widened(batches, width: int):
     """Longer sketches of the sets of ``id, text``."""
     hasher = Hasher()
@@ -165,18 +200,19 @@ def _widened(batches, width: int):
 
 
 def _rooted(batches, trees: int, threshold: float):
-    """Every set under each of its nodes at the first depth."""
+    """Every set under each of its nodes at the first depth, with the tokens of the node's tree."""
     for batch in batches:
         for a in range(0, batch.num_rows, 5000):
             part = batch.slice(a, 5000)
-            sketch = _unpack(part.column("sketch"))
-            at = np.tile(np.arange(part.num_rows), trees)
-            path = np.repeat(mixed(np.arange(1, trees + 1, dtype=np.uint64)), part.num_rows)
+            sketch = _unpack(part.column("sketch")).reshape(part.num_rows, trees, COORDS)
+            at, tree = np.tile(np.arange(part.num_rows), trees), np.repeat(np.arange(trees), part.num_rows)
+            path = mixed(tree.astype(np.uint64) + np.uint64(1))
             for _ in range(FIRST_DEPTH):
-                rows, path = children(path, sketch[at], threshold)
-                at = at[rows]
+                rows, path = children(path, sketch[at, tree], threshold)
+                at, tree = at[rows], tree[rows]
             take = pa.array(at)
-            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(np.zeros(len(path), np.int32)), *(part.column(c).take(take) for c in COLUMNS[2:])], COLUMNS)
+            own = [*(part.column(c).take(take) for c in COLUMNS[2:5]), _packed(sketch[at, tree])]
+            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(np.zeros(len(path), np.int32)), *own], COLUMNS)
 
 
 NODE = "path long, round int, id long, class long, n long, sketch binary"
@@ -307,11 +343,13 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int = 10) -> DataFrame:
-    """``doc_id, n_shingles, component_id, n_links`` of every row; ``n_links``: confirmed links of its set."""
+def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int | None = None) -> DataFrame:
+    """``doc_id, n_shingles, component_id, n_links`` of every row; ``n_links``: confirmed links of its set. ``trees``: as many
+    as ``trees_for`` says where no number is given."""
     threshold = percent / 100
+    trees = trees or trees_for(threshold)
     given = docs.select("doc_id", "text")
-    rows = written(given.mapInArrow(lambda b: _documents(b, width), "doc_id long, n long, s1 long, s2 long, sketch binary"), "sets")
+    rows = written(given.mapInArrow(lambda b: _documents(b, width, trees * COORDS), "doc_id long, n long, s1 long, s2 long, sketch binary"), "sets")
     some = rows.where("n > 0")
     # the sketch is a function of the set, so any row's serves; null ids stand as the smallest number
     known = F.coalesce("doc_id", F.lit(-(1 << 63)))

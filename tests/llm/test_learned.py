@@ -165,6 +165,42 @@ def test_near_duplicate_edge_cases(spark):
     assert minhash.classes(df.limit(0)).count() == 0
 
 
+def test_links_survive_the_last_level(spark):
+    """1,200 sets that are all alike at 0.78, in pairs at 0.80 to 0.82: one missed link parts a pair."""
+    rows = []
+    for k in range(600):
+        own, shared = 18 + k % 3, [f"s{i}" for i in range(158)] + [f"p{k}.{i}" for i in range(2)]
+        rows += [(2 * k + side, " ".join(shared + [f"o{k}.{side}.{i}" for i in range(own)])) for side in (0, 1)]
+    held = [set(t.split()) for _, t in rows]
+    names = {w: i for i, w in enumerate(sorted(set().union(*held)))}
+    bits = np.zeros((len(held), len(names)), np.float32)
+    for i, h in enumerate(held):
+        bits[i, [names[w] for w in h]] = 1
+    both, n = bits @ bits.T, bits.sum(axis=1)
+    like = both / (n[:, None] + n - both)
+    np.fill_diagonal(like, 0)
+    assert {(min(a, b), max(a, b)) for a, b in zip(*np.nonzero(like >= 0.8 - 1e-6))} == {(2 * k, 2 * k + 1) for k in range(600)} and like.max() < 0.82
+    got = {x.doc_id: x.component_id for x in minhash.classes(spark.createDataFrame(rows, "doc_id long, text string"), width=1).collect()}
+    assert got == {i: i - i % 2 for i in range(1200)}
+
+
+def test_recall_counts_what_a_tree_shares():
+    """The bound against trees grown over random tokens of pairs at the threshold."""
+    trees = minhash.trees_for(0.8)
+    assert minhash.recall(0.8, trees, minhash.DEEPEST) > 1 - minhash.MISS
+    r = np.random.default_rng(2)
+    n, coords = 4000, minhash.COORDS
+    a = r.integers(0, 1 << 16, (n, coords)).astype(np.uint16)
+    b = np.where(r.random((n, coords)) < 0.8, a, r.integers(0, 1 << 16, (n, coords)).astype(np.uint16))
+    enough = (a == b).mean(axis=1) >= minhash.loose(0.8, coords)
+    at, path = np.arange(n), minhash.mixed(np.arange(1, n + 1))  # a tree of its own for each pair
+    for _ in range(minhash.DEEPEST):
+        (rows, left), (_, right) = minhash.children(path, a[at], 0.8), minhash.children(path, b[at], 0.8)
+        at, path = at[rows][left == right], left[left == right]
+    met = np.isin(np.arange(n), at) & enough
+    assert met.mean() > minhash.recall(0.8, 1, minhash.DEEPEST) - 0.025
+
+
 @pytest.mark.parametrize("sf_dir", ["/root/testdata/sf0.001"])
 def test_pipeline_stages(spark, sf_dir):
     import corpus_pipeline as c
