@@ -595,6 +595,38 @@ def tune_small(spark, sf_dir):
     return experiments.convergence_study(spark, sf_dir, explore=4, guided=3, n_tune=2000).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
 
 
+@query()
+def tuned_history(spark, sf_dir):
+    """The tuned method as proposed: 100 random and 100 guided evaluations on the whole drift view."""
+    return experiments.convergence_study(spark, sf_dir, "drift_trips").select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
+
+
+@query()
+def convergence_run(spark, sf_dir):
+    """The same 100 and 100 evaluations on the small view."""
+    return experiments.convergence_study(spark, sf_dir).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
+
+
+@query()
+def tuned_release(spark, sf_dir):
+    """What the tuned method is for: the full-size synthetic table made with the winning weights."""
+    made, _ = tuning.tune(views.drift_trips(spark, sf_dir), DRIFT, CFG).finalise()
+    return views.points(made).select("trace_id", "seq", *r6("x", "y"))
+
+
+@query()
+def comparison_table(spark, sf_dir):
+    """Four errors, three epsilons, the whole and the small drift view, five methods; tuned ones with 100 and 100 evaluations."""
+    return experiments.comparison_grid(spark, [("drift_trips", sf_dir), ("subset_trips", sf_dir)]).select("metric", "epsilon", "dataset", "method", "weights", "trial", *r6("value"))
+
+
+@query()
+def weight_table(spark, sf_dir):
+    """Winning weights of four errors where epsilon changes on one view, and where the view changes at one epsilon."""
+    combos = [("drift_trips", sf_dir, 0.5), ("drift_trips", sf_dir, 1.0), ("subset_trips", sf_dir, 1.0)]
+    return experiments.weight_study(spark, combos).select("dataset", "epsilon", "metric", *r6("w1", "w2", "w3", "w4"))
+
+
 @query(sql.BULK)
 def bulk_exploration(spark, sf_dir):
     """Forty candidate splits on a uniform 6 x 6 grid, evaluated in one job."""

@@ -317,3 +317,26 @@ def test_data_source_samples_a_released_synopsis(spark, syn, tmp_path):
     synthetic.register(spark)
     got = spark.read.format("synthetic_trips").option("synopsis", str(tmp_path / "trips")).option("n", 300).load()
     assert got.count() == 300 and got.join(syn.trips, ["start_cell", "end_cell"], "left_anti").count() == 0
+
+
+def test_tuned_queries_are_whole(spark, sf, drift, monkeypatch):
+    """Registered runs search with 100 + 100 evaluations of up to 100,000 traces; the search itself is replaced here."""
+    from private_traces.plans import catalog
+
+    asked, sizes = [], []
+
+    def search(objective, explore, guided, seed=42, **more):
+        asked.append((explore, guided))
+        row = (0, "explore", 0.25, 0.25, 0.25, 0.25, 1, 0.1, 0.1, 0.0)
+        return np.full(4, 0.25), [row]
+
+    monkeypatch.setattr(tuning, "minimise", search)
+    plain = tuning.objective_of
+    monkeypatch.setattr(tuning, "objective_of", lambda real, stats, bounds, cfg, metric, n, *a: (sizes.append((real.total, n)), plain(real, stats, bounds, cfg, metric, n, *a))[1])
+    monkeypatch.setattr(experiments, "runs", lambda *a, **k: [("trip_error", 1, 0.5)])
+    made = catalog.QUERIES["tuned_release"](spark, sf).select("trace_id").distinct().count()
+    assert abs(made - drift.count()) < 0.2 * drift.count()
+    for name in ("tuned_history", "convergence_run", "comparison_table", "weight_table"):
+        assert catalog.QUERIES[name](spark, sf).count() > 0
+    assert set(asked) == {(100, 100)} and len(asked) == 3 + 2 * 3 * 4 * 2 + 3 * 4
+    assert {n for _, n in sizes} == {100_000} and {total for total, _ in sizes} == {drift.count(), views.subset_trips(spark, sf).count()}
