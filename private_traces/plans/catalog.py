@@ -271,12 +271,20 @@ def draw_trips(spark, sf_dir):
 
 @query()
 def draw_trips_quota(spark, sf_dir):
-    return generator.draw_trips(_synopsis(spark, sf_dir).trips, 2000, CFG.seed, "quota")
+    syn = _synopsis(spark, sf_dir)
+    return generator.draw_trips(syn.trips, syn.noisy_total, CFG.seed, "quota")
+
+
+@query()
+def draw_trips_release(spark, sf_dir):
+    """As many draws as a release has; ``draw_trips`` makes the 2,000 that its SQL makes."""
+    syn = _synopsis(spark, sf_dir)
+    return generator.draw_trips(syn.trips, syn.noisy_total, CFG.seed)
 
 
-def _drawn(spark, sf_dir, n=2000):
+def _drawn(spark, sf_dir):
     syn = _synopsis(spark, sf_dir)
-    return syn, generator.draw_lengths(generator.draw_trips(syn.trips, n, CFG.seed), syn.lengths, CFG.max_len, CFG.seed)
+    return syn, generator.draw_lengths(generator.draw_trips(syn.trips, syn.noisy_total, CFG.seed), syn.lengths, CFG.max_len, CFG.seed)
 
 
 @query()
@@ -306,7 +314,13 @@ def synth_points(spark, sf_dir):
 @query()
 def synth_multi_trip(spark, sf_dir):
     syn = _synopsis(spark, sf_dir, "user_long", CFG.but(trips_per_trace=3, top_n=3, max_len=128))
-    return views.points(generator.generate(syn, 200)).select("trace_id", "seq", *r6("x", "y"))
+    return views.points(generator.generate(syn)).select("trace_id", "seq", *r6("x", "y"))
+
+
+@query()
+def synthetic_release(spark, sf_dir):
+    """The whole output of the engine: every reading of a full-size synthetic table."""
+    return views.points(generator.generate(_synopsis(spark, sf_dir))).select("trace_id", "seq", *r6("x", "y"))
 
 
 # ---- metrics against the half set ----

@@ -340,3 +340,13 @@ def test_tuned_queries_are_whole(spark, sf, drift, monkeypatch):
         assert catalog.QUERIES[name](spark, sf).count() > 0
     assert set(asked) == {(100, 100)} and len(asked) == 3 + 2 * 3 * 4 * 2 + 3 * 4
     assert {n for _, n in sizes} == {100_000} and {total for total, _ in sizes} == {drift.count(), views.subset_trips(spark, sf).count()}
+
+
+def test_generation_queries_make_a_full_size_table(spark, sf, drift):
+    from private_traces.plans import catalog
+
+    want = {view: catalog._synopsis(spark, sf, view, cfg=c).noisy_total for view, c in (("drift_trips", CFG), ("user_long", CFG.but(trips_per_trace=3, top_n=3, max_len=128)))}
+    assert abs(want["drift_trips"] - drift.count()) < 0.2 * drift.count() and want["drift_trips"] != 2000
+    for name in ("draw_trips_quota", "draw_trips_release", "draw_lengths", "walk_bridge", "walk_forced_end", "walk_reject", "synth_points", "synthetic_release", "synth_multi_trip"):
+        made = catalog.QUERIES[name](spark, sf).select("trace_id").distinct().count()
+        assert made == want["user_long" if name == "synth_multi_trip" else "drift_trips"], name
