@@ -600,7 +600,7 @@ def no_noise_run(spark, sf_dir):
 
 @query()
 def granularity_study(spark, sf_dir):
-    return experiments.granularity_study(spark, sf_dir, grids=(None, 3, 12))
+    return experiments.granularity_study(spark, sf_dir)
 
 
 @query()
