@@ -5,7 +5,8 @@ all passages of all documents; those of more than ``COMMON`` of them are left to
 vectors found by a randomised SVD: every pass is a distributed product A'(A X) over the passages, summed from one
 partial matrix per task. (3) Each window of ``SPAN`` words of every whole document is projected (as a sum of blocks of
 ``STRIDE`` words) and compared with every item by cosine in that space, and by the share of the item it
-carries; no cap on candidates. (4) Neighbouring candidate windows of one item form a region, which is checked by the longest common
+carries; no cap on candidates. An item of more than ``PART`` words is cut into parts that are retrieved apart and judged
+together, so a window can carry its share of a part however long the item is. (4) Neighbouring candidate windows of one item form a region, which is checked by the longest common
 subsequence with the item. A region that holds ``COPY`` of the item's words in order is a copy; one that holds
 ``PARAPHRASE`` of them must also hold most of the item's ``answer``: its rarest words.
 
@@ -33,6 +34,7 @@ BLOCK = 2_000
 SPAN = 36
 STRIDE = 12
 RANK = 96
+PART = 60  # words of an item that are retrieved as one
 PASSAGE = 128
 COMMON = 0.1
 PRIOR = 100  # passages without the word that every share counts besides
@@ -76,11 +78,14 @@ def _frequencies(batches, vocabulary: frozenset):
 
 
 class Space:
-    """The words of a block of items, their IDF, the projection, and the items in it."""
+    """The words of a block of items, their IDF, the projection, and the parts of the items in it."""
 
     def __init__(self, items: list[tuple[int, str]], counts: dict):
         self.ids = [i for i, _ in items]
         self.texts = [words_of(t or "") for _, t in items]
+        cuts = [np.linspace(0, len(t), max(1, -(-len(t) // PART)) + 1).astype(int).tolist() for t in self.texts]
+        self.parts = [t[a:b] for t, c in zip(self.texts, cuts) for a, b in zip(c, c[1:])]
+        self.owner = np.array([i for i, c in enumerate(cuts) for _ in c[1:]], np.int64)
         total = counts.get(None, 0)
         rare = lambda w: (counts.get(w, 0), w)
         self.answers = [set(sorted(set(t), key=rare)[:ANSWER_WORDS]) for t in self.texts]
@@ -101,10 +106,10 @@ class Space:
         return row, col, w / norm[row]
 
     def project(self, basis: np.ndarray) -> None:
-        """Fix the basis (words x rank); the projected words and items follow."""
+        """Fix the basis (words x rank); the projected words and parts follow."""
         self.word = (self.idf[:, None] * basis).astype(np.float32)
-        item = np.zeros((len(self.texts), basis.shape[1]), np.float32)
-        for i, t in enumerate(self.texts):
+        item = np.zeros((len(self.parts), basis.shape[1]), np.float32)
+        for i, t in enumerate(self.parts):
             if t:
                 item[i] = self.word[[self.at[w] for w in t if w in self.at]].sum(axis=0)
         size = np.linalg.norm(item, axis=1, keepdims=True)
@@ -184,10 +189,10 @@ def candidates(space: Space, texts: list[list[str]]):
         size = np.linalg.norm(window, axis=1)
         along = window @ space.item.T
         w, item = np.nonzero((along >= LEAST_SHARE * space.size) & (along >= LEAST_COSINE * np.maximum(size, 1e-6)[:, None]))
-        cosine = along / np.maximum(size, 1e-6)[:, None]
-        t = text[a : a + 20_000][w]
+        c = along[w, item] / np.maximum(size, 1e-6)[w]
+        t, item = text[a : a + 20_000][w], space.owner[item]
         order = np.lexsort((f[w], item, t))
-        t, item, lo, hi, c = t[order], item[order], f[w][order], e[w][order], cosine[w, item][order]
+        t, item, lo, hi, c = t[order], item[order], f[w][order], e[w][order], c[order]
         cut = np.flatnonzero(np.r_[True, (t[1:] != t[:-1]) | (item[1:] != item[:-1]) | (lo[1:] > hi[:-1])][: len(t)])
         for s, z in zip(cut.tolist(), np.r_[cut[1:], len(t)].tolist()):
             zero = bounds[t[s]]
