@@ -1,7 +1,8 @@
 """Language identification: multinomial naive Bayes over hashed character n-grams.
 
-Training counts are summed by Spark from a stratified sample of at most ``per_language`` documents of
-each language (a documented bound; scoring covers every whole text). The log-probability matrix
+Training counts are summed by Spark from a stratified sample of at most about ``per_language`` documents of
+each language (a documented bound; scoring covers every whole text), drawn by document, so that copies of one
+text are drawn apart. The log-probability matrix
 (buckets x languages) is broadcast; scoring is batched numpy over code points.
 
 Defined results: a null text, or one without a letter, is ``und`` with score 0; rows are never joined, so
@@ -67,14 +68,14 @@ def _count(batches, bits: int):
 
 
 def fit(labelled: DataFrame, per_language: int = 4_000, bits: int = 15) -> tuple[list[str], np.ndarray]:
-    """Languages and the matrix of log-probabilities, from ``labelled(text, lang)`` with at most about
+    """Languages and the matrix of log-probabilities, from ``labelled(doc_id, text, lang)`` with at most about
     ``per_language`` rows of each language (all rows where there are fewer)."""
     labelled = labelled.where("text is not null and lang is not null")
     sizes = {r.lang: r["count"] for r in labelled.groupBy("lang").count().collect()}
     if not sizes:
         return [], np.zeros((1 << bits, 0), np.float32)
     rates = F.create_map(*[F.lit(x) for k, n in sizes.items() for x in (k, min(1.0, per_language / n))])
-    draw = F.pmod(F.xxhash64("text"), F.lit(1 << 20)) / (1 << 20)
+    draw = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 20)) / (1 << 20)
     sample = labelled.where(draw < rates[F.col("lang")]).select("text", "lang")
     summed = (
         sample.mapInArrow(lambda b: _count(b, bits), "lang string, bucket int, n long")
