@@ -138,6 +138,49 @@ def aligned(batches: Iterator[pa.RecordBatch], keys: list[str], rows: int = 50_0
         yield pa.Table.from_batches(held).combine_chunks()
 
 
+def runs(batches: Iterator[pa.RecordBatch], keys: list[str], rows: int, most: int) -> Iterator[tuple[pa.Table, np.ndarray]]:
+    """Tables of about ``rows`` rows from sorted batches, with a flag for each run of equal keys in them. Runs are whole but for
+    those over ``most`` rows, which come in pieces of so many, alone and flagged; no more than ``rows`` and a batch are held."""
+    held: list[pa.RecordBatch] = []
+    count, cut = 0, None
+
+    def parts(whole: pa.Table, open_end: bool):
+        nonlocal cut
+        values = [whole.column(k).to_numpy() for k in keys]
+        starts = starts_of(*values)
+        ends = np.r_[starts[1:], whole.num_rows]
+        long_run = ends - starts > most
+        long_run[0] |= cut == [v[0] for v in values]
+        if open_end:
+            long_run[-1] = True
+        cut = [v[-1] for v in values] if open_end else None
+        at = 0
+        for k in np.flatnonzero(long_run):
+            if starts[k] > starts[at]:
+                yield whole.slice(starts[at], starts[k] - starts[at]).combine_chunks(), np.zeros(k - at, bool)
+            for a in range(starts[k], ends[k], most):
+                yield whole.slice(a, min(most, ends[k] - a)).combine_chunks(), np.ones(1, bool)
+            at = k + 1
+        if at < len(starts):
+            yield whole.slice(starts[at]).combine_chunks(), np.zeros(len(starts) - at, bool)
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        held.append(batch)
+        count += batch.num_rows
+        if count < max(rows, most + 1):
+            continue
+        whole = pa.Table.from_batches(held)
+        change = np.flatnonzero(np.any([v[1:] != v[:-1] for v in (whole.column(k).to_numpy() for k in keys)], axis=0))
+        at = int(change[-1]) + 1 if len(change) else whole.num_rows
+        yield from parts(whole.slice(0, at), not len(change))
+        rest = whole.slice(at).combine_chunks()
+        held, count = rest.to_batches(), rest.num_rows
+    if held and count:
+        yield from parts(pa.Table.from_batches(held), False)
+
+
 def starts_of(*columns: np.ndarray) -> np.ndarray:
     """Where runs of equal values start in sorted columns."""
     n = len(columns[0])

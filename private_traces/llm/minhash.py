@@ -1,49 +1,58 @@
 """Near-duplicate documents by a chosen-path set similarity join.
 
-A document's set is its distinct word shingles (``width`` words, A-Z lower-cased; a text of fewer words is one
-shingle). Documents with equal sets are joined first by two sums of shingle hashes, so a group of copies is one
-set from there on. Each set has ``COORDS`` minwise tokens of its own in each of ``trees`` trees. In a tree a node picks,
-by a hash of its path, on average 1/threshold of the coordinates; a set goes to one child per picked
-coordinate, named by its minwise token there. Two sets that agree with probability at or above the threshold
-share a child at every level with a probability that falls only slowly with depth, and trees raise the recall: no two
-share a coordinate, so they fail independently. ``recall`` counts that all picks of one tree come from the same
-``COORDS`` tokens, and that its sketch may fall below the cut; ``trees_for`` takes as many trees as miss a pair at the
-threshold with a chance of at most ``MISS`` at the last level.
-
-Nodes of up to ``LIMIT`` sets are compared exhaustively by their minwise sketches, in three rounds: each set first meets the
-set it is nearest to, then the nearest of every other class, which joins a group of near copies by a row per set; once those
-links are confirmed, all near pairs of different classes follow. A larger node compares all of its sets with two of them (its first by id and its first
-by a hash) and branches again; a node whose sets are all in one class needs no further comparison. At ``DEEPEST`` every set of a large node outside its largest
-class meets all others by a sketch of ``WIDE`` tokens. Sketches only choose candidates: every
-link is confirmed on the full sets, and pairs of one class are confirmed until the class is connected.
-
-Defined results: null, empty and word-less texts have an empty set and link with nothing; repeated rows of one id
-count as one document with the set of each row; a null id takes part and sorts first. Rows are returned once each.
+A document's set is its distinct word shingles (``width`` words, A-Z lower-cased; a text of fewer words is one shingle).
+Documents with equal sets are joined first by two sums of shingle hashes, so a group of copies is one set from there on.
+Each set has ``COORDS`` minwise tokens of its own in each of ``trees`` trees. In a tree a node picks, by a hash of its path,
+on average 1/threshold of the coordinates; a set goes to one child per picked coordinate, named by its minwise token there.
+Two sets that agree with probability at or above the threshold share a child at every level with a probability that falls only
+slowly with depth, and trees raise the recall: no two share a coordinate. ``recall`` counts that all picks of one tree come
+from the same ``COORDS`` tokens and that its sketch may fall below the cut; ``trees_for`` takes as many trees as miss a pair at
+the threshold with a chance of at most ``MISS`` at the last level.
+
+Nodes of up to ``LIMIT`` sets are compared exhaustively by their tokens; larger ones are dealt out in parts, which are compared
+in themselves, and branch again. Then two rounds on full sets settle what the sketches suggest:
+
+1. Every set is confirmed against the two sets that look nearest to it over all its nodes. That joins nearly all of a group of
+   near copies, by two rows a set.
+2. What still looks near and is not in one class is compared in full. Pairs of thin nodes are confirmed one by one. Sets of
+   dense nodes are dealt to blocks of at most about ``BLOCK`` sets of one class (or of one node, where they are alone); a set is
+   sent once to each block that holds a set it looks near to, compared there with the whole block on hashed sets, and only
+   links that join two classes leave the block. So the rows grow with sets times blocks and not with pairs.
+
+At ``DEEPEST`` large nodes branch no more: every set outside the node's largest class goes to every block of the node. Every
+link is confirmed on the words themselves in the end.
+
+Defined results: null, empty and word-less texts have an empty set and link with nothing; repeated rows of one id count as one
+document with the set of each row; a null id takes part, but names a class only where no other id is in it. Rows are returned
+once each.
 """
 
 from __future__ import annotations
 
 import math
-import re
-from functools import lru_cache
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import aligned, pieces, starts_of, written
+from .common import pieces, runs, starts_of, written
 
 CHUNK = 2_000_000
 COORDS = 32  # minwise tokens of each tree
-LIMIT = 48
+LIMIT = 4096  # sets of a node that are compared exhaustively
+TINY = 48  # nodes up to here are compared side by side
 FIRST_DEPTH = 2
 DEEPEST = 9
-WIDE = 2048  # minwise tokens of the sets that are still together at the last level
+ROUNDS = 64  # throws of a whole set before the tokens still missing are drawn one by one
+BLOCK = 256
 MISS = 1e-4  # the chance that a pair at the threshold is not found
+NEAREST = 2  # sets that are confirmed for each set first
+SAMPLE = 16  # one set in so many tells which nodes are large
 SMALL = 500_000
-_words = re.compile(r"[^\x20\x09-\x0D]+").findall
-_lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+Texts = Callable[[DataFrame], DataFrame]
+EMPTY = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -60,7 +69,7 @@ def recall(threshold: float, trees: int, depth: int) -> float:
     hang on how many of its ``COORDS`` tokens agree."""
     extra, one_tree = 1 / threshold - 1, 0.0
     for agree in range(COORDS + 1):
-        if agree < loose(threshold, COORDS) * COORDS:
+        if agree < loose(threshold) * COORDS:
             continue
         q = 1.0
         for _ in range(depth):
@@ -71,81 +80,105 @@ def recall(threshold: float, trees: int, depth: int) -> float:
 
 
 def trees_for(threshold: float) -> int:
-    """The least number of trees that miss a pair at the threshold with a chance of at most ``MISS`` at ``DEEPEST``, the cut of
-    the long sketches there included."""
-    cut = math.erfc(deviations(WIDE) / math.sqrt(2)) / 2
-    return math.ceil(math.log(MISS - cut) / math.log(1 - recall(threshold, 1, DEEPEST)))
+    """The least number of trees that miss a pair at the threshold with a chance of at most ``MISS`` at ``DEEPEST``."""
+    return math.ceil(math.log(MISS) / math.log(1 - recall(threshold, 1, DEEPEST)))
 
 
-def deviations(coords: int) -> float:
-    """How far below the threshold the cut is: a short sketch has other trees to make good for it, the long one has not."""
-    return 4.0 if coords >= WIDE else 3.5
+def loose(threshold: float, coords: int = COORDS) -> float:
+    """Agreement of so many tokens from which a pair looks near: 3.5 deviations below the threshold."""
+    return threshold - 3.5 * (threshold * (1 - threshold) / coords) ** 0.5
 
 
-def loose(threshold: float, coords: int) -> float:
-    """Sketch agreement from which a pair is confirmed."""
-    return threshold - deviations(coords) * (threshold * (1 - threshold) / coords) ** 0.5
+def words_of(text: str) -> list[bytes]:
+    """The words as UTF-8: bytes lower-case A-Z alone and split at the six white-space characters of the definition."""
+    return text.encode().lower().split()
 
 
-def shingles(text: str, width: int) -> set[tuple[str, ...]]:
+def shingles(text: str, width: int) -> set[tuple[bytes, ...]]:
     """The set itself, as tuples of words."""
-    w = _words(text.translate(_lower) if not text.islower() else text)
+    w = words_of(text)
     if not w:
         return set()
     return set(zip(*(w[i:] for i in range(width)))) if len(w) >= width else {tuple(w)}
 
 
-class Hasher:
-    """64-bit hashes of words, kept in a bounded memo, and of the shingles made of them."""
-
-    def __init__(self):
-        import xxhash
-
-        self.hash = xxhash.xxh3_64_intdigest
-        self.memo: dict[str, int] = {}
-
-    def sets(self, texts: list[str], width: int) -> list[np.ndarray]:
-        memo, hash_ = self.memo, self.hash
-        if len(memo) > 400_000:
-            memo.clear()
-        out = []
-        for t in texts:
-            w = _words(t.translate(_lower))
-            for x in set(w):
-                if x not in memo:
-                    memo[x] = hash_(x)
-            v = np.fromiter(map(memo.__getitem__, w), np.uint64, len(w))
-            n = len(v) - width + 1
-            if not len(v):
-                out.append(v)
-                continue
-            take = min(width, len(v))
-            s = np.zeros(max(n, 1), np.uint64)
-            for i in range(take):
-                s = mixed(s + v[i : i + len(s)] + np.uint64(i + 1)) * np.uint64(0x9E3779B97F4A7C15)
-            out.append(np.unique(s))
-        return out
-
-
-@lru_cache(maxsize=4)
-def _turns(coords: int) -> np.ndarray:
-    """Odd multipliers and offsets of the coordinates."""
-    turns = np.random.default_rng(7).integers(0, 1 << 32, (2, coords), dtype=np.uint32)
-    turns[0] |= np.uint32(1)
-    return turns
+_SPACE = np.zeros(256, bool)
+_SPACE[[9, 10, 11, 12, 13, 32]] = True
+
+
+def _word_hashes(joined: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Where each word of the lower-cased bytes starts, and its 64-bit hash, by blocks of eight bytes."""
+    buffer = np.frombuffer(joined + b"        ", np.uint8)
+    edge = np.flatnonzero(np.diff(_SPACE[buffer[:-7]], prepend=True))
+    start, size = edge[::2], edge[1::2] - edge[::2]
+    eight = np.ndarray(len(buffer) - 7, "<u8", buffer.data, strides=(1,))
+    h, some = mixed(size.astype(np.uint64) + np.uint64(0x9E3779B97F4A7C15)), np.arange(len(start))
+    at = 0
+    while len(some):
+        left = size[some] - at
+        block = eight[start[some] + at]
+        block &= np.uint64(0xFFFFFFFFFFFFFFFF) >> (np.uint64(64) - np.uint64(8) * np.minimum(left, 8).astype(np.uint64))
+        h[some] = mixed(h[some] ^ block) + np.uint64(0x51ED2701)
+        at += 8
+        some = some[left > 8]
+    return start, h
+
+
+def hashed_sets(texts: list[str], width: int) -> list[np.ndarray]:
+    """Each text's set as sorted 64-bit hashes of its shingles."""
+    raw = [t.encode().lower() for t in texts]
+    begin = np.cumsum([0, *(len(x) + 1 for x in raw)])
+    start, word = _word_hashes(b" ".join(raw))
+    first = np.searchsorted(start, begin)  # the first word of each text
+    whole = np.zeros(max(len(word) - width + 1, 0), np.uint64)
+    for i in range(width):
+        whole = mixed(whole + word[i : i + len(whole)] + np.uint64(i + 1)) * np.uint64(0x9E3779B97F4A7C15)
+    out = []
+    for a, b in zip(first[:-1].tolist(), first[1:].tolist()):
+        if b - a >= width:
+            s = np.sort(whole[a : b - width + 1])
+            out.append(s[np.r_[True, s[1:] != s[:-1]]])
+        else:  # all words as one shingle
+            s = np.zeros(min(b - a, 1), np.uint64)
+            for i in range(b - a):
+                s = mixed(s + word[a + i] + np.uint64(i + 1)) * np.uint64(0x9E3779B97F4A7C15)
+            out.append(s)
+    return out
 
 
 def _sketch(sets: list[np.ndarray], coords: int) -> np.ndarray:
-    """16-bit minwise tokens, one row per non-empty set."""
-    flat = (np.concatenate(sets) if sets else np.zeros(0, np.uint64)) >> np.uint64(32)
-    flat, turned = flat.astype(np.uint32), np.empty(len(flat), np.uint32)
-    starts = np.concatenate([[0], np.cumsum([len(s) for s in sets])[:-1]]).astype(np.int64)
-    out = np.empty((len(sets), coords), np.uint16)
-    for j, (by, add) in enumerate(_turns(coords).T):
-        np.multiply(flat, by, out=turned)
-        np.add(turned, add, out=turned)
-        out[:, j] = mixed(np.minimum.reduceat(turned, starts)) & np.uint64(0xFFFF)
-    return out
+    """16-bit minwise tokens, one row per non-empty set.
+
+    Each round throws every shingle into one of the coordinates; a coordinate keeps the least hash of the first round that
+    reached it, so a set costs some multiple of ``coords`` and not ``coords`` times its size. Two sets agree in a coordinate with
+    the probability of their similarity. Coordinates still empty after ``ROUNDS`` take the least of their own hash.
+    """
+    if not sets:
+        return np.zeros((0, coords), np.uint16)
+    sizes = np.array([len(s) for s in sets])
+    flat = np.concatenate(sets)
+    owner = np.repeat(np.arange(len(sets)), sizes)
+    out = np.full((len(sets), coords), EMPTY)
+    cells, thrown, base = out.reshape(-1), flat, owner * coords
+    for turn in range(ROUNDS):
+        h = mixed(thrown + np.uint64((turn + 1) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
+        at = base + ((h >> np.uint64(32)) * np.uint64(coords) >> np.uint64(32)).astype(np.int64)
+        np.minimum.at(cells, at, (h & np.uint64(0xFFFFFFFF)) | np.uint64(turn << 32))
+        if turn % 3 == 2:
+            still = (out == EMPTY).any(axis=1)
+            if not still.any():
+                break
+            stay = still[base // coords]
+            thrown, base = thrown[stay], base[stay]
+    row, col = np.nonzero(out == EMPTY)
+    n, begin = sizes[row], np.r_[0, np.cumsum(sizes)][:-1][row]
+    step = max(1, 1_000_000 // max(1, int(n.max(initial=1))))
+    for a in range(0, len(row), step):
+        k, first = n[a : a + step], np.r_[0, np.cumsum(n[a : a + step])][:-1]
+        from_ = np.arange(k.sum()) + np.repeat(begin[a : a + step] - first, k)
+        own = mixed(flat[from_] + mixed(np.repeat(col[a : a + step], k).astype(np.uint64) + np.uint64(77)))
+        out[row[a : a + step], col[a : a + step]] = np.minimum.reduceat(own, first)
+    return (mixed(out) & np.uint64(0xFFFF)).astype(np.uint16)
 
 
 def picked(path: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
@@ -166,19 +199,19 @@ def children(path: np.ndarray, sketch: np.ndarray, threshold: float) -> tuple[np
     return at, mixed(mixed(path[at] + np.uint64(0x51ED2701)) ^ (token << np.uint64(8)) ^ coord.astype(np.uint64) ^ np.uint64(1 << 40))
 
 
+def _sums(sets: list[np.ndarray]) -> list[pa.Array]:
+    """Two sums of shingle hashes of each set, by which equal sets meet."""
+    return [pa.array([int(mixed(s ^ np.uint64(by)).sum(dtype=np.uint64).astype(np.int64)) for s in sets], pa.int64()) for by in (0, 0xA5A5A5A55A5A5A5A)]
+
+
 def _documents(batches, width: int, coords: int):
-    hasher = Hasher()
     for batch, texts in pieces(batches, "text", CHUNK):
-        sets = hasher.sets(texts, width)
-        some = [i for i, s in enumerate(sets) if len(s)]
-        sketch = _sketch([sets[i] for i in some], coords) if some else np.zeros((0, coords), np.uint16)
-        row = dict(zip(some, sketch))
-        yield pa.RecordBatch.from_pydict({
-            "doc_id": batch.column("doc_id"), "n": pa.array([len(s) for s in sets], pa.int64()),
-            "s1": pa.array([int(mixed(s).sum(dtype=np.uint64).astype(np.int64)) for s in sets], pa.int64()),
-            "s2": pa.array([int(mixed(s ^ np.uint64(0xA5A5A5A55A5A5A5A)).sum(dtype=np.uint64).astype(np.int64)) for s in sets], pa.int64()),
-            "sketch": pa.array([row[i].tobytes() if i in row else b"" for i in range(len(sets))], pa.binary()),
-        })
+        sets = hashed_sets(texts, width)
+        row = dict(zip([i for i, s in enumerate(sets) if len(s)], _sketch([s for s in sets if len(s)], coords)))
+        yield pa.RecordBatch.from_arrays(
+            [batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), *_sums(sets), pa.array([row[i].tobytes() if i in row else b"" for i in range(len(sets))], pa.binary())],
+            ["doc_id", "n", "s1", "s2", "sketch"],
+        )
 
 
 def _unpack(column) -> np.ndarray:
@@ -191,12 +224,9 @@ def _packed(sketch: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(sketch), [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(sketch))])
 
 
-def _widened(batches, width: int):
-    """Longer sketches of the sets of ``id, text``."""
-    hasher = Hasher()
-    for batch, texts in pieces(batches, "text", CHUNK // 8):
-        sketch = _sketch(hasher.sets(texts, width), WIDE)
-        yield pa.RecordBatch.from_pydict({"id": batch.column("id"), "sketch": pa.array([r.tobytes() for r in sketch], pa.binary())})
+NODE = "path long, id long, n long, sketch binary"
+FOUND = f"kind int, other long, likeness double, {NODE}"
+PAIR, NEAR, OPEN, WHOLE, DEEPER = range(5)
 
 
 def _rooted(batches, trees: int, threshold: float):
@@ -211,89 +241,184 @@ def _rooted(batches, trees: int, threshold: float):
                 rows, path = children(path, sketch[at, tree], threshold)
                 at, tree = at[rows], tree[rows]
             take = pa.array(at)
-            own = [*(part.column(c).take(take) for c in COLUMNS[2:5]), _packed(sketch[at, tree])]
-            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), pa.array(np.zeros(len(path), np.int32)), *own], COLUMNS)
+            yield pa.RecordBatch.from_arrays([pa.array(path.view(np.int64)), part.column("id").take(take), part.column("n").take(take), _packed(sketch[at, tree])], ["path", "id", "n", "sketch"])
 
 
-NODE = "path long, round int, id long, class long, n long, sketch binary"
-FOUND = f"a long, b long, {NODE}"
-COLUMNS = ["path", "round", "id", "class", "n", "sketch"]
-
-
-def _compare(batches, threshold: float, last: bool):
-    """Candidate pairs (a, b) of each node, and rows (a, b null) to come back with their new classes: those of large nodes
-    under their children, and those of small nodes with more near pairs than were given. In a small node's round 0 each set
-    gets its nearest one; in round 1 its nearest one of every other class; in round 2 all near pairs of two classes follow."""
-    for node in aligned(batches, ["path"], 4_000 if last else 20_000):
-        path, turn, ids, label, n = (node.column(c).to_numpy() for c in COLUMNS[:5])
+def _tiny_pairs(path, n, sketch, member, threshold: float, apart=None):
+    """Pairs (i, j, likeness) of rows of one node that look near; ``member``: the rows to take, ``apart``: labels to differ."""
+    found, rows = [], np.arange(len(path))
+    for off in range(1, TINY):
+        i = rows[: len(rows) - off]
+        i = i[member[i] & (path[i] == path[i + off])]
+        if not len(i):
+            break
+        j = i + off
+        ok = np.minimum(n[i], n[j]) >= threshold * np.maximum(n[i], n[j]) - 1e-9
+        if apart is not None:
+            ok &= apart[i] != apart[j]
+        i, j = i[ok], j[ok]
+        like = np.zeros(len(i))
+        for a in range(0, len(i), 100_000):
+            like[a : a + 100_000] = (sketch[i[a : a + 100_000]] == sketch[j[a : a + 100_000]]).mean(axis=1)
+        close = like >= loose(threshold)
+        found.append((i[close], j[close], like[close]))
+    return tuple(np.concatenate([f[k] for f in found]) if found else np.zeros(0, np.int64 if k < 2 else float) for k in range(3))
+
+
+def _strips(n, sketch, threshold: float, rows):
+    """For strips of ``rows`` of one node: those rows and their agreeing tokens with every row of the node, 0 where a pair can't
+    link."""
+    tokens, m = np.ascontiguousarray(sketch.T), len(n)
+    step = max(1, 1_000_000 // m)
+    for a in range(0, len(rows), step):
+        own = rows[a : a + step]
+        like = np.zeros((len(own), m), np.uint8)
+        for t in tokens:
+            like += t[own, None] == t[None, :]
+        like[np.minimum(n[own, None], n) < threshold * np.maximum(n[own, None], n) - 1e-9] = 0
+        like[np.arange(len(own)), own] = 0
+        like[like < math.ceil(loose(threshold) * COORDS)] = 0
+        yield own, like
+
+
+def _made(kind, other, likeness, path, ids, n, sketch=None) -> pa.RecordBatch:
+    k = len(ids)
+    return pa.RecordBatch.from_arrays(
+        [pa.array(np.full(k, kind, np.int32)), pa.nulls(k, pa.int64()) if other is None else pa.array(other), pa.nulls(k, pa.float64()) if likeness is None else pa.array(likeness),
+         pa.array(path), pa.array(ids), pa.array(n), pa.nulls(k, pa.binary()) if sketch is None else _packed(sketch)],
+        ["kind", "other", "likeness", "path", "id", "n", "sketch"],
+    )
+
+
+def _gather(batches, threshold: float, last: bool):
+    """What each node finds: all near pairs of thin nodes (PAIR); of dense ones the nearest set of each set (NEAR) and the sets
+    that have one (OPEN); of large ones the sets under their children (DEEPER) or, at the last level, all of them (WHOLE)."""
+    for node, long_run in runs(batches, ["path", "part"], 20_000, LIMIT):
+        path, ids, n = (node.column(c).to_numpy() for c in ("path", "id", "n"))
+        sketch = _unpack(node.column("sketch"))
+        starts = starts_of(path, node.column("part").to_numpy())
+        sizes = np.diff(np.r_[starts, len(path)])
+        large = long_run | (node.column("part").to_numpy()[starts] > 0)
+        tiny = np.repeat(sizes <= TINY, sizes)
+        i, j, like = _tiny_pairs(path, n, sketch, tiny, threshold)
+        run = np.repeat(np.arange(len(starts)), sizes)
+        linked = np.bincount(np.unique(np.r_[i, j]) if len(i) else np.zeros(0, np.int64), minlength=len(path)) > 0
+        thin = np.bincount(run[i], minlength=len(starts)) <= np.bincount(run[linked], minlength=len(starts))
+        thin &= ~large
+        some = thin[run[i]]
+        if some.any():
+            yield _made(PAIR, ids[j[some]], like[some], path[i[some]], ids[i[some]], n[i[some]])
+        me, other, alike = np.r_[i[~some], j[~some]], np.r_[j[~some], i[~some]], np.r_[like[~some], like[~some]]
+        order = np.lexsort((other, -alike, me))
+        me, other, alike = me[order], other[order], alike[order]
+        lead = starts_of(me)
+        near, open_ = [(me[lead], other[lead], alike[lead])], [me[lead][~large[run[me[lead]]]]]
+        for s, m, big in zip(starts[sizes > TINY], sizes[sizes > TINY], large[sizes > TINY]):
+            for own, strip in _strips(n[s : s + m], sketch[s : s + m], threshold, np.arange(m)):
+                best = strip.argmax(axis=1)
+                top = strip[np.arange(len(strip)), best]
+                has = np.flatnonzero(top)
+                near.append((s + own[has], s + best[has], top[has] / COORDS))
+                if not big:
+                    open_.append(s + own[has])
+        me, other, alike = (np.concatenate([f[k] for f in near]) for k in range(3))
+        if len(me):
+            yield _made(NEAR, ids[other], alike, path[me], ids[me], n[me])
+        back = np.concatenate(open_).astype(np.int64)
+        if len(back):
+            yield _made(OPEN, None, None, path[back], ids[back], n[back], sketch[back])
+        whole = np.flatnonzero(large[run])
+        if len(whole) and last:
+            yield _made(WHOLE, None, None, path[whole], ids[whole], n[whole])
+        elif len(whole):
+            at, below = children(path[whole].view(np.uint64), sketch[whole], threshold)
+            at = whole[at]
+            yield _made(DEEPER, None, None, below.view(np.int64), ids[at], n[at], sketch[at])
+
+
+def _requests(batches, threshold: float):
+    """For each set of an open node the blocks of the sets it looks near to and shares no class with. Of two classes the
+    one with fewer sets in the node asks."""
+    for node, _ in runs(batches, ["path"], 20_000, 4 * LIMIT):
+        path, ids, n, label, block = (node.column(c).to_numpy() for c in ("path", "id", "n", "class", "block"))
         sketch = _unpack(node.column("sketch"))
         starts = starts_of(path)
         sizes = np.diff(np.r_[starts, len(path)])
-        size = np.repeat(sizes, sizes)
-        pairs: list[np.ndarray] = []
-
-        def near(i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-            """Those of the pairs of rows that may be linked and are not known to be in one class, and how near they seem."""
-            ok = (label[i] != label[j]) & (ids[i] != ids[j])
-            ok &= np.minimum(n[i], n[j]) >= threshold * np.maximum(n[i], n[j]) - 1e-9
-            i, j = i[ok], j[ok]
-            like, step = np.zeros(len(i)), max(1, 4_000_000 // sketch.shape[1])
-            for a in range(0, len(i), step):
-                like[a : a + step] = (sketch[i[a : a + step]] == sketch[j[a : a + step]]).mean(axis=1)
-            close = like >= loose(threshold, sketch.shape[1])
-            return i[close], j[close], like[close]
-
-        def give(i: np.ndarray, j: np.ndarray):
-            if len(i):
-                pairs.append(np.unique(np.stack([np.minimum(ids[i], ids[j]), np.maximum(ids[i], ids[j])]), axis=1))
-
-        rows = np.arange(len(path))
-        small = size <= LIMIT
-        found = []
-        for off in range(1, int(sizes[sizes <= LIMIT].max(initial=1))):
-            i = rows[: len(rows) - off]
-            i = i[small[i] & (path[i] == path[i + off])]
-            found.append(near(i, i + off))
-        back = np.zeros(len(path), bool)
-        if found:
-            i, j, like = (np.concatenate([f[k] for f in found]) for k in range(3))
-            rest = turn[i] >= 2
-            give(i[rest], j[rest])
-            i, j, like = i[~rest], j[~rest], like[~rest]
-            me, other = np.r_[i, j], np.r_[j, i]
-            kind = np.where(turn[me] > 0, label[other], 0)
-            order = np.lexsort((other, -np.r_[like, like], kind, me))
-            me, other, kind = me[order], other[order], kind[order]
-            lead = np.r_[True, (me[1:] != me[:-1]) | (kind[1:] != kind[:-1])][: len(me)]
-            give(me[lead], other[lead])
-            back[np.isin(path, path[me[~lead]])] = True
-        large = np.flatnonzero(sizes > LIMIT)
-        again = []
-        for s, m in zip(starts[large], sizes[large]):
-            own = np.arange(s, s + m)
-            if (label[own] == label[s]).all():
-                continue
-            pivots = [s, s + int(mixed(ids[own].astype(np.uint64) ^ path[s].astype(np.uint64)).argmin())]
-            if last:  # no deeper node parts these: all rows outside the largest class meet every row
-                kind, where, count = np.unique(label[own], return_inverse=True, return_counts=True)
-                pivots = own[where != count.argmax()].tolist()
-            for p in pivots:
-                give(*near(np.full(m, p), own)[:2])
-            if not last:
-                again.append(own)
-        if pairs:
-            p = np.unique(np.concatenate(pairs, axis=1), axis=1)
-            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
-            yield pa.RecordBatch.from_pydict({"a": p[0], "b": p[1]} | {c: pa.nulls(p.shape[1], t) for c, t in zip(COLUMNS, kinds)})
-        at, below, then = np.flatnonzero(back), path[back].view(np.uint64), turn[back] + 1
-        if again:
-            own = np.concatenate(again)
-            child, deeper = children(path[own].view(np.uint64), sketch[own], threshold)
-            at, below, then = np.r_[at, own[child]], np.r_[below, deeper], np.r_[then, np.zeros(len(child), np.int64)]
-        if len(at):
-            take = pa.array(at)
-            kept = [node.column(c).combine_chunks().take(take) for c in COLUMNS[2:]]
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(at), pa.int64()), pa.nulls(len(at), pa.int64()), pa.array(below.view(np.int64)), pa.array(then, pa.int32()), *kept], ["a", "b", *COLUMNS])
+        run = np.repeat(np.arange(len(starts)), sizes)
+        order = np.lexsort((label, run))
+        first = starts_of(run[order], label[order])
+        weight = np.empty(len(path), np.int64)  # sets of the class in the node
+        weight[order] = np.repeat(np.diff(np.r_[first, len(path)]), np.diff(np.r_[first, len(path)]))
+        i, j, _ = _tiny_pairs(path, n, sketch, np.repeat(sizes <= TINY, sizes), threshold, label)
+        asks = (weight[i] < weight[j]) | (weight[i] == weight[j]) & (label[i] > label[j])
+        sent = [(ids[np.where(asks, i, j)], block[np.where(asks, j, i)])]
+        for s, m in zip(starts[sizes > TINY], sizes[sizes > TINY]):
+            w, kind, to = weight[s : s + m], label[s : s + m], block[s : s + m]
+            blocks, which = np.unique(to, return_inverse=True)
+            holds = np.zeros((m, len(blocks)), np.float32)
+            holds[np.arange(m), which] = 1
+            top = kind[w == w.max()].min()  # the class that never asks
+            for own, strip in _strips(n[s : s + m], sketch[s : s + m], threshold, np.flatnonzero(kind != top)):
+                asks = (w[own, None] < w) | (w[own, None] == w) & (kind[own, None] > kind)
+                row, at = np.nonzero((asks & (strip > 0) & (kind[own, None] != kind)).astype(np.float32) @ holds)
+                sent.append((ids[s + own[row]], blocks[at]))
+        asker, to = (np.concatenate([x[k] for x in sent]) for k in range(2))
+        order = np.lexsort((to, asker))
+        asker, to = asker[order], to[order]
+        lead = starts_of(asker, to)
+        if len(lead):
+            yield pa.RecordBatch.from_arrays([pa.array(asker[lead]), pa.array(to[lead])], ["id", "block"])
+
+
+def _hashed(batches, width: int):
+    """The hashed sets of ``id, text``."""
+    for batch, texts in pieces(batches, "text", CHUNK):
+        yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([s.tobytes() for s in hashed_sets(texts, width)], pa.binary())], ["id", "held"])
+
+
+def _met(batches, percent: int):
+    """Links (a, b) between a block's sets and those sent to it, sorted by block with the block's own sets first; one link at
+    most for each two classes."""
+    at = None
+    for batch in batches:
+        for a in range(0, batch.num_rows, 64):
+            part = batch.slice(a, 64)
+            links = []
+            for block, asks, id_, label, held in zip(*(part.column(c).to_pylist() for c in ("block", "asks", "id", "class", "held"))):
+                s = np.frombuffer(held, np.uint64)
+                if block != at:
+                    at, own, index, known = block, [], None, {}
+                if not asks:
+                    own.append((id_, label, s))
+                    continue
+                if index is None:
+                    sizes = np.array([len(x) for _, _, x in own])
+                    flat = np.concatenate([x for _, _, x in own])
+                    order = np.argsort(flat, kind="stable")
+                    flat, holder = flat[order], np.repeat(np.arange(len(own)), sizes)[order]
+                    first = starts_of(flat)
+                    index = flat[first], first, np.r_[first[1:], len(flat)], holder
+                    names, labels = np.array([x for x, _, _ in own]), np.array([x for _, x, _ in own])
+                tokens, first, end, holder = index
+                spot = np.minimum(np.searchsorted(tokens, s), len(tokens) - 1)
+                spot = spot[tokens[spot] == s]
+                k = end[spot] - first[spot]
+                reach = np.repeat(first[spot] - np.r_[0, np.cumsum(k)][:-1], k) + np.arange(k.sum())
+                both = np.bincount(holder[reach], minlength=len(own))
+                hit = np.flatnonzero((100 * both >= percent * (len(s) + sizes - both)) & (labels != label))
+                for h in hit[np.unique(labels[hit], return_index=True)[1]]:
+                    x, y = _root(known, label), _root(known, int(labels[h]))
+                    if x != y:
+                        known[x] = y
+                        links.append((min(id_, int(names[h])), max(id_, int(names[h]))))
+            if links:
+                yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in links], pa.int64()) for k in (0, 1)], ["a", "b"])
+
+
+def _root(known: dict, x: int) -> int:
+    while x in known:
+        x = known[x]
+    return x
 
 
 def _confirm(batches, width: int, percent: int):
@@ -312,15 +437,18 @@ def _confirm(batches, width: int, percent: int):
         yield pa.RecordBatch.from_arrays([batch.column(c).take(pa.array(keep, pa.int64())) for c in ("a", "b")], ["a", "b"])
 
 
-def confirmed(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets reach the threshold. ``texts``: id, text of the sets' representatives."""
+def few(df: DataFrame) -> DataFrame:
+    """The rows, to be broadcast where they are few: some 16 bytes a row, a checked bound."""
+    return F.broadcast(df) if df.count() <= SMALL else df
+
+
+def confirmed(pairs: DataFrame, texts: Texts, width: int, percent: int) -> DataFrame:
+    """The pairs (a, b) whose full sets reach the threshold."""
     sides = [pairs.select(F.col(c).alias("id")).distinct() for c in ("a", "b")]  # each side's repeats go before they meet
-    ids = written(sides[0].union(sides[1]).distinct(), "ids")
-    few = ids.count() <= SMALL  # 8 bytes a row: a checked bound for a broadcast
-    own = written(texts.join(F.broadcast(ids) if few else ids, "id", "left_semi"), "texts")
+    own = written(texts(sides[0].union(sides[1]).distinct()), "texts")
     left, right = own.select(F.col("id").alias("a"), F.col("text").alias("ta")), own.select(F.col("id").alias("b"), F.col("text").alias("tb"))
     met = pairs.select("a", "b").join(left, "a").join(right, "b").sortWithinPartitions("a")
-    return met.mapInArrow(lambda x: _confirm(x, width, percent), "a long, b long")
+    return written(met.mapInArrow(lambda x: _confirm(x, width, percent), "a long, b long"), "links")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -343,63 +471,107 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
+def _dealt(nodes: DataFrame) -> DataFrame:
+    """The nodes' rows, each node in one place; what a sample takes for large nodes is dealt out in parts. The sample
+    only plans: a node that it misses is cut into parts where it is read."""
+    seen = nodes.where(F.pmod(F.xxhash64("id"), F.lit(SAMPLE)) == 0).groupBy("path").agg((F.count("*") * SAMPLE / LIMIT).cast("int").alias("parts")).where("parts > 1")
+    seen = written(seen, "large")
+    known = nodes.withColumn("part", F.lit(0))
+    if seen.limit(1).count():
+        known = nodes.join(few(seen), "path", "left").withColumn("part", F.when(F.col("parts") > 1, 1 + F.pmod(F.xxhash64("id"), F.col("parts"))).otherwise(0).cast("int")).drop("parts")
+    return known.repartition("path", "part").sortWithinPartitions("path", "part", "id")
+
+
+def _candidates(firsts: DataFrame, trees: int, threshold: float) -> DataFrame:
+    """What the nodes of all levels find (``FOUND``)."""
+    nodes = firsts.select("id", "n", "sketch").mapInArrow(lambda b: _rooted(b, trees, threshold), NODE)
+    found = None
+    for depth in range(FIRST_DEPTH, DEEPEST + 1):
+        out = written(_dealt(nodes).mapInArrow(lambda b, last=depth == DEEPEST: _gather(b, threshold, last), FOUND), "nodes")
+        found = out if found is None else found.unionByName(out)
+        nodes = out.where(F.col("kind") == DEEPER).select("path", "id", "n", "sketch")
+        if depth == DEEPEST or not nodes.limit(1).count():
+            return found.where(F.col("kind") != DEEPER)
+
+
+def _settled(found: DataFrame, labels: DataFrame, texts: Texts, width: int, percent: int) -> DataFrame:
+    """Links between the classes of ``labels`` that dense and last nodes suggest, found on whole hashed sets."""
+    rows = found.where(F.col("kind").isin(OPEN, WHOLE))
+    homes = rows.groupBy("id").agg(F.min("path").alias("path")).join(few(labels), "id", "left").withColumn("class", F.coalesce("class", "id"))
+    homes = written(homes, "homes")
+    alone = homes.groupBy("class").agg((F.count("*") == 1).alias("alone"))
+    homes = homes.join(alone, "class").select("id", "class", F.when(F.col("alone"), F.col("path")).otherwise(F.col("class")).alias("home"))
+    wide = homes.groupBy("home").agg(F.ceil(F.count("*") / BLOCK).alias("parts"))
+    homes = written(homes.join(wide, "home").select("id", "class", F.xxhash64("home", F.pmod(F.xxhash64("id"), F.col("parts"))).alias("block")), "homes")
+    where = few(homes)
+    known = rows.where(F.col("kind") == OPEN).select("path", "id", "n", "sketch").join(where, "id")
+    asked = known.repartition("path").sortWithinPartitions("path", "id").mapInArrow(lambda b: _requests(b, percent / 100), "id long, block long")
+    whole = written(rows.where(F.col("kind") == WHOLE).select("path", "id").join(where, "id"), "whole")
+    if whole.limit(1).count():
+        top = whole.groupBy("path", "class").count().groupBy("path").agg(F.max_by("class", F.struct("count", "class")).alias("top"))
+        outer = whole.join(top, "path").where("class != top").select("path", "id").distinct()
+        asked = asked.union(outer.join(whole.select("path", "block").distinct(), "path").select("id", "block"))
+    asked = written(asked.distinct(), "asked")
+    if not asked.limit(1).count():
+        return asked.select(F.col("id").alias("a"), F.col("id").alias("b"))
+    members = homes.join(few(asked.select("block").distinct()), "block", "left_semi").select("id", "block")
+    held = texts(members.select("id").union(asked.select("id")).distinct()).mapInArrow(lambda b: _hashed(b, width), "id long, held binary")
+    held = written(held.join(few(homes.select("id", "class")), "id"), "held")
+    sent = members.withColumn("asks", F.lit(False)).union(asked.select("id", "block").withColumn("asks", F.lit(True))).join(held, "id")
+    links = sent.select("block", "asks", "id", "class", "held").repartition("block").sortWithinPartitions("block", "asks", "id")
+    return written(links.mapInArrow(lambda b: _met(b, percent), "a long, b long").distinct(), "pairs")
+
+
 def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int | None = None) -> DataFrame:
-    """``doc_id, n_shingles, component_id, n_links`` of every row; ``n_links``: confirmed links of its set. ``trees``: as many
-    as ``trees_for`` says where no number is given."""
+    """``doc_id, n_shingles, component_id`` of every row. ``trees``: as many as ``trees_for`` says where no number is given."""
     threshold = percent / 100
     trees = trees or trees_for(threshold)
     given = docs.select("doc_id", "text")
     rows = written(given.mapInArrow(lambda b: _documents(b, width, trees * COORDS), "doc_id long, n long, s1 long, s2 long, sketch binary"), "sets")
-    some = rows.where("n > 0")
-    # the sketch is a function of the set, so any row's serves; null ids stand as the smallest number
-    known = F.coalesce("doc_id", F.lit(-(1 << 63)))
-    firsts = written(some.groupBy("s1", "s2", "n").agg(F.min(known).alias("id"), F.first("sketch").alias("sketch")), "firsts")
-    nodes = firsts.select("id", F.col("id").alias("class"), "n", "sketch").mapInArrow(lambda b: _rooted(b, trees, threshold), NODE)
-    reps = firsts.select("id", "s1", "s2", "n")
-    texts = given.where("text is not null").select(known.alias("id"), "text")
-    if rows.select("doc_id").distinct().count() < rows.count():  # ids that repeat: take the text whose set is meant
-        texts = _own_texts(given, reps, width)
-    links = tested = labels = None
-    for depth in range(FIRST_DEPTH, DEEPEST + 3):  # two more for what small nodes left
-        last = depth >= DEEPEST
-        if depth == DEEPEST:  # what is left is alike: longer sketches tell apart what is just below the threshold
-            alike = texts.join(nodes.select("id").distinct(), "id", "left_semi")
-            nodes = nodes.drop("sketch").join(alike.mapInArrow(lambda b: _widened(b, width), "id long, sketch binary"), "id").select(*COLUMNS)
-        dealt = nodes.repartition(F.col("path")).sortWithinPartitions("path", "id")
-        out = written(dealt.mapInArrow(lambda b, last=last: _compare(b, threshold, last), FOUND), "nodes")
-        pairs = out.where("a is not null").select("a", "b").distinct()
-        if links is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = written(pairs, "pairs")
-        deeper = out.where("path is not null").drop("a", "b")
-        if pairs.limit(1).count():
-            fresh = written(confirmed(pairs, texts, width, percent), "links")
-            links = fresh if links is None else links.unionByName(fresh)
-            tested = pairs if labels is None else tested.unionByName(pairs)
-            labels = components(links)
-        if depth > DEEPEST + 1 or not deeper.limit(1).count():
-            break
-        if labels is not None:
-            deeper = deeper.join(labels.withColumnRenamed("class", "now"), "id", "left").select("path", "round", "id", F.coalesce("now", "id").alias("class"), "n", "sketch")
-        nodes = deeper
-    members = rows.withColumn("known", known).join(reps.withColumnRenamed("id", "rep"), ["s1", "s2", "n"], "left")
-    if labels is None:
-        return members.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("rep")).otherwise(F.col("known")).alias("component_id"), F.lit(0).cast("long").alias("n_links"))
-    ends = [links.groupBy(F.col(c).alias("rep")).agg(F.count("*").alias("k")) for c in ("a", "b")]
-    degree = ends[0].union(ends[1]).groupBy("rep").agg(F.sum("k").alias("n_links"))
-    joined = members.join(labels.select(F.col("id").alias("rep"), "class"), "rep", "left").join(degree, "rep", "left")
-    return joined.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("class", "rep", "known").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
-
-
-def _own_texts(given: DataFrame, reps: DataFrame, width: int) -> DataFrame:
-    """One text per representative where ids repeat: that of the row whose set it stands for."""
+    # the sketch is a function of the set, so any row's serves; a set's number holds from here on, as it is written
+    firsts = rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("least"), F.first("sketch").alias("sketch"))
+    firsts = written(firsts.withColumn("id", F.monotonically_increasing_id()), "firsts")
+    texts = _texts(given, rows, firsts.drop("sketch"), width)
+    found = _candidates(firsts, trees, threshold)
+    near = found.where(F.col("kind") == NEAR).select("id", "other", "likeness")
+    pairs = found.where(F.col("kind") == PAIR).select("id", "other", "likeness")
+    both = near.union(pairs).union(pairs.select("other", "id", "likeness"))
+    best = both.groupBy("id").agg(F.slice(F.array_sort(F.collect_set(F.struct(-F.col("likeness"), "other"))), 1, NEAREST).alias("best"))
+    first = best.select("id", F.explode("best.other").alias("other")).select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).distinct()
+    first = written(first, "pairs")
+    links = confirmed(first, texts, width, percent)
+    labels = components(links)
+    at = few(labels)
+    left = pairs.select(F.least("id", "other").alias("a"), F.greatest("id", "other").alias("b")).distinct().join(few(first), ["a", "b"], "left_anti")
+    for c in ("a", "b"):
+        left = left.join(at.select(F.col("id").alias(c), F.col("class").alias(f"{c}_class")), c, "left")
+    left = left.where(F.coalesce("a_class", "a") != F.coalesce("b_class", "b")).select("a", "b")
+    more = written(left.union(_settled(found, labels, texts, width, percent)).distinct(), "pairs")
+    if more.limit(1).count():
+        labels = components(links.union(confirmed(more, texts, width, percent)))
+    named = firsts.drop("sketch").join(few(labels), "id", "left").withColumn("class", F.coalesce("class", "id"))
+    named = written(named, "named")
+    least = named.groupBy("class").agg(F.min("least").alias("component_id"))
+    named = named.join(least, "class").select("s1", "s2", "n", "component_id", F.lit(True).alias("in_class"))
+    joined = rows.drop("sketch").join(named, ["s1", "s2", "n"], "left")
+    return joined.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("in_class"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def _texts(given: DataFrame, rows: DataFrame, firsts: DataFrame, width: int) -> Texts:
+    """What looks up ``id, text``, one text for each of the set numbers in ``id``. Where document ids repeat or are null, the
+    texts are met by their sets again."""
+    some = given.where("text is not null")
+    unique = rows.select("doc_id").distinct().count() == rows.count() and not rows.where("doc_id is null").limit(1).count()
 
     def keyed(batches):
-        hasher = Hasher()
         for batch, texts in pieces(batches, "text", CHUNK):
-            sets = hasher.sets(texts, width)
-            s1 = [int(mixed(s).sum(dtype=np.uint64).astype(np.int64)) for s in sets]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").fill_null(-(1 << 63)), pa.array(s1, pa.int64()), batch.column("text")], ["id", "s1", "text"])
+            yield pa.RecordBatch.from_arrays([*_sums(hashed_sets(texts, width)), batch.column("text")], ["s1", "s2", "text"])
+
+    def found(ids: DataFrame) -> DataFrame:
+        want = written(firsts.join(few(written(ids, "ids")), "id", "left_semi"), "ids")
+        if unique:
+            return some.join(few(want.select(F.col("least").alias("doc_id"), "id")), "doc_id").select("id", "text")
+        met = some.select("text").mapInArrow(keyed, "s1 long, s2 long, text string").join(few(want.select("id", "s1", "s2")), ["s1", "s2"])
+        return met.groupBy("id").agg(F.min("text").alias("text"))
 
-    all_texts = given.where("text is not null").mapInArrow(keyed, "id long, s1 long, text string")
-    return all_texts.join(reps.select("id", "s1"), ["id", "s1"], "left_semi").groupBy("id").agg(F.min("text").alias("text"))
+    return found
