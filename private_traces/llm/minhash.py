@@ -15,9 +15,9 @@ in themselves, and branch again. Then two rounds on full sets settle what the sk
 1. Every set is confirmed against the two sets that look nearest to it over all its nodes. That joins nearly all of a group of
    near copies, by two rows a set.
 2. What still looks near and is not in one class is compared in full. Pairs of thin nodes are confirmed one by one. Sets of
-   dense nodes are dealt to blocks of at most about ``BLOCK`` sets of one class (or of one node, where they are alone); a set is
-   sent once to each block that holds a set it looks near to, compared there with the whole block on hashed sets, and only
-   links that join two classes leave the block. So the rows grow with sets times blocks and not with pairs.
+   dense nodes are dealt to blocks of about ``BLOCK`` sets of one home, which is their class, or the largest class beside them
+   where they are alone; a set is sent once to each block of a home with a set it looks near to, compared there with the whole block on hashed
+   sets, and only links that join two classes leave the block. So the rows grow with sets times blocks and not with pairs.
 
 At ``DEEPEST`` large nodes branch no more: every set outside the node's largest class goes to every block of the node. Every
 link is confirmed on the words themselves in the end.
@@ -46,7 +46,7 @@ TINY = 48  # nodes up to here are compared side by side
 FIRST_DEPTH = 2
 DEEPEST = 9
 ROUNDS = 64  # throws of a whole set before the tokens still missing are drawn one by one
-BLOCK = 256
+BLOCK = 512
 MISS = 1e-4  # the chance that a pair at the threshold is not found
 NEAREST = 2  # sets that are confirmed for each set first
 SAMPLE = 16  # one set in so many tells which nodes are large
@@ -209,8 +209,8 @@ def _documents(batches, width: int, coords: int):
         sets = hashed_sets(texts, width)
         row = dict(zip([i for i, s in enumerate(sets) if len(s)], _sketch([s for s in sets if len(s)], coords)))
         yield pa.RecordBatch.from_arrays(
-            [batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), *_sums(sets), pa.array([row[i].tobytes() if i in row else b"" for i in range(len(sets))], pa.binary())],
-            ["doc_id", "n", "s1", "s2", "sketch"],
+            [batch.column("doc_id"), batch.column("text_key"), pa.array([len(s) for s in sets], pa.int64()), *_sums(sets), pa.array([row[i].tobytes() if i in row else b"" for i in range(len(sets))], pa.binary())],
+            ["doc_id", "text_key", "n", "s1", "s2", "sketch"],
         )
 
 
@@ -290,10 +290,10 @@ def _made(kind, other, likeness, path, ids, n, sketch=None) -> pa.RecordBatch:
     )
 
 
-def _gather(batches, threshold: float, last: bool):
+def _gather(batches, threshold: float, last: bool, limit: int):
     """What each node finds: all near pairs of thin nodes (PAIR); of dense ones the nearest set of each set (NEAR) and the sets
     that have one (OPEN); of large ones the sets under their children (DEEPER) or, at the last level, all of them (WHOLE)."""
-    for node, long_run in runs(batches, ["path", "part"], 20_000, LIMIT):
+    for node, long_run in runs(batches, ["path", "part"], 20_000, limit):
         path, ids, n = (node.column(c).to_numpy() for c in ("path", "id", "n"))
         sketch = _unpack(node.column("sketch"))
         starts = starts_of(path, node.column("part").to_numpy())
@@ -337,10 +337,10 @@ def _gather(batches, threshold: float, last: bool):
 
 
 def _requests(batches, threshold: float):
-    """For each set of an open node the blocks of the sets it looks near to and shares no class with. Of two classes the
-    one with fewer sets in the node asks."""
+    """For each set of an open node the homes of the sets it looks near to and shares no class with. Of two classes the one
+    with fewer sets in the node asks."""
     for node, _ in runs(batches, ["path"], 20_000, 4 * LIMIT):
-        path, ids, n, label, block = (node.column(c).to_numpy() for c in ("path", "id", "n", "class", "block"))
+        path, ids, n, label, home = (node.column(c).to_numpy() for c in ("path", "id", "n", "class", "home"))
         sketch = _unpack(node.column("sketch"))
         starts = starts_of(path)
         sizes = np.diff(np.r_[starts, len(path)])
@@ -351,23 +351,23 @@ def _requests(batches, threshold: float):
         weight[order] = np.repeat(np.diff(np.r_[first, len(path)]), np.diff(np.r_[first, len(path)]))
         i, j, _ = _tiny_pairs(path, n, sketch, np.repeat(sizes <= TINY, sizes), threshold, label)
         asks = (weight[i] < weight[j]) | (weight[i] == weight[j]) & (label[i] > label[j])
-        sent = [(ids[np.where(asks, i, j)], block[np.where(asks, j, i)])]
+        sent = [(ids[np.where(asks, i, j)], home[np.where(asks, j, i)])]
         for s, m in zip(starts[sizes > TINY], sizes[sizes > TINY]):
-            w, kind, to = weight[s : s + m], label[s : s + m], block[s : s + m]
-            blocks, which = np.unique(to, return_inverse=True)
-            holds = np.zeros((m, len(blocks)), np.float32)
+            w, kind, to = weight[s : s + m], label[s : s + m], home[s : s + m]
+            homes, which = np.unique(to, return_inverse=True)
+            holds = np.zeros((m, len(homes)), np.float32)
             holds[np.arange(m), which] = 1
             top = kind[w == w.max()].min()  # the class that never asks
             for own, strip in _strips(n[s : s + m], sketch[s : s + m], threshold, np.flatnonzero(kind != top)):
                 asks = (w[own, None] < w) | (w[own, None] == w) & (kind[own, None] > kind)
                 row, at = np.nonzero((asks & (strip > 0) & (kind[own, None] != kind)).astype(np.float32) @ holds)
-                sent.append((ids[s + own[row]], blocks[at]))
+                sent.append((ids[s + own[row]], homes[at]))
         asker, to = (np.concatenate([x[k] for x in sent]) for k in range(2))
         order = np.lexsort((to, asker))
         asker, to = asker[order], to[order]
         lead = starts_of(asker, to)
         if len(lead):
-            yield pa.RecordBatch.from_arrays([pa.array(asker[lead]), pa.array(to[lead])], ["id", "block"])
+            yield pa.RecordBatch.from_arrays([pa.array(asker[lead]), pa.array(to[lead])], ["id", "home"])
 
 
 def _hashed(batches, width: int):
@@ -471,10 +471,10 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def _dealt(nodes: DataFrame) -> DataFrame:
+def _dealt(nodes: DataFrame, limit: int) -> DataFrame:
     """The nodes' rows, each node in one place; what a sample takes for large nodes is dealt out in parts. The sample
     only plans: a node that it misses is cut into parts where it is read."""
-    seen = nodes.where(F.pmod(F.xxhash64("id"), F.lit(SAMPLE)) == 0).groupBy("path").agg((F.count("*") * SAMPLE / LIMIT).cast("int").alias("parts")).where("parts > 1")
+    seen = nodes.where(F.pmod(F.xxhash64("id"), F.lit(SAMPLE)) == 0).groupBy("path").agg((F.count("*") * SAMPLE / limit).cast("int").alias("parts")).where("parts > 1")
     seen = written(seen, "large")
     known = nodes.withColumn("part", F.lit(0))
     if seen.limit(1).count():
@@ -482,39 +482,42 @@ def _dealt(nodes: DataFrame) -> DataFrame:
     return known.repartition("path", "part").sortWithinPartitions("path", "part", "id")
 
 
-def _candidates(firsts: DataFrame, trees: int, threshold: float) -> DataFrame:
+def _candidates(firsts: DataFrame, trees: int, threshold: float, limit: int, deepest: int) -> DataFrame:
     """What the nodes of all levels find (``FOUND``)."""
     nodes = firsts.select("id", "n", "sketch").mapInArrow(lambda b: _rooted(b, trees, threshold), NODE)
     found = None
-    for depth in range(FIRST_DEPTH, DEEPEST + 1):
-        out = written(_dealt(nodes).mapInArrow(lambda b, last=depth == DEEPEST: _gather(b, threshold, last), FOUND), "nodes")
+    for depth in range(FIRST_DEPTH, deepest + 1):
+        out = written(_dealt(nodes, limit).mapInArrow(lambda b, last=depth == deepest: _gather(b, threshold, last, limit), FOUND), "nodes")
         found = out if found is None else found.unionByName(out)
         nodes = out.where(F.col("kind") == DEEPER).select("path", "id", "n", "sketch")
-        if depth == DEEPEST or not nodes.limit(1).count():
+        if depth == deepest or not nodes.limit(1).count():
             return found.where(F.col("kind") != DEEPER)
 
 
 def _settled(found: DataFrame, labels: DataFrame, texts: Texts, width: int, percent: int) -> DataFrame:
-    """Links between the classes of ``labels`` that dense and last nodes suggest, found on whole hashed sets."""
+    """Links between the classes of ``labels`` that dense and last nodes suggest, found on whole hashed sets. The home of a set
+    is its class or, where it is alone, the largest class beside it in one of its nodes, or else a node."""
     rows = found.where(F.col("kind").isin(OPEN, WHOLE))
-    homes = rows.groupBy("id").agg(F.min("path").alias("path")).join(few(labels), "id", "left").withColumn("class", F.coalesce("class", "id"))
-    homes = written(homes, "homes")
-    alone = homes.groupBy("class").agg((F.count("*") == 1).alias("alone"))
-    homes = homes.join(alone, "class").select("id", "class", F.when(F.col("alone"), F.col("path")).otherwise(F.col("class")).alias("home"))
-    wide = homes.groupBy("home").agg(F.ceil(F.count("*") / BLOCK).alias("parts"))
-    homes = written(homes.join(wide, "home").select("id", "class", F.xxhash64("home", F.pmod(F.xxhash64("id"), F.col("parts"))).alias("block")), "homes")
+    placed = written(rows.select("path", "id").join(few(labels), "id", "left"), "placed")
+    crowd = placed.where("class is not null").groupBy("path", "class").count().groupBy("path").agg(F.max(F.struct("count", "class")).alias("top"))
+    lone = placed.where("class is null").join(crowd, "path", "left").groupBy("id").agg(F.max("top")["class"].alias("beside"), F.min("path").alias("path"))
+    lone = lone.select("id", F.col("id").alias("class"), F.coalesce("beside", "path").alias("home"))
+    homes = written(placed.where("class is not null").select("id", "class", F.col("class").alias("home")).distinct().union(lone), "homes")
     where = few(homes)
     known = rows.where(F.col("kind") == OPEN).select("path", "id", "n", "sketch").join(where, "id")
-    asked = known.repartition("path").sortWithinPartitions("path", "id").mapInArrow(lambda b: _requests(b, percent / 100), "id long, block long")
+    asked = known.repartition("path").sortWithinPartitions("path", "id").mapInArrow(lambda b: _requests(b, percent / 100), "id long, home long")
     whole = written(rows.where(F.col("kind") == WHOLE).select("path", "id").join(where, "id"), "whole")
     if whole.limit(1).count():
         top = whole.groupBy("path", "class").count().groupBy("path").agg(F.max_by("class", F.struct("count", "class")).alias("top"))
         outer = whole.join(top, "path").where("class != top").select("path", "id").distinct()
-        asked = asked.union(outer.join(whole.select("path", "block").distinct(), "path").select("id", "block"))
+        asked = asked.union(outer.join(whole.select("path", "home").distinct(), "path").select("id", "home"))
     asked = written(asked.distinct(), "asked")
     if not asked.limit(1).count():
         return asked.select(F.col("id").alias("a"), F.col("id").alias("b"))
-    members = homes.join(few(asked.select("block").distinct()), "block", "left_semi").select("id", "block")
+    wide = written(homes.join(few(asked.select("home").distinct()), "home", "left_semi").groupBy("home").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("parts")), "wide")
+    block = F.xxhash64("home", "part").alias("block")
+    members = homes.join(few(wide), "home").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")).select("id", block)
+    asked = asked.join(few(wide), "home").select("id", "home", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")).select("id", block)
     held = texts(members.select("id").union(asked.select("id")).distinct()).mapInArrow(lambda b: _hashed(b, width), "id long, held binary")
     held = written(held.join(few(homes.select("id", "class")), "id"), "held")
     sent = members.withColumn("asks", F.lit(False)).union(asked.select("id", "block").withColumn("asks", F.lit(True))).join(held, "id")
@@ -522,17 +525,20 @@ def _settled(found: DataFrame, labels: DataFrame, texts: Texts, width: int, perc
     return written(links.mapInArrow(lambda b: _met(b, percent), "a long, b long").distinct(), "pairs")
 
 
-def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int | None = None) -> DataFrame:
-    """``doc_id, n_shingles, component_id`` of every row. ``trees``: as many as ``trees_for`` says where no number is given."""
+def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int | None = None, limit: int = LIMIT, deepest: int = DEEPEST) -> DataFrame:
+    """``doc_id, text_key, n_shingles, component_id, first`` of every row. ``trees``: as many as ``trees_for`` says where no number
+    is given; ``limit`` and ``deepest``: sets of a node that are compared exhaustively, and the last level. ``first``: true for
+    the rows of a class with its least id and, of these, the least ``text_key`` (a hash of the text), and for empty sets."""
     threshold = percent / 100
     trees = trees or trees_for(threshold)
-    given = docs.select("doc_id", "text")
-    rows = written(given.mapInArrow(lambda b: _documents(b, width, trees * COORDS), "doc_id long, n long, s1 long, s2 long, sketch binary"), "sets")
+    given = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    keyed = given.withColumn("text_key", F.xxhash64("text"))
+    rows = written(keyed.mapInArrow(lambda b: _documents(b, width, trees * COORDS), "doc_id long, text_key long, n long, s1 long, s2 long, sketch binary"), "sets")
     # the sketch is a function of the set, so any row's serves; a set's number holds from here on, as it is written
-    firsts = rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("least"), F.first("sketch").alias("sketch"))
+    firsts = rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_key")).alias("least"), F.first("sketch").alias("sketch"))
     firsts = written(firsts.withColumn("id", F.monotonically_increasing_id()), "firsts")
     texts = _texts(given, rows, firsts.drop("sketch"), width)
-    found = _candidates(firsts, trees, threshold)
+    found = _candidates(firsts, trees, threshold, limit, deepest)
     near = found.where(F.col("kind") == NEAR).select("id", "other", "likeness")
     pairs = found.where(F.col("kind") == PAIR).select("id", "other", "likeness")
     both = near.union(pairs).union(pairs.select("other", "id", "likeness"))
@@ -551,10 +557,20 @@ def classes(docs: DataFrame, width: int = 2, percent: int = 80, trees: int | Non
         labels = components(links.union(confirmed(more, texts, width, percent)))
     named = firsts.drop("sketch").join(few(labels), "id", "left").withColumn("class", F.coalesce("class", "id"))
     named = written(named, "named")
-    least = named.groupBy("class").agg(F.min("least").alias("component_id"))
-    named = named.join(least, "class").select("s1", "s2", "n", "component_id", F.lit(True).alias("in_class"))
+    least = named.groupBy("class").agg(F.min("least").alias("top"))
+    named = named.join(least, "class").select("s1", "s2", "n", "top")
     joined = rows.drop("sketch").join(named, ["s1", "s2", "n"], "left")
-    return joined.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("in_class"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    own = F.col("top").isNull()
+    first = own | F.col("doc_id").eqNullSafe(F.col("top.doc_id")) & (F.col("text_key") == F.col("top.text_key"))
+    return joined.select("doc_id", "text_key", F.col("n").alias("n_shingles"), F.when(own, F.col("doc_id")).otherwise(F.col("top.doc_id")).alias("component_id"), first.alias("first"))
+
+
+def drop_later(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """The documents without those that are near an earlier one: of each class the rows with the least id (null last) and, of
+    these, the least hash of the text stay, so rows that repeat both are one document. All columns pass through."""
+    gone = classes(docs, width, percent).where(~F.col("first")).select(F.col("doc_id").alias("gone_id"), F.col("text_key").alias("gone_key")).distinct()
+    gone = few(written(gone, "near"))
+    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone_id"]) & (F.xxhash64(docs["text"]) == gone["gone_key"]), "left_anti")
 
 
 def _texts(given: DataFrame, rows: DataFrame, firsts: DataFrame, width: int) -> Texts:
@@ -570,7 +586,7 @@ def _texts(given: DataFrame, rows: DataFrame, firsts: DataFrame, width: int) ->
     def found(ids: DataFrame) -> DataFrame:
         want = written(firsts.join(few(written(ids, "ids")), "id", "left_semi"), "ids")
         if unique:
-            return some.join(few(want.select(F.col("least").alias("doc_id"), "id")), "doc_id").select("id", "text")
+            return some.join(few(want.select(F.col("least.doc_id").alias("doc_id"), "id")), "doc_id").select("id", "text")
         met = some.select("text").mapInArrow(keyed, "s1 long, s2 long, text string").join(few(want.select("id", "s1", "s2")), ["s1", "s2"])
         return met.groupBy("id").agg(F.min("text").alias("text"))
 

@@ -43,8 +43,9 @@ def op6_suffix_dedup(spark, sf_dir):
 
 
 def op7_minhash(spark, sf_dir):
+    """Per document its class of near duplicates; a row with a null id stays only in a class without any id."""
     found = minhash.classes(table(spark, sf_dir, "documents"), width=2, percent=80)
-    return found.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    return found.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
 def op8_secret_scan(spark, sf_dir):
