@@ -22,10 +22,10 @@ from private_traces.llm.common import table, written
 ORACLE_SQL = None
 WORDS = 5
 SIMILARITY = 80
-SMALL = 1_000_000
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents scored under 0.3; a null or empty text has the score of a text without any known term."""
     model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
     return toxicity.score(docs, model).where(F.col("score") < toxicity.CUT).select(*docs.columns)
 
@@ -38,13 +38,13 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = minhash.classes(docs, width=WORDS, percent=SIMILARITY)
-    gone = written(found.where(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct(), "near")
-    few = gone.count() <= SMALL  # 8 bytes a row: a checked bound for a broadcast
-    return docs.join(F.broadcast(gone) if few else gone, "doc_id", "left_anti").select(*docs.columns)
+    """The first document of each class of near duplicates and those in no class. Rows are told apart by id and text: of a
+    repeated id only the rows whose text is a later copy go."""
+    return minhash.drop_later(docs, width=WORDS, percent=SIMILARITY).select(*docs.columns)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents without a benchmark item; null and empty texts hold none."""
     return decontaminate.find(docs, table(spark, sf_dir, "benchmark")).where(F.size("leaks") == 0).select(*docs.columns)
 
 
