@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import json
-from dataclasses import asdict, dataclass, replace
+import secrets
+from dataclasses import asdict, dataclass, field, replace
 
 
 @dataclass(frozen=True)
@@ -50,9 +51,18 @@ def prior_split(weights: SplitWeights = SplitWeights(0.1, 0.4, 0.4, 0.1)) -> Spl
     return weights.validate()
 
 
+def fresh_seed() -> int:
+    """128 secret bits."""
+    return secrets.randbits(128)
+
+
 @dataclass(frozen=True)
 class SynthesisConfig:
-    """What a run takes. ``epsilon`` None means no noise (the upper bound on utility)."""
+    """What a run takes. ``epsilon`` None means no noise (the upper bound on utility).
+
+    All noise is a function of ``seed``: who knows it can take the noise off again. Where none is given, one of 128 secret bits is
+    drawn; it is left out of JSON, reports and ``repr``. A fixed seed is for tests and oracles. ``cuts``: the densities of the
+    split rule ``thresholds``. ``mechanism``: ``laplace``, or ``geometric`` for the integer counts of trips and lengths."""
 
     epsilon: float | None = 1.0
     metric: str = "trip_error"
@@ -60,7 +70,7 @@ class SynthesisConfig:
     trials: int = 1
     explore: int = 100
     guided: int = 100
-    seed: int = 42
+    seed: int | None = field(default=None, repr=False, compare=False)
     max_len: int = 32
     split_rule: str = "target"
     cells_per_top: float = 1.0
@@ -79,13 +89,26 @@ class SynthesisConfig:
     n_out: str | int = "noisy"
     trips_per_trace: int = 1
     noise_source: str = "md5"
+    cuts: tuple[float, ...] = ()
+    mechanism: str = "laplace"
+
+    def __post_init__(self):
+        if self.seed is None:
+            object.__setattr__(self, "seed", fresh_seed())
+        if self.split_rule == "thresholds" and not self.cuts:
+            raise ValueError("the split rule thresholds needs cuts")
+        if self.mechanism not in ("laplace", "geometric"):
+            raise ValueError(f"unknown mechanism: {self.mechanism}")
 
     def to_json(self) -> str:
-        return json.dumps(asdict(self), sort_keys=True)
+        """The settings without the seed."""
+        return json.dumps({k: v for k, v in asdict(self).items() if k != "seed"}, sort_keys=True)
 
     @classmethod
     def from_json(cls, text: str) -> SynthesisConfig:
-        return cls(**json.loads(text))
+        """The settings again, with a fresh seed."""
+        given = json.loads(text)
+        return cls(**given | {"cuts": tuple(given.get("cuts", ()))})
 
     def but(self, **changes) -> SynthesisConfig:
         return replace(self, **changes)

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 def keyed_uniform(seed: int | Column, stage: str, *key: Column | str, source: str = "md5") -> Column:
     """A number in (0, 1) from the text ``seed|stage|key``; ``xxhash64`` is the cheaper source without an oracle."""
-    lead = F.lit(seed).cast("string") if isinstance(seed, int) else seed.cast("string")
+    lead = F.lit(str(seed)) if isinstance(seed, int) else seed.cast("string")
     text = F.concat_ws("|", lead, F.lit(stage), *[(F.col(k) if isinstance(k, str) else k).cast("string") for k in key])
     if source == "xxhash64":
         return (F.shiftrightunsigned(F.xxhash64(text), 16) + 0.5) / F.lit(float(1 << 48))
@@ -31,6 +31,13 @@ def geometric(epsilon: float, seed: int, stage: str, *key: Column | str, source:
     return (one("+") - one("-")).cast("bigint")
 
 
+def integer_noise(mechanism: str, epsilon: float, seed: int, stage: str, *key: Column | str, source: str = "md5") -> Column:
+    """Noise for counts that one trace moves by 1: ``laplace``, or ``geometric``, which keeps them integers."""
+    if mechanism == "geometric":
+        return geometric(epsilon, seed, stage, *key, source=source).cast("double")
+    return laplace(1 / epsilon, seed, stage, *key, source=source)
+
+
 def densify(stats: DataFrame, domain: DataFrame, keys: list[str], **zero) -> DataFrame:
     """Every key of ``domain``, with 0 (or the given value) where ``stats`` has no row."""
     rest = [c for c in stats.columns if c not in keys]
@@ -71,18 +78,24 @@ def to_probabilities(df: DataFrame, mass: str, by: list[str], name: str = "prob"
 
 def sparse_noise(stats: DataFrame, size: int, key: str, mass: str, scale: float, threshold: float, seed: int, stage: str) -> DataFrame:
     """Noise for a domain of ``size`` keys of which few occur, without listing it: noise the keys that occur, draw how many
-    empty keys would pass ``threshold`` (a binomial, by its normal limit) and which, and give those a draw beyond it.
-    Same law as dense noise followed by the threshold."""
+    empty keys would pass ``threshold`` (a binomial draw) and which, and give those a draw beyond it. Same law as dense noise
+    followed by the threshold, which must not be negative."""
+    import hashlib
     import math
 
+    import numpy as np
+
+    if threshold < 0:
+        raise ValueError("the threshold must not be negative")
     occurring = stats.select(key, (F.col(mass) + laplace(scale, seed, stage, key)).alias(mass)).where(F.col(mass) >= threshold)
     p = 0.5 * math.exp(-threshold / scale)
     spark = stats.sparkSession
     empty = size - stats.select(key).distinct().count()
-    u1, u2 = spark.range(1).select(keyed_uniform(seed, f"{stage}-n", F.lit(1)).alias("a"), keyed_uniform(seed, f"{stage}-n", F.lit(2)).alias("b")).first()
-    n = round(empty * p + math.sqrt(empty * p * (1 - p)) * math.sqrt(-2 * math.log(u1)) * math.cos(2 * math.pi * u2))
-    n = max(0, min(empty, n))
-    draws = spark.range(max(1, math.ceil(n * 1.5 + 20))).select((F.floor(keyed_uniform(seed, f"{stage}-k", "id") * size)).cast("bigint").alias(key), "id")
-    fresh = draws.groupBy(key).agg(F.min("id").alias("id")).join(stats.select(key), key, "left_anti").orderBy("id").limit(n)
+    n = int(np.random.default_rng(int.from_bytes(hashlib.sha256(f"{seed}|{stage}-n".encode()).digest(), "big")).binomial(empty, p))
+    if 4 * n > size:  # no longer sparse: every key, in a random order
+        draws = spark.range(size).select(F.col("id").alias(key), keyed_uniform(seed, f"{stage}-k", "id").alias("turn"))
+    else:  # the distinct keys of uniform draws are a random sample in a random order
+        draws = spark.range(math.ceil((3 * n + 40) * size / max(1, empty))).select((F.floor(keyed_uniform(seed, f"{stage}-k", "id") * size)).cast("bigint").alias(key), F.col("id").alias("turn"))
+    fresh = draws.groupBy(key).agg(F.min("turn").alias("turn")).join(stats.select(key), key, "left_anti").orderBy("turn").limit(n)
     beyond = fresh.select(key, (F.lit(threshold) - scale * F.log(keyed_uniform(seed, f"{stage}-m", key))).alias(mass))
     return occurring.unionByName(beyond)

@@ -16,23 +16,26 @@ GRID = "metric string, epsilon double, dataset string, method string, weights st
 
 
 def runs(real: metrics.RealSide, stats: statistics.LeafStatistics, bounds: Bounds, cfg: SynthesisConfig, weights: SplitWeights, seeds: list[int], names=FOUR, n: int | None = None) -> list[tuple[str, int, float]]:
-    """(metric, seed, value) of fresh runs with the given weights."""
+    """(metric, trial, value) of fresh runs with the given weights, each of the noisy number of traces where ``n`` is not given."""
     out = []
-    for s in seeds:
-        syn = extract_synopsis(None, bounds, weights, cfg, stats, s)
-        made = generator.generate(syn, n or real.total, s).persist()
+    for trial, s in enumerate(seeds):
+        syn = extract_synopsis(real.traces, bounds, weights, cfg, stats, s, write=False)
+        made = generator.generate(syn, n, s).persist()
         for m in names:
-            out.append((m, s, float(metrics.REGISTRY[m](real, made, real.total / (n or real.total)).first().value)))
-        made.unpersist()
+            out.append((m, trial, float(metrics.REGISTRY[m](real, made, real.total / n if n else 1.0).first().value)))
+        for df in (made, syn.mobility, syn.trips, syn.lengths):
+            df.unpersist()
     return out
 
 
 def method_run(spark: SparkSession, sf_dir: str, view: str, weights: SplitWeights, cfg: SynthesisConfig, method: str, trials: int = 1, n: int | None = None) -> DataFrame:
     """One method on one view: every metric of the table, per trial."""
     bounds, traces = BOUNDS[view], VIEWS[view](spark, sf_dir)
-    real = metrics.RealSide(traces, bounds, cfg.seed)
+    real = metrics.RealSide(traces, bounds)
     stats = statistics.leaf_statistics(real.traces, bounds, cfg.top_n, cfg.max_len).persist()
     found = runs(real, stats, bounds, cfg, weights, [cfg.seed + 101 * t for t in range(trials)], n=n)
+    real.release()
+    stats.unpersist()
     return spark.createDataFrame([(m, cfg.epsilon, view, method, str(weights.as_tuple()), s, v) for m, s, v in found], GRID)
 
 
@@ -42,7 +45,7 @@ def comparison_grid(spark: SparkSession, datasets: list[tuple[str, str]], epsilo
     rows = []
     for view, sf_dir in datasets:
         bounds, traces = BOUNDS[view], VIEWS[view](spark, sf_dir)
-        real = metrics.RealSide(traces, bounds, base.seed)
+        real = metrics.RealSide(traces, bounds)
         stats = statistics.leaf_statistics(real.traces, bounds, base.top_n, base.max_len).persist()
         seeds = [base.seed + 7_000_000 + t for t in range(trials)]
         for e in epsilons:
@@ -74,7 +77,7 @@ def weight_study(spark: SparkSession, combos: list[tuple[str, str, float]], name
     rows = []
     for view, sf_dir, e in combos:
         bounds, traces = BOUNDS[view], VIEWS[view](spark, sf_dir)
-        real = metrics.RealSide(traces, bounds, base.seed)
+        real = metrics.RealSide(traces, bounds)
         stats = statistics.leaf_statistics(real.traces, bounds, base.top_n, base.max_len).persist()
         for m in names:
             w, _ = tuning.minimise(tuning.objective_of(real, stats, bounds, base.but(epsilon=e), m, n_tune), explore, guided, base.seed)
@@ -99,12 +102,12 @@ def convergence_study(spark: SparkSession, sf_dir: str, view: str = "subset_trip
 def granularity_study(spark: SparkSession, sf_dir: str, view: str = "drift_trips", grids=(None, 3, 6, 12, 50), cfg: SynthesisConfig = SynthesisConfig(), names=("trip_error",)) -> DataFrame:
     """Adaptive grid (None) against uniform ones, too coarse and too fine, and against no noise."""
     bounds, traces = BOUNDS[view], VIEWS[view](spark, sf_dir)
-    real = metrics.RealSide(traces, bounds, cfg.seed)
+    real = metrics.RealSide(traces, bounds)
     rows = []
     for g in grids:
         for e in (cfg.epsilon, None):
             c = cfg.but(uniform_grid=g, epsilon=e)
-            made = generator.generate(extract_synopsis(real.traces, bounds, equal_split(), c), real.total)
+            made = generator.generate(extract_synopsis(real.traces, bounds, equal_split(), c))
             rows += [("adaptive" if g is None else f"uniform {g}", e, m, float(metrics.REGISTRY[m](real, made, 1.0).first().value)) for m in names]
     return spark.createDataFrame(rows, "grid string, epsilon double, metric string, value double")
 

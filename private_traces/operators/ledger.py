@@ -26,6 +26,11 @@ class Ledger:
         self.rows.append((stage, mechanism, 0.0, 0.0, "free"))
         return self
 
+    def leak(self, stage: str, why: str) -> Ledger:
+        """A stage that reads the exact data: no finite epsilon covers it."""
+        self.rows.append((stage, why, float("inf"), float("inf"), "not private"))
+        return self
+
     @property
     def total(self) -> float:
         return sum(r[3] for r in self.rows)

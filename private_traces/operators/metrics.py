@@ -340,10 +340,15 @@ class RealSide:
         self.region_counts = query_counts(self.traces, self.regions).persist()
         self.mined = top_patterns(self.cells).persist()
         self.trips = statistics.trip_counts(self.cells).withColumnRenamed("n", "mass").persist()
-        d = distances(self.traces).persist()
+        self.distances = d = distances(self.traces).persist()
         self.longest = d.agg(F.coalesce(F.max("d"), F.lit(0.0)).alias("m")).first().m
         self.histogram = distance_histogram(d, self.longest).withColumnRenamed("n", "mass").persist()
 
+    def release(self) -> None:
+        """Give the kept tables back."""
+        for df in (self.traces, self.cells, self.regions, self.region_counts, self.mined, self.trips, self.distances, self.histogram):
+            df.unpersist()
+
     def area(self, x: Column, y: Column) -> Column:
         from private_traces.functions.lattice import uniform_cell
 
@@ -366,6 +371,10 @@ REGISTRY: dict[str, Callable[[RealSide, DataFrame, float], DataFrame]] = {
 }
 
 
+#: How much one trace more or less can move an error that is 0 to 1 by its definition. Others are not bounded.
+SENSITIVITY = {"trip_error": 1.0, "travel_distance_error": 1.0}
+
+
 def register_metric(name: str, fn: Callable[[RealSide, DataFrame, float], DataFrame]) -> None:
     """Add a metric: (real side, synthetic traces, count scale) -> frame (metric, value)."""
     REGISTRY[name] = fn

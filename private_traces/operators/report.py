@@ -35,10 +35,11 @@ def distance_histograms(real: DataFrame, synth: DataFrame, buckets: int = 20) ->
 
 
 def inputs(spark: SparkSession, cfg: SynthesisConfig) -> DataFrame:
-    """``name, value`` of every setting."""
+    """``name, value`` of every setting; the seed of the noise is named but withheld."""
     import json
 
-    return spark.createDataFrame([(k, str(v)) for k, v in sorted(json.loads(cfg.to_json()).items())], "name string, value string")
+    shown = json.loads(cfg.to_json()) | {"seed": "withheld"}
+    return spark.createDataFrame([(k, str(v)) for k, v in sorted(shown.items())], "name string, value string")
 
 
 def results(real: metrics.RealSide, synth: DataFrame, weights: SplitWeights, accounting: str = "paper") -> DataFrame:

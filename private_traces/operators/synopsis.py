@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from private_traces.config import Bounds, SplitWeights, SynthesisConfig
-from private_traces.functions.noise import clean_up, densify, keyed_uniform, laplace, to_probabilities
+from private_traces.functions.noise import clean_up, densify, integer_noise, keyed_uniform, laplace, to_probabilities
 
 from . import statistics
 from .grid import Grid, build_grid, grid_spec, noisy_density, uniform_grid
@@ -41,7 +41,7 @@ def mobility_model(transitions: DataFrame, grid: Grid, epsilon: float | None, se
     return probs.select("src", "dst", "weight", F.coalesce("prob", even).alias("prob"))
 
 
-def trip_distribution(counts: DataFrame, grid: Grid, epsilon: float | None, seed: int, mode: str = "shift", total: str = "counts", source: str = "md5") -> DataFrame:
+def trip_distribution(counts: DataFrame, grid: Grid, epsilon: float | None, seed: int, mode: str = "shift", total: str = "counts", source: str = "md5", mechanism: str = "laplace") -> DataFrame:
     """``start_cell, end_cell, mass, prob`` of all pairs. ``total="separate"``: half of the share noises the pairs, half the
     number of traces, to which the masses are then levelled."""
     spark = counts.sparkSession
@@ -51,9 +51,9 @@ def trip_distribution(counts: DataFrame, grid: Grid, epsilon: float | None, seed
         own = epsilon / 2 if total == "separate" else epsilon
         target = None
         if total == "separate":
-            exact = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).select((F.col("n") + laplace(1 / own, seed, "total", F.lit(0), source=source)).alias("n")).first().n
+            exact = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).select((F.col("n") + integer_noise(mechanism, own, seed, "total", F.lit(0), source=source)).alias("n")).first().n
             target = F.lit(float(exact))
-        dense = dense.withColumn("mass", F.col("mass") + laplace(1 / own, seed, "trip", *keys, source=source))
+        dense = dense.withColumn("mass", F.col("mass") + integer_noise(mechanism, own, seed, "trip", *keys, source=source))
         dense = clean_up(dense, "mass", [], mode, total=target)
     # without any mass left (few traces, much noise) every pair is as likely as any other
     return to_probabilities(dense, "mass", []).withColumn("prob", F.coalesce("prob", F.lit(1.0 / grid.size**2)))
@@ -172,11 +172,15 @@ class ReleasedSynopsis:
 
 
 def release(df: DataFrame, tag: str) -> DataFrame:
-    """Write and read back under ``spark.checkpoint.dir`` (a folder of our own where that is unset): no lineage stays."""
+    """Write and read back under ``spark.checkpoint.dir`` (on a local master, a folder of our own where that is unset): no
+    lineage stays."""
     import tempfile
 
     spark = df.sparkSession
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="release-")
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir: executors of a cluster share no local folder")
+    root = root or "file://" + tempfile.mkdtemp(prefix="release-")
     path = f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
@@ -198,6 +202,12 @@ def ledger_of(cfg: SynthesisConfig, w: SplitWeights) -> Ledger:
     book.spend_parallel("lengths", [e * w.lengths * (1 - pool)])
     if pool > 0:
         book.spend_sequential("length pool", e * w.lengths * pool)
+    if cfg.noise_on == "probability":
+        book.leak("mobility rows", "divided by exact totals")
+    if cfg.fit_on == "true":
+        book.leak("length laws", "chosen on the exact histogram")
+    if cfg.n_out == "exact":
+        book.leak("trace count", "the exact number of traces")
     return book.free("generator")
 
 
@@ -210,11 +220,11 @@ def extract_synopsis(traces: DataFrame | None, bounds: Bounds, weights: SplitWei
     hold = release if write else lambda df, tag: df.persist()
     share = (lambda x: None) if cfg.epsilon is None else (lambda x: cfg.epsilon * x)
     if stats is None:
-        stats = statistics.leaf_statistics(traces, bounds, cfg.top_n, cfg.max_len)
+        stats = statistics.leaf_statistics(traces, bounds, cfg.top_n, cfg.max_len, cfg.collapse_repeats)
     if cfg.uniform_grid is None:
         noisy = noisy_density(stats.top_density(), cfg.top_n, share(weights.grid), seed, cfg.noise_source)
         later = (cfg.epsilon or 1.0) * (1 - weights.grid)
-        grid = build_grid(grid_spec(noisy, cfg.split_rule, cfg.cells_per_top, later_epsilon=later), bounds, cfg.top_n)
+        grid = build_grid(grid_spec(noisy, cfg.split_rule, cfg.cells_per_top, list(cfg.cuts), later), bounds, cfg.top_n)
     else:
         grid = uniform_grid(bounds, cfg.uniform_grid, cfg.top_n)
     if grid.top_n != cfg.top_n or cfg.collapse_repeats:
@@ -224,7 +234,7 @@ def extract_synopsis(traces: DataFrame | None, bounds: Bounds, weights: SplitWei
     else:
         moved, counts, hist = stats.roll_up(grid.cell_of)
     mobility = hold(mobility_model(moved, grid, share(weights.mobility), seed, cfg.clean_up, cfg.noise_on, cfg.noise_source).where("prob > 0"), "mobility")
-    trips = hold(trip_distribution(counts, grid, share(weights.trips), seed, cfg.clean_up, cfg.total, cfg.noise_source).where("prob > 0"), "trips")
+    trips = hold(trip_distribution(counts, grid, share(weights.trips), seed, cfg.clean_up, cfg.total, cfg.noise_source, cfg.mechanism).where("prob > 0"), "trips")
     laws = hold(length_laws(hist, trips, share(weights.lengths), cfg, seed), "lengths")
     total = trips.agg(F.coalesce(F.sum("mass"), F.lit(0.0)).alias("n")).first().n
     return ReleasedSynopsis(grid, mobility, trips, laws, ledger_of(cfg, weights), cfg, weights, max(0, round(total)))
@@ -236,8 +246,4 @@ def destination_given_start(trips: DataFrame) -> DataFrame:
     return trips.groupBy("start_cell").agg(F.max(row).alias("b"), F.sum("prob").alias("s")).select("start_cell", (-F.col("b.e")).alias("end_cell"), F.try_divide(F.col("b.prob"), F.col("s")).alias("prob"))
 
 
-def scaled(u: Column, n: Column | int) -> Column:
-    return F.least(F.lit(n) - 1 if isinstance(n, int) else n - 1, F.floor(u * n))
-
-
 __all__ = ["ReleasedSynopsis", "best_fit", "candidates", "extract_synopsis", "keyed_uniform", "length_laws", "mobility_model", "moment_parameters", "noisy_lengths", "release", "trip_distribution"]

@@ -16,10 +16,11 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from private_traces.config import Bounds, SplitWeights, SynthesisConfig, equal_split, prior_split
+from private_traces.config import Bounds, SplitWeights, SynthesisConfig, equal_split, fresh_seed, prior_split
 
 from . import generator, metrics, statistics
-from .synopsis import extract_synopsis
+from .ledger import Ledger
+from .synopsis import extract_synopsis, ledger_of
 
 FLOOR = 0.005
 HISTORY = "eval_id int, phase string, w1 double, w2 double, w3 double, w4 double, trial int, err double, best_so_far double, seconds double"
@@ -174,7 +175,7 @@ def objective_of(real: metrics.RealSide, stats: statistics.LeafStatistics, bound
 
     def run(w: np.ndarray, seed: int) -> float:
         count[0] += 1
-        syn = extract_synopsis(None, bounds, SplitWeights.of(w), cfg, stats, seed + (7919 * count[0] if fresh else 0), write=False)
+        syn = extract_synopsis(real.traces, bounds, SplitWeights.of(w), cfg, stats, seed + (7919 * count[0] if fresh else 0), write=False)
         n = min(n_tune, max(1, real.total))
         made = generator.generate(syn, n, seed)
         value = float(metrics.REGISTRY[metric](real, made, real.total / n).first().value)
@@ -190,39 +191,73 @@ ACCOUNTINGS = ("paper", "public_proxy", "private_selection", "charged")
 
 def spent(cfg: SynthesisConfig, evaluations: int, accounting: str, look_epsilon: float = 0.01) -> float:
     """Epsilon a tuned release costs: ``paper`` does not charge the loop; ``public_proxy`` tunes on traces that are not private;
-    ``private_selection`` picks among private candidates with private scores at about three times one release;
-    ``charged`` adds a noised look per evaluation."""
+    ``private_selection`` picks the best of a geometric number of private candidates by private scores, at three times one
+    candidate and its score; ``charged`` adds a noised look per evaluation."""
     e = cfg.epsilon or 0.0
-    return {"paper": e, "public_proxy": e, "private_selection": 3 * e, "charged": e + evaluations * look_epsilon}[accounting]
+    return {"paper": e, "public_proxy": e, "private_selection": 3 * (e + look_epsilon), "charged": e + evaluations * look_epsilon}[accounting]
 
 
-def tune(traces: DataFrame, bounds: Bounds, cfg: SynthesisConfig, n_tune: int = 100_000, accounting: str = "paper", proxy: DataFrame | None = None, look_epsilon: float = 0.01, sensitivity: float = 1.0, **search) -> TuningResult:
+def charged_ledger(cfg: SynthesisConfig, weights: SplitWeights, evaluations: int, accounting: str, look_epsilon: float = 0.01) -> Ledger:
+    """The ledger of a tuned release, its tuning included."""
+    book = ledger_of(cfg, weights)
+    if cfg.epsilon is None:
+        return book
+    if accounting == "paper":
+        return book.leak("tuning", f"{evaluations} exact looks, not charged")
+    if accounting == "charged":
+        return book.spend_sequential("tuning", evaluations * look_epsilon)
+    if accounting == "private_selection":
+        return book.spend_sequential("tuning", spent(cfg, evaluations, accounting, look_epsilon) - cfg.epsilon, mechanism="selection")
+    return book.free("tuning", "public traces")
+
+
+def noised(plain: Callable[[np.ndarray, int], float], epsilon: float, most: float) -> Callable[[np.ndarray, int], float]:
+    """The error, clipped to 0..``most``, which bounds its sensitivity, with Laplace noise from secret bits."""
+    rng = np.random.default_rng(fresh_seed())
+    return lambda w, s: min(max(plain(w, s), 0.0), most) + float(rng.laplace(scale=most / epsilon))
+
+
+def tune(traces: DataFrame, bounds: Bounds, cfg: SynthesisConfig, n_tune: int = 100_000, accounting: str = "paper", proxy: DataFrame | None = None, look_epsilon: float = 0.01, sensitivity: float | None = None, **search) -> TuningResult:
     """Tune the split for ``cfg.metric``, then finalise with the winning weights.
 
-    ``charged``: every look at the error is noised with Laplace(sensitivity / look_epsilon) and paid for."""
+    ``charged`` and ``private_selection`` see errors with Laplace noise of ``sensitivity / look_epsilon``; a metric that is not in
+    ``metrics.SENSITIVITY`` needs a ``sensitivity``, to which its values are clipped. The final release draws noise that no
+    evaluation used, but for ``private_selection``: there the release is the chosen candidate itself, as its bound requires, and
+    the number of candidates is a geometric draw from secret bits with mean ``cfg.explore``, without a cap."""
     if accounting not in ACCOUNTINGS:
         raise ValueError(f"unknown accounting: {accounting}")
-    seen = proxy if accounting == "public_proxy" and proxy is not None else traces
-    real = metrics.RealSide(seen, bounds, cfg.seed)
+    if accounting == "public_proxy" and proxy is None:
+        raise ValueError("public_proxy needs a proxy: the private traces are not public")
+    most = metrics.SENSITIVITY.get(cfg.metric) if sensitivity is None else sensitivity
+    if accounting in ("charged", "private_selection") and most is None:
+        raise ValueError(f"{cfg.metric} has no bound: give a sensitivity, to which its values are clipped")
+    real = metrics.RealSide(proxy if accounting == "public_proxy" else traces, bounds)
     stats = statistics.leaf_statistics(real.traces, bounds, cfg.top_n, cfg.max_len, cfg.collapse_repeats).persist()
     plain = objective_of(real, stats, bounds, cfg, cfg.metric, n_tune)
-    if accounting == "charged":
-        rng = np.random.default_rng(cfg.seed)
-        run = lambda w, s: plain(w, s) + rng.laplace(scale=sensitivity / look_epsilon)
-    else:
-        run = plain
-    if accounting == "private_selection":  # a random number of candidates, drawn at random: the published stopping rule
-        rounds = int(np.random.default_rng(cfg.seed).geometric(1 / max(1, cfg.explore)))
-        search |= {"random_only": True}
-        w, history = minimise(run, min(rounds, 4 * cfg.explore), 0, cfg.seed, trials=cfg.trials, select="observed", **{k: v for k, v in search.items() if k != "select"})
+    final_seed = fresh_seed()
+    if accounting == "private_selection":
+        score, space = noised(plain, look_epsilon, most), search.get("space", "dirichlet")
+        rounds = int(np.random.default_rng(fresh_seed()).geometric(1 / max(1, cfg.explore)))
+        history, best_seen = [], math.inf
+        for i, v in enumerate(sample_weights(rounds, fresh_seed(), space)):
+            began, s = time.time(), fresh_seed()
+            err = score(v, s)
+            if err < best_seen:
+                w, best_seen, final_seed = v, err, s
+            history.append((i, "selection", *map(float, v), 1, err, best_seen, time.time() - began))
     else:
+        run = noised(plain, look_epsilon, most) if accounting == "charged" else plain
         w, history = minimise(run, cfg.explore, cfg.guided, cfg.seed, trials=cfg.trials, **search)
     best = SplitWeights.of(w)
+    looks = len(history) * (1 if accounting == "private_selection" else cfg.trials)
 
     def finalise():
-        syn = extract_synopsis(traces, bounds, best, cfg)
-        return generator.generate(syn), syn
+        syn = extract_synopsis(traces, bounds, best, cfg, seed=final_seed)
+        syn.ledger = charged_ledger(cfg, best, looks, accounting, look_epsilon)
+        return generator.generate(syn, seed=fresh_seed()), syn
 
+    real.release()
+    stats.unpersist()
     return TuningResult(best, history, accounting, finalise)
 
 

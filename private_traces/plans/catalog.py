@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from private_traces.config import SplitWeights, SynthesisConfig, equal_split, prior_split
+from private_traces.config import SynthesisConfig, equal_split, prior_split
 from private_traces.functions import lattice, noise
 from private_traces.operators import bulk, experiments, generator, grid, ledger, metrics, relational, report, statistics, synopsis, tuning
 from private_traces.sources import views
@@ -16,7 +16,7 @@ from private_traces.streaming import sessions
 
 from . import oracle_sql as sql
 
-CFG = SynthesisConfig()
+CFG = SynthesisConfig(seed=42)  # fixed for the oracles
 DRIFT = views.BOUNDS["drift_trips"]
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -649,8 +649,4 @@ def bulk_exploration(spark, sf_dir):
     return found.select("eval_id", *r6("value"))
 
 
-def tuned(weights: SplitWeights) -> SplitWeights:
-    return weights.validate()
-
-
 __all__ = ["ORACLES", "QUERIES", "ledger", "tuning"]

@@ -13,7 +13,7 @@ from private_traces.sources import views
 from private_traces.streaming import sessions
 
 UNIT = Bounds(0, 1, 0, 1)
-CFG = SynthesisConfig()
+CFG = SynthesisConfig(seed=42)
 
 
 @pytest.fixture(scope="module")
