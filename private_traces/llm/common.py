@@ -5,7 +5,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -19,10 +19,12 @@ _OWN: dict[int, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one of our own only where none is set."""
+    """The folder that driver and executors share; on a local master, one of our own where none is set."""
     where = spark.conf.get("spark.checkpoint.dir", None)
     if where:
         return where.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir: executors of a cluster share no local folder")
     key = id(spark.sparkContext)
     if key not in _OWN:
         _OWN[key] = "file://" + tempfile.mkdtemp(prefix="shared-")
@@ -70,6 +72,15 @@ def drawn_labels(labels: DataFrame, column: str, most: int) -> DataFrame:
     return given.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < (1 << 20) * min(1.0, most / max(1, n)))
 
 
+def aside(docs: DataFrame, own: list[str]) -> tuple[DataFrame, Callable]:
+    """``docs`` with all columns but ``own`` under names that no operator uses, and what gives the names back to a result that
+    still has those columns, with any further columns after them."""
+    names = {c: c if c in own else f"aside {i}" for i, c in enumerate(docs.columns)}
+    quoted = lambda c: F.col("`" + c.replace("`", "``") + "`")
+    moved = docs.select(*[quoted(c).alias(n) for c, n in names.items()])
+    return moved, lambda done, *more: done.select(*[quoted(n).alias(c) for c, n in names.items()], *more)
+
+
 def widened(df: DataFrame, ddl: str) -> T.StructType:
     """The schema of ``df`` with the columns of ``ddl`` after it."""
     return T.StructType([*df.schema.fields, *T.StructType.fromDDL(ddl).fields])

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import pieces, widened, written
+from .common import aside, pieces, widened, written
 
 CHUNK = 2_000_000
 BLOCK = 2_000
@@ -257,8 +257,10 @@ def spaces(docs: DataFrame, benchmark: DataFrame) -> list[Space]:
 def find(docs: DataFrame, benchmark: DataFrame, columns: list[str] | None = None) -> DataFrame:
     """``docs`` (or its ``columns``) with ``leaks``: item id, share of its words found in order, and cosine, in place of any
     column of that name."""
-    kept = docs.drop("leaks")
-    names = [c for c in (columns or kept.columns) if c != "leaks"]
+    if columns is None:
+        moved, back = aside(docs.drop("leaks"), ["doc_id", "text"])
+        return back(find(moved, benchmark, moved.columns), "leaks")
+    kept, names = docs, columns
     found = spaces(kept, benchmark)
     if not found:
         return kept.select(*names).withColumn("leaks", F.array().cast(HIT))

@@ -27,9 +27,9 @@ UNKNOWN = "und"
 
 @lru_cache(maxsize=1)
 def _letters() -> np.ndarray:
-    """Lower-case code point of each letter of the basic plane; other characters become a space."""
-    table = np.full(65536, 32, np.uint32)
-    for i in range(65536):
+    """Lower-case code point of each letter; other characters become a space."""
+    table = np.full(0x110000, 32, np.uint32)
+    for i in range(len(table)):
         c = chr(i)
         if c.isalpha():
             table[i] = ord(c.lower()[0])
@@ -40,10 +40,7 @@ def grams(texts: list[str], bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarr
     """Bucket of every n-gram (one row per order), where each text starts, and which texts have a letter."""
     joined = "  ".join(["", *texts, ""])  # two spaces between texts: no n-gram spans two of them
     points = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
-    low = _letters()[np.minimum(points, 65535)]
-    high = points > 65535
-    if high.any():
-        low = np.where(high, points, low)
+    low = _letters()[points]
     lengths = np.array([len(t) + 2 for t in texts], np.int64)
     starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
     total = int(lengths.sum())

@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import let, written
+from .common import aside, let, written
 
 BLANK = "\x20\t\n\x0b\x0c\r"
 SMALL = 500_000
@@ -146,9 +146,10 @@ def kept_places(docs: DataFrame, least_chars: int = 16) -> DataFrame:
 
 
 def dedup(docs: DataFrame, least_chars: int = 16) -> DataFrame:
-    """``docs`` with ``text`` cut down to the lines that stay, and ``n_lines``, ``n_removed`` (non-blank lines)."""
+    """``docs`` with ``text`` cut down to the lines that stay, and ``n_lines``, ``n_removed`` (non-blank lines) in place of any
+    columns of those names; all other columns pass through, whatever their names."""
     kept = kept_places(docs, least_chars)
-    own = docs.drop("n_lines", "n_removed")
+    own, back = aside(docs.drop("n_lines", "n_removed"), ["doc_id", "text"])
     left = own.withColumn("__row", F.xxhash64("text"))
     met = left.join(kept, left.doc_id.eqNullSafe(kept.doc_id) & (left["__row"] == kept.row), "left").select(left["*"], kept.kept.alias("__kept"))
     blank = lambda x: _trimmed(x) == ""
@@ -167,4 +168,4 @@ def dedup(docs: DataFrame, least_chars: int = 16) -> DataFrame:
         "n_lines": F.coalesce(F.size(F.filter("__lines", lambda x: ~blank(x))), F.lit(0)),
         "n_removed": F.coalesce(F.size("__lines") - F.size(F.array_compact("__out")), F.lit(0)),
     })
-    return result.select(*own.columns, "n_lines", "n_removed")
+    return back(result, "n_lines", "n_removed")

@@ -27,8 +27,9 @@ STATS = ["symbol_share", "upper_share", "digit_share", "bang_share", "dup_line_s
 def repeated_words(words: Column) -> Column:
     """Words that lie in a 3-word window found twice or more in the text.
 
-    Window hashes, each with its place in the low bits, are sorted as plain longs; equal neighbours are the
-    repeated windows, and their sorted places give the words covered.
+    Window hashes, each with its place in the low bits, are sorted as plain longs; equal neighbours with equal words are the
+    repeated windows, and their sorted places give the words covered. A window whose neighbour has its hash and other words is
+    looked up among all.
     """
     n = F.size(words)
 
@@ -41,9 +42,14 @@ def repeated_words(words: Column) -> Column:
 
         def repeated(s: Column) -> Column:
             top = lambda x: F.call_function("shiftright", x, bits)
-            same = lambda x, k: F.coalesce(top(F.get(s, k)) == top(x), F.lit(False))
             low = F.call_function("shiftleft", F.lit(1).cast("bigint"), bits) - 1
-            marked = F.transform(s, lambda x, k: F.when(same(x, k - 1) | same(x, k + 1), x.bitwiseAND(low)).otherwise(F.lit(-1).cast("bigint")))
+            at = lambda x, k: F.get(w, x.bitwiseAND(low).cast("int") + k)
+            words_equal = lambda x, y: (at(x, 0) == at(y, 0)) & (at(x, 1) == at(y, 1)) & (at(x, 2) == at(y, 2))
+            hashed = lambda x, k: F.coalesce(top(F.get(s, k)) == top(x), F.lit(False))
+            same = lambda x, k: hashed(x, k) & words_equal(x, F.get(s, k))
+            place = lambda x: x.bitwiseAND(low)
+            other = lambda x: F.exists(s, lambda y: (top(y) == top(x)) & (y != x) & words_equal(x, y))
+            marked = F.transform(s, lambda x, k: F.when(same(x, k - 1) | same(x, k + 1), place(x)).when(hashed(x, k - 1) | hashed(x, k + 1), F.when(other(x), place(x))).otherwise(F.lit(-1).cast("bigint")))
             return F.filter(marked, lambda x: x >= 0)
 
         return let(F.sort_array(packed), repeated)
@@ -177,8 +183,19 @@ def fit(docs: DataFrame, labels: DataFrame, most_examples: int = 12_000) -> Deci
     return learn(written(examples, "examples"))
 
 
+BASE = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
+
+
+def _based(docs: DataFrame, least_words: int, most_repeated: int) -> DataFrame:
+    return statistics(docs).withColumn("base_failed", (F.col("n_words") < least_words) | (100 * F.col("n_repeat_words") > most_repeated * F.col("n_words")))
+
+
+def base(docs: DataFrame, least_words: int = 50, most_repeated: int = 50) -> DataFrame:
+    """The counts of each row and ``base_failed``."""
+    return _based(docs, least_words, most_repeated).select(*BASE)
+
+
 def judge(docs: DataFrame, rules: DecisionList, least_words: int = 50, most_repeated: int = 50) -> DataFrame:
     """The counts of each row, ``base_failed``, the ``rule`` that rejects it (0: none) and ``kept``."""
-    failed = (F.col("n_words") < least_words) | (100 * F.col("n_repeat_words") > most_repeated * F.col("n_words"))
-    judged = statistics(docs).withColumns({"base_failed": failed, "rule": rules.verdict()})
-    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & (F.col("rule") == 0)).alias("kept"), "rule")
+    judged = _based(docs, least_words, most_repeated).withColumn("rule", rules.verdict())
+    return judged.select(*BASE, (~F.col("base_failed") & (F.col("rule") == 0)).alias("kept"), "rule")

@@ -62,7 +62,19 @@ def op10_byte_bpe(spark, sf_dir):
     return bpe.digests(table(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def quality_base_counts(spark, sf_dir):
+    """The base of op2: counts and base verdict of every document."""
+    return quality.base(table(spark, sf_dir, "documents"))
+
+
+def secret_base_spans(spark, sf_dir):
+    """The base of op8: spans of the three base kinds of every document."""
+    return secrets.digests(table(spark, sf_dir, "documents")).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256")
+
+
 QUERIES = {
+    "quality_base_counts": quality_base_counts,
+    "secret_base_spans": secret_base_spans,
     "op1_line_dedup": op1_line_dedup,
     "op2_quality_rules": op2_quality_rules,
     "op3_toxicity": op3_toxicity,
@@ -110,4 +122,43 @@ least_id AS (SELECT a AS doc_id, min(b) AS component_id FROM reach GROUP BY a)
 SELECT doc_id, len(s)::BIGINT AS n_shingles, component_id, doc_id = component_id AS kept FROM sets JOIN least_id USING (doc_id)
 """
 
-ORACLES: dict[str, str] = {"op1_line_dedup": LINE_DEDUP_SQL, "op7_minhash": NEAR_DUPLICATE_SQL}
+QUALITY_BASE_SQL = r"""
+WITH t AS (SELECT doc_id, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+lines AS (SELECT doc_id, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM t),
+windows AS (SELECT doc_id, unnest(range(1, len(w) - 1)) AS i, unnest(list_transform(range(1, len(w) - 1), lambda i: [w[i], w[i + 1], w[i + 2]])) AS x FROM t WHERE len(w) > 3),
+again AS (SELECT doc_id, unnest([i, i + 1, i + 2]) AS place FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, x) AS k FROM windows) WHERE k > 1),
+covered AS (SELECT doc_id, count(DISTINCT place) AS n FROM again GROUP BY doc_id),
+counted AS (
+  SELECT t.doc_id, len(w)::BIGINT AS n_words, length(array_to_string(w, ''))::BIGINT AS word_chars, length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
+    (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines, coalesce(c.n, 0)::BIGINT AS n_repeat_words
+  FROM t JOIN lines USING (doc_id) LEFT JOIN covered c USING (doc_id)
+)
+SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM counted
+"""
+
+#: Matches and the pieces between them give the places: a match starts behind all pieces and matches before it.
+SECRET_BASE_SQL = r"""
+WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+cut AS (
+  SELECT doc_id, 'assign' AS kind, 0 AS rank, 6 AS least, string_split_regex(text, '(?i:(password|passwd|secret|token|api_?key))["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)') AS between, regexp_extract_all(text, '(?i:(password|passwd|secret|token|api_?key))["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)') AS hit,
+    regexp_extract_all(text, '(?i:(password|passwd|secret|token|api_?key))["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2) AS value FROM t
+  UNION ALL SELECT doc_id, 'access', 1, 20, string_split_regex(text, 'AKIA[A-Z0-9]+'), regexp_extract_all(text, 'AKIA[A-Z0-9]+'), regexp_extract_all(text, 'AKIA[A-Z0-9]+') FROM t
+  UNION ALL SELECT doc_id, 'hex', 2, 24, string_split_regex(text, '[0-9a-f]+'), regexp_extract_all(text, '[0-9a-f]+'), regexp_extract_all(text, '[0-9a-f]+') FROM t
+),
+placed AS (
+  SELECT doc_id, kind, rank, least, unnest(range(1, len(hit) + 1)) AS i, unnest(hit) AS m, unnest(value) AS v, unnest(between[:len(hit)]) AS gap FROM cut WHERE len(hit) > 0
+),
+spans AS (
+  SELECT doc_id, kind, rank, least, v, sum(length(gap)) OVER w + sum(length(m)) OVER w - length(m) AS a, length(m) AS n FROM placed WINDOW w AS (PARTITION BY doc_id, kind ORDER BY i)
+),
+held AS (SELECT doc_id, kind, rank, a::BIGINT AS a, (a + n)::BIGINT AS b FROM spans WHERE length(v) >= least),
+done AS (SELECT doc_id, count(*) FILTER (WHERE rank = 0) AS x, count(*) FILTER (WHERE rank = 1) AS y, count(*) FILTER (WHERE rank = 2) AS z, string_agg(kind || ':' || a || ':' || b, ',' ORDER BY a, rank) AS s FROM held GROUP BY doc_id)
+SELECT doc_id, coalesce(x, 0)::BIGINT AS n_assign, coalesce(y, 0)::BIGINT AS n_access, coalesce(z, 0)::BIGINT AS n_hex, sha256(coalesce(s, '')) AS base_sha256 FROM t LEFT JOIN done USING (doc_id)
+"""
+
+ORACLES: dict[str, str] = {
+    "op1_line_dedup": LINE_DEDUP_SQL,
+    "op7_minhash": NEAR_DUPLICATE_SQL,
+    "quality_base_counts": QUALITY_BASE_SQL,
+    "secret_base_spans": SECRET_BASE_SQL,
+}

@@ -106,7 +106,9 @@ def spans(text: str) -> list[tuple[int, int, str]]:
         for at in sorted(places):
             if at < over:
                 continue
-            m = shape.search(text, at, at + NEAR) if kind in FOLLOWING else shape.match(text, at)
+            # a card or account number starts within NEAR characters of its word; how far it goes is its shape's affair
+            starts = range(at, min(at + NEAR, len(text))) if kind in FOLLOWING else (at,)
+            m = next((m for m in (shape.match(text, p) for p in starts) if m), None)
             if m and m.start() >= over:
                 over = m.end()
                 if holds(m):

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import starts_of, widened, written
+from .common import aside, starts_of, widened, written
 
 WINDOW = 100
 ANCHOR = 32
@@ -419,11 +419,11 @@ def _cut(batches, names: list[str]):
 def dedup(docs: DataFrame) -> DataFrame:
     """``docs`` with repeated passages cut from ``text`` and ``removed``: the runs of bytes that went (in place of any column
     of that name). A cut inside a character leaves a replacement mark."""
-    own = docs.drop("removed")
+    own, back = aside(docs.drop("removed"), ["doc_id", "text"])
     names = own.columns
     keyed = _keyed(own)
     schema = widened(own, "removed array<struct<start:bigint,end:bigint>>")
-    return keyed.join(_ranges_of(keyed), "__key", "left").drop("__key").mapInArrow(lambda b: _cut(b, names), schema)
+    return back(keyed.join(_ranges_of(keyed), "__key", "left").drop("__key").mapInArrow(lambda b: _cut(b, names), schema), "removed")
 
 
 def longest_previous_factor(text: bytes) -> np.ndarray:

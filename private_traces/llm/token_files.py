@@ -51,7 +51,6 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
         with open(path) as f:
             spec = json.load(f)
         self.dtype = np.dtype("<u2") if self.tok.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
@@ -62,6 +61,8 @@ class Encoder:
         self.runs = re.compile(r"[^\x20\x09-\x0D]+").findall
         self.odd = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]").search
         self.lowers = any(n.get("type") == "Lowercase" for n in (spec.get("normalizer") or {}).get("normalizers", []))
+        added = [t["content"] for t in spec.get("added_tokens") or []]
+        self.added = [t.lower() if self.lowers else t for t in added]  # lowered as the texts are that may hold them
         self.words: dict[str, bytes] = {}
 
     def _raw(self, texts: list[str]) -> list[bytes]:
@@ -82,10 +83,13 @@ class Encoder:
             self.words.update(zip(part, [raw[x:y] for x, y in zip(begins, ends)]))
         self.words.update(zip(alone, self._raw(alone)))
 
-    def split(self, text: str) -> list[str]:
-        """Runs without ASCII white space; A-Z lowered where the tokenizer lowers anyway, so that fewer words differ."""
+    def split(self, text: str) -> list[str] | None:
+        """Runs without ASCII white space; A-Z lowered where the tokenizer lowers anyway, so that fewer words differ. None for a
+        text that may hold an added token of the vocabulary, which the library looks for in the text as it is."""
         if self.lowers and not text.islower():
             text = text.encode("utf-8", "surrogatepass").lower().decode("utf-8", "surrogatepass")
+        if any(t in text for t in self.added):
+            return None
         return self.runs(text) if self.odd(text) else text.split()
 
     def texts(self, texts: list[str]) -> list[bytes]:
@@ -93,10 +97,10 @@ class Encoder:
         if self.mark is None:
             return self._raw(texts)
         cut = list(map(self.split, texts))
-        need = set().union(*cut) if cut else set()
+        need = set().union(*(ws for ws in cut if ws is not None))
         self._learn(list(need - self.words.keys()))
         get = self.words.__getitem__
-        out = [b"".join(map(get, ws)) for ws in cut]
+        out = [self._raw([t])[0] if ws is None else b"".join(map(get, ws)) for t, ws in zip(texts, cut)]
         if len(self.words) > KEPT:  # the words of this slice are the likeliest to come again
             self.words = {w: self.words[w] for w in need}
         return out

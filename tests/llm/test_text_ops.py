@@ -99,7 +99,6 @@ def test_token_files_match_the_library(spark, odd, some, tmp_path):
 
     path = P.path("word_bpe_49k.json")
     tok = Tokenizer.from_file(path)
-    tok.encode_special_tokens = True
     for docs, shard in ((odd, 4), (some, 64)):
         got = token_files.round_trip(docs, path, shard_docs=shard, seq_len=16).collect()
         at = 0
