@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from private_traces.llm import bpe, decontaminate, lines, minhash, toxicity
-from private_traces.llm.common import table, written
+from private_traces.llm.common import aside, table, written
 
 ORACLE_SQL = None
 WORDS = 5
@@ -27,14 +27,17 @@ SIMILARITY = 80
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents scored under 0.3; a null or empty text has the score of a text without any known term."""
     model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
-    return toxicity.score(docs, model).where(F.col("score") < toxicity.CUT).select(*docs.columns)
+    moved, back = aside(docs, ["doc_id", "text"])
+    return back(toxicity.score(moved, model).where(F.col("score") < toxicity.CUT))
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents with their remaining lines and length; one that had lines and lost them all goes."""
-    done = lines.dedup(docs).where((F.col("n_lines") == 0) | (F.col("n_removed") < F.col("n_lines")))
+    """The documents with their remaining lines and length; one that had lines and lost them all goes, one without any (null
+    or blank) stays as it is."""
+    moved, back = aside(docs, ["doc_id", "text", "n_chars"])
+    done = lines.dedup(moved).where((F.col("n_lines") == 0) | (F.col("n_removed") < F.col("n_lines")))
     chars = F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
-    return done.withColumn("n_chars", chars).select(*docs.columns)
+    return back(done.withColumn("n_chars", chars))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,7 +48,8 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents without a benchmark item; null and empty texts hold none."""
-    return decontaminate.find(docs, table(spark, sf_dir, "benchmark")).where(F.size("leaks") == 0).select(*docs.columns)
+    moved, back = aside(docs, ["doc_id", "text"])
+    return back(decontaminate.find(moved, table(spark, sf_dir, "benchmark")).where(F.size("leaks") == 0))
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
