@@ -15,8 +15,8 @@ in themselves, and branch again. Then two rounds on full sets settle what the sk
 1. Every set is confirmed against the two sets that look nearest to it over all its nodes. That joins nearly all of a group of
    near copies, by two rows a set.
 2. What still looks near and is not in one class is compared in full. Pairs of thin nodes are confirmed one by one. Sets of
-   dense nodes are dealt to blocks of about ``BLOCK`` sets of one home, which is their class, or the largest class beside them
-   where they are alone; a set is sent once to each block of a home with a set it looks near to, compared there with the whole block on hashed
+   dense nodes are dealt to blocks of about ``BLOCK`` sets of one home, which is the largest class found beside them in a node; a set is
+   sent once to each block of a home with a set it looks near to, compared there with the whole block on hashed
    sets, and only links that join two classes leave the block. So the rows grow with sets times blocks and not with pairs.
 
 At ``DEEPEST`` large nodes branch no more: every set outside the node's largest class goes to every block of the node. Every
@@ -366,8 +366,10 @@ def _requests(batches, threshold: float):
         order = np.lexsort((to, asker))
         asker, to = asker[order], to[order]
         lead = starts_of(asker, to)
-        if len(lead):
-            yield pa.RecordBatch.from_arrays([pa.array(asker[lead]), pa.array(to[lead])], ["id", "home"])
+        asker, to = asker[lead], to[lead]
+        first = starts_of(asker)
+        if len(first):  # a row for each set, with its homes
+            yield pa.RecordBatch.from_arrays([pa.array(asker[first]), pa.ListArray.from_arrays(pa.array(np.r_[first, len(to)], pa.int32()), pa.array(to))], ["id", "homes"])
 
 
 def _hashed(batches, width: int):
@@ -496,16 +498,16 @@ def _candidates(firsts: DataFrame, trees: int, threshold: float, limit: int, dee
 
 def _settled(found: DataFrame, labels: DataFrame, texts: Texts, width: int, percent: int) -> DataFrame:
     """Links between the classes of ``labels`` that dense and last nodes suggest, found on whole hashed sets. The home of a set
-    is its class or, where it is alone, the largest class beside it in one of its nodes, or else a node."""
+    is the largest class in one of its nodes, its own or another, or else a node: what lies close together shares few homes."""
     rows = found.where(F.col("kind").isin(OPEN, WHOLE))
     placed = written(rows.select("path", "id").join(few(labels), "id", "left"), "placed")
     crowd = placed.where("class is not null").groupBy("path", "class").count().groupBy("path").agg(F.max(F.struct("count", "class")).alias("top"))
-    lone = placed.where("class is null").join(crowd, "path", "left").groupBy("id").agg(F.max("top")["class"].alias("beside"), F.min("path").alias("path"))
-    lone = lone.select("id", F.col("id").alias("class"), F.coalesce("beside", "path").alias("home"))
-    homes = written(placed.where("class is not null").select("id", "class", F.col("class").alias("home")).distinct().union(lone), "homes")
+    beside = placed.join(crowd, "path", "left").groupBy("id").agg(F.first("class").alias("class"), F.max("top")["class"].alias("beside"), F.min("path").alias("path"))
+    homes = written(beside.select("id", F.coalesce("class", "id").alias("class"), F.coalesce("beside", "path").alias("home")), "homes")
     where = few(homes)
     known = rows.where(F.col("kind") == OPEN).select("path", "id", "n", "sketch").join(where, "id")
-    asked = known.repartition("path").sortWithinPartitions("path", "id").mapInArrow(lambda b: _requests(b, percent / 100), "id long, home long")
+    asked = known.repartition("path").sortWithinPartitions("path", "id").mapInArrow(lambda b: _requests(b, percent / 100), "id long, homes array<long>")
+    asked = asked.groupBy("id").agg(F.array_distinct(F.flatten(F.collect_list("homes"))).alias("homes")).select("id", F.explode("homes").alias("home"))
     whole = written(rows.where(F.col("kind") == WHOLE).select("path", "id").join(where, "id"), "whole")
     if whole.limit(1).count():
         top = whole.groupBy("path", "class").count().groupBy("path").agg(F.max_by("class", F.struct("count", "class")).alias("top"))
