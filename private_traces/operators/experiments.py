@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from private_traces.config import Bounds, SplitWeights, SynthesisConfig, equal_split, prior_split
 from private_traces.sources.views import BOUNDS, VIEWS
 
-from . import generator, metrics, statistics, tuning
+from . import generator, lattice_model, metrics, statistics, tuning
 from .synopsis import destination_given_start, extract_synopsis
 
 FOUR = ("query_error", "pattern_support_error", "trip_error", "travel_distance_error")
@@ -39,27 +40,50 @@ def method_run(spark: SparkSession, sf_dir: str, view: str, weights: SplitWeight
     return spark.createDataFrame([(m, cfg.epsilon, view, method, str(weights.as_tuple()), s, v) for m, s, v in found], GRID)
 
 
-def comparison_grid(spark: SparkSession, datasets: list[tuple[str, str]], epsilons=(0.5, 1.0, 2.0), names=FOUR, explore: int = 100, guided: int = 100, trials: int = 5, n_tune: int = 100_000, base: SynthesisConfig = SynthesisConfig()) -> DataFrame:
-    """Every metric, epsilon, dataset (view, folder) and method: equal split, fixed split, tuned for that metric, random search with
-    the same number of evaluations, and equal split with the best of as many redraws. Tuned results are fresh runs."""
-    rows = []
+def _sides(spark: SparkSession, datasets: list[tuple[str, str]], base: SynthesisConfig) -> dict[str, lattice_model.Tables]:
+    """The real side of each (view, folder) in arrays."""
+    out = {}
     for view, sf_dir in datasets:
-        bounds, traces = BOUNDS[view], VIEWS[view](spark, sf_dir)
-        real = metrics.RealSide(traces, bounds)
-        stats = statistics.leaf_statistics(real.traces, bounds, base.top_n, base.max_len).persist()
-        seeds = [base.seed + 7_000_000 + t for t in range(trials)]
-        for e in epsilons:
-            cfg = base.but(epsilon=e)
-            for method, w in (("equal split", equal_split()), ("fixed 10/40/40/10 split", prior_split())):
-                rows += [(m, e, view, method, str(w.as_tuple()), s, v) for m, s, v in runs(real, stats, bounds, cfg, w, seeds, names)]
-            for m in names:
-                run = tuning.objective_of(real, stats, bounds, cfg, m, n_tune)
-                for method, only in (("tuned", False), ("random search", True)):
-                    w, _ = tuning.minimise(run, explore, guided, base.seed, random_only=only)
-                    found = runs(real, stats, bounds, cfg, SplitWeights.of(w), seeds, (m,))
-                    rows += [(m, e, view, method, str(tuple(round(float(x), 4) for x in w)), s, v) for _, s, v in found]
-                redraws = runs(real, stats, bounds, cfg, equal_split(), [base.seed + 31 * t for t in range(explore + guided)], (m,), min(n_tune, real.total))
-                rows.append((m, e, view, "equal split, best redraw", str(equal_split().as_tuple()), -1, min(v for _, _, v in redraws)))
+        real = metrics.RealSide(VIEWS[view](spark, sf_dir), BOUNDS[view])
+        stats = statistics.leaf_statistics(real.traces, BOUNDS[view], base.top_n, base.max_len).persist()
+        out[view] = lattice_model.tables(real, stats)
+        stats.unpersist()
+        real.release()
+    return out
+
+
+def searches(bench: lattice_model.Bench, asked: list[tuple[str, SynthesisConfig, int]], names, explore: int, guided: int, seed: int) -> dict[tuple, tuple]:
+    """(view, epsilon, metric) -> (weights, history) for each (view, settings, traces): one job for all random phases, which the metrics
+    share, and one for all guided ones."""
+    points = tuning.explored(explore, seed)
+    found = bench.run([(v, cfg, w, seed, n) for v, cfg, n in asked for w in points], names)
+    each = [(v, cfg.but(metric=m), n, [r[m] for r in found[i * explore : (i + 1) * explore]]) for i, (v, cfg, n) in enumerate(asked) for m in names]
+    done = bench.guide([(v, cfg, points, known, guided, seed, n) for v, cfg, n, known in each])
+    return {(v, cfg.epsilon, cfg.metric): got for (v, cfg, _, _), got in zip(each, done)}
+
+
+def comparison_grid(spark: SparkSession, datasets: list[tuple[str, str]], epsilons=(0.5, 1.0, 2.0), names=FOUR, explore: int = 100, guided: int = 100, trials: int = 5, n_tune: int = 100_000, base: SynthesisConfig | None = None) -> DataFrame:
+    """Every metric, epsilon, dataset (view, folder) and method: equal split, fixed split, tuned for that metric, random search with
+    the same number of evaluations, and equal split with the best of as many redraws. All but the last are fresh runs with the
+    chosen weights; the last is the least of its own draws."""
+    base = base or SynthesisConfig()
+    sides = _sides(spark, datasets, base)
+    bench = lattice_model.Bench(spark, sides)
+    asked = [(v, base.but(epsilon=e), min(n_tune, max(1, sides[v].total))) for v, _ in datasets for e in epsilons]
+    tuned = searches(bench, asked, names, explore, guided, base.seed)
+    every = tuning.explored(explore + guided, base.seed + 1)
+    drawn = bench.run([(v, cfg, w, base.seed, n) for v, cfg, n in asked for w in every], names)
+    again = bench.run([(v, cfg, every[0], base.seed + 31 * (t + 1), n) for v, cfg, n in asked for t in range(explore + guided)], names)
+    rows, fresh = [], []
+    for i, (v, cfg, n) in enumerate(asked):
+        own = slice(i * len(every), (i + 1) * len(every))
+        for m in names:
+            picked = {"equal split": np.array(equal_split().as_tuple()), "fixed 10/40/40/10 split": np.array(prior_split().as_tuple()), "tuned": tuned[v, cfg.epsilon, m][0]}
+            picked["random search"] = every[int(np.argmin([r[m] for r in drawn[own]]))]
+            fresh += [(method, (v, cfg.but(metric=m), w, base.seed + 7_000_000 + t, None), t) for method, w in picked.items() for t in range(trials)]
+            rows.append((m, cfg.epsilon, v, "equal split, best redraw", str(equal_split().as_tuple()), -1, float(min(r[m] for r in again[own]))))
+    for (method, (v, cfg, w, _, _), t), got in zip(fresh, bench.run([x for _, x, _ in fresh], names)):
+        rows.append((cfg.metric, cfg.epsilon, v, method, str(tuple(round(float(x), 4) for x in w)), t, float(got[cfg.metric])))
     return spark.createDataFrame(rows, GRID)
 
 
@@ -72,17 +96,13 @@ def pivoted(grid: DataFrame) -> DataFrame:
     return summary(grid).groupBy("metric", "epsilon").pivot("dataset").agg(F.concat_ws(" / ", F.sort_array(F.collect_list(F.concat_ws(" ", "method", F.format_number("mean", 3))))))
 
 
-def weight_study(spark: SparkSession, combos: list[tuple[str, str, float]], names=FOUR, explore: int = 100, guided: int = 100, n_tune: int = 100_000, base: SynthesisConfig = SynthesisConfig()) -> DataFrame:
+def weight_study(spark: SparkSession, combos: list[tuple[str, str, float]], names=FOUR, explore: int = 100, guided: int = 100, n_tune: int = 100_000, base: SynthesisConfig | None = None) -> DataFrame:
     """The winning weights of each (view, folder, epsilon) and metric."""
-    rows = []
-    for view, sf_dir, e in combos:
-        bounds, traces = BOUNDS[view], VIEWS[view](spark, sf_dir)
-        real = metrics.RealSide(traces, bounds)
-        stats = statistics.leaf_statistics(real.traces, bounds, base.top_n, base.max_len).persist()
-        for m in names:
-            w, _ = tuning.minimise(tuning.objective_of(real, stats, bounds, base.but(epsilon=e), m, n_tune), explore, guided, base.seed)
-            rows.append((view, e, m, *map(float, w)))
-    return spark.createDataFrame(rows, "dataset string, epsilon double, metric string, w1 double, w2 double, w3 double, w4 double")
+    base = base or SynthesisConfig()
+    sides = _sides(spark, sorted({(v, d) for v, d, _ in combos}), base)
+    asked = [(v, base.but(epsilon=e), min(n_tune, max(1, sides[v].total))) for v, _, e in combos]
+    found = searches(lattice_model.Bench(spark, sides), asked, names, explore, guided, base.seed)
+    return spark.createDataFrame([(*key, *map(float, w)) for key, (w, _) in found.items()], "dataset string, epsilon double, metric string, w1 double, w2 double, w3 double, w4 double")
 
 
 def weight_distances(weights: DataFrame) -> DataFrame:
@@ -92,11 +112,12 @@ def weight_distances(weights: DataFrame) -> DataFrame:
     return a.join(b, key("a") < key("b")).select(key("a").alias("left"), key("b").alias("right"), sum(F.abs(F.col(f"a.w{i}") - F.col(f"b.w{i}")) for i in range(1, 5)).alias("distance"))
 
 
-def convergence_study(spark: SparkSession, sf_dir: str, view: str = "subset_trips", explore: int = 100, guided: int = 100, n_tune: int = 100_000, cfg: SynthesisConfig = SynthesisConfig(metric="travel_distance_error")) -> DataFrame:
-    """One tuning run's history: weights and error per evaluation."""
-    bounds = BOUNDS[view]
-    found = tuning.tune(VIEWS[view](spark, sf_dir), bounds, cfg.but(explore=explore, guided=guided), n_tune)
-    return found.frame(spark)
+def convergence_study(spark: SparkSession, sf_dir: str, view: str = "subset_trips", explore: int = 100, guided: int = 100, n_tune: int = 100_000, cfg: SynthesisConfig | None = None) -> DataFrame:
+    """One tuning run's history, by default for the travel distance error: weights and error per evaluation."""
+    cfg = cfg or SynthesisConfig(metric="travel_distance_error")
+    sides = _sides(spark, [(view, sf_dir)], cfg)
+    found = searches(lattice_model.Bench(spark, sides), [(view, cfg, min(n_tune, max(1, sides[view].total)))], (cfg.metric,), explore, guided, cfg.seed)
+    return spark.createDataFrame(next(iter(found.values()))[1], tuning.HISTORY)
 
 
 def granularity_study(spark: SparkSession, sf_dir: str, view: str = "drift_trips", grids=(None, 3, 6, 12, 50), cfg: SynthesisConfig = SynthesisConfig(), names=("trip_error",)) -> DataFrame:

@@ -18,7 +18,8 @@ from pyspark.sql import functions as F
 
 from private_traces.config import Bounds, SplitWeights, SynthesisConfig, equal_split, fresh_seed, prior_split
 
-from . import generator, metrics, statistics
+from . import generator, lattice_model, metrics, statistics
+from .grid import uniform_grid
 from .ledger import Ledger
 from .synopsis import extract_synopsis, ledger_of
 
@@ -120,9 +121,10 @@ class TuningResult:
         return spark.createDataFrame(self.history, HISTORY)
 
 
-def minimise(objective: Callable[[np.ndarray, int], float], explore: int = 100, guided: int = 100, seed: int = 42, *, trials: int = 1, kind: str = "ei", space: str = "dirichlet", start: list[SplitWeights] | None = None, select: str = "posterior", patience: int | None = None, batch: int = 1, record: Callable[[tuple], None] | None = None, random_only: bool = False) -> tuple[np.ndarray, list[tuple]]:
+def minimise(objective: Callable[[np.ndarray, int], float], explore: int = 100, guided: int = 100, seed: int = 42, *, trials: int = 1, kind: str = "ei", space: str = "dirichlet", start: list[SplitWeights] | None = None, select: str = "posterior", patience: int | None = None, batch: int = 1, record: Callable[[tuple], None] | None = None, random_only: bool = False, known: tuple[np.ndarray, list[float]] | None = None) -> tuple[np.ndarray, list[tuple]]:
     """The search itself over any objective(weights, trial seed). ``batch`` > 1 proposes several points per round, each assumed to
-    come out at the predicted mean; ``random_only`` is the ablation without a model."""
+    come out at the predicted mean; ``random_only`` is the ablation without a model; ``known``: explored points and their errors,
+    evaluated before in one go."""
     given = [np.array(w.as_tuple()) for w in (start if start is not None else [equal_split(), prior_split()])][: max(1, explore)]
     first = np.concatenate([np.array(given), sample_weights(max(0, explore - len(given)), seed, space)]) if given else sample_weights(explore, seed, space)
     tried: list[np.ndarray] = []
@@ -139,23 +141,29 @@ def minimise(objective: Callable[[np.ndarray, int], float], explore: int = 100,
         if record:
             record(row)
 
-    for w in first:
+    for w in first if known is None else ():
         evaluate(w, "explore")
+    for w, err in zip(*known) if known is not None else ():
+        tried.append(w)
+        errors.append(err)
+        history.append((len(tried) - 1, "explore", *map(float, w), trials, err, min(errors), 0.0))
+        if record:
+            record(history[-1])
     stale, step = 0, 0
     while step < guided:
         if random_only:
             evaluate(sample_weights(1, seed + 77 + step, space)[0], "random")
             step += 1
             continue
-        known, values = list(tried), list(errors)
+        points, values = list(tried), list(errors)
         gain = 0.0
         for _ in range(min(batch, guided - step)):
-            model = Surrogate().fit(np.array(known), np.array(values))
-            w, gain = next_point(model, np.array(known), seed + 31 * (step + 1), kind, space=space)
-            known.append(w)
+            model = Surrogate().fit(np.array(points), np.array(values))
+            w, gain = next_point(model, np.array(points), seed + 31 * (step + 1), kind, space=space)
+            points.append(w)
             values.append(float(model.predict(w[None])[0][0]))
         before = min(errors)
-        for w in known[len(tried) :]:
+        for w in points[len(tried) :]:
             evaluate(w, "guided")
             step += 1
         stale = 0 if min(errors) < before else stale + 1
@@ -186,6 +194,18 @@ def objective_of(real: metrics.RealSide, stats: statistics.LeafStatistics, bound
     return run
 
 
+def explored(explore: int, seed: int, space: str = "dirichlet") -> np.ndarray:
+    """The points of the random phase: both fixed splits first."""
+    given = np.array([w.as_tuple() for w in (equal_split(), prior_split())][: max(1, explore)])
+    return np.concatenate([given, sample_weights(max(0, explore - len(given)), seed, space)])
+
+
+def in_arrays(cfg: SynthesisConfig) -> bool:
+    """Whether runs with these settings can be evaluated in arrays."""
+    plain = not cfg.collapse_repeats and (cfg.params_from, cfg.fit_on, cfg.noise_on, cfg.mechanism, cfg.walk, cfg.allocation, cfg.trips_per_trace) == ("histogram", "noisy", "count", "laplace", "bridge", "random", 1)
+    return plain and cfg.metric in lattice_model.FOUR and cfg.split_rule in ("target", "thresholds", "noise_guided") and (cfg.uniform_grid is None or uniform_grid(Bounds(0, 1, 0, 1), cfg.uniform_grid, cfg.top_n).top_n == cfg.top_n)
+
+
 ACCOUNTINGS = ("paper", "public_proxy", "private_selection", "charged")
 
 
@@ -233,8 +253,12 @@ def tune(traces: DataFrame, bounds: Bounds, cfg: SynthesisConfig, n_tune: int =
         raise ValueError(f"{cfg.metric} has no bound: give a sensitivity, to which its values are clipped")
     real = metrics.RealSide(proxy if accounting == "public_proxy" else traces, bounds)
     stats = statistics.leaf_statistics(real.traces, bounds, cfg.top_n, cfg.max_len, cfg.collapse_repeats).persist()
-    plain = objective_of(real, stats, bounds, cfg, cfg.metric, n_tune)
-    final_seed = fresh_seed()
+    final_seed, bench = fresh_seed(), None
+    if in_arrays(cfg) and accounting != "private_selection":  # there the release must be the very synopsis that was scored
+        bench, n = lattice_model.Bench(traces.sparkSession, {"": lattice_model.tables(real, stats)}), min(n_tune, max(1, real.total))
+        plain = lambda w, s: bench.run([("", cfg, w, s, n)], (cfg.metric,))[0][cfg.metric]
+    else:
+        plain = objective_of(real, stats, bounds, cfg, cfg.metric, n_tune)
     if accounting == "private_selection":
         score, space = noised(plain, look_epsilon, most), search.get("space", "dirichlet")
         rounds = int(np.random.default_rng(fresh_seed()).geometric(1 / max(1, cfg.explore)))
@@ -247,6 +271,9 @@ def tune(traces: DataFrame, bounds: Bounds, cfg: SynthesisConfig, n_tune: int =
             history.append((i, "selection", *map(float, v), 1, err, best_seen, time.time() - began))
     else:
         run = noised(plain, look_epsilon, most) if accounting == "charged" else plain
+        if bench is not None and accounting != "charged" and cfg.trials == 1 and not {"start", "space"} & set(search):  # the random phase in one job
+            points = explored(cfg.explore, cfg.seed)
+            search["known"] = points, [r[cfg.metric] for r in bench.run([("", cfg, w, cfg.seed, n) for w in points], (cfg.metric,))]
         w, history = minimise(run, cfg.explore, cfg.guided, cfg.seed, trials=cfg.trials, **search)
     best = SplitWeights.of(w)
     looks = len(history) * (1 if accounting == "private_selection" else cfg.trials)

@@ -10,13 +10,14 @@ from pyspark.sql import functions as F
 
 from private_traces.config import SynthesisConfig, equal_split, prior_split
 from private_traces.functions import lattice, noise
-from private_traces.operators import bulk, experiments, generator, grid, ledger, metrics, relational, report, statistics, synopsis, tuning
+from private_traces.operators import bulk, experiments, generator, grid, lattice_model, ledger, metrics, relational, report, statistics, synopsis, tuning
 from private_traces.sources import views
 from private_traces.streaming import sessions
 
 from . import oracle_sql as sql
 
 CFG = SynthesisConfig(seed=42)  # fixed for the oracles
+DISTANCE = CFG.but(metric="travel_distance_error")
 DRIFT = views.BOUNDS["drift_trips"]
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -161,7 +162,14 @@ def mobility_noisy(spark, sf_dir):
     return synopsis.mobility_model(stats.roll_up(g.cell_of)[0], g, 0.25, CFG.seed, "clip").select("src", "dst", *r6("prob"))
 
 
-@query()
+@query(sql.mobility_shifted("weight + draw") + "SELECT src, dst, round(prob, 6) AS prob FROM mobility")
+def mobility_shifted(spark, sf_dir):
+    """The mobility model with the default clean-up."""
+    stats, g = _noisy_grid(spark, sf_dir)
+    return synopsis.mobility_model(stats.roll_up(g.cell_of)[0], g, 0.25, CFG.seed).select("src", "dst", *r6("prob"))
+
+
+@query(sql.mobility_shifted("coalesce((weight + draw) / nullif(sum(weight) OVER (PARTITION BY src), 0), 0)") + "SELECT src, dst, round(prob, 6) AS prob FROM mobility")
 def mobility_on_probabilities(spark, sf_dir):
     stats, g = _noisy_grid(spark, sf_dir)
     return synopsis.mobility_model(stats.roll_up(g.cell_of)[0], g, 0.25, CFG.seed, noise_on="probability").select("src", "dst", *r6("prob"))
@@ -183,7 +191,7 @@ def trip_distribution_noisy(spark, sf_dir):
     return synopsis.trip_distribution(stats.roll_up(g.cell_of)[1], g, 0.25, CFG.seed).select("start_cell", "end_cell", *r6("mass", "prob"))
 
 
-@query()
+@query(sql.TRIPS_SEPARATE + "SELECT start_cell, end_cell, round(mass, 6) AS mass, round(prob, 6) AS prob FROM noisy_trips")
 def trip_distribution_separate_total(spark, sf_dir):
     stats, g = _noisy_grid(spark, sf_dir)
     return synopsis.trip_distribution(stats.roll_up(g.cell_of)[1], g, 0.25, CFG.seed, total="separate").select("start_cell", "end_cell", *r6("mass", "prob"))
@@ -210,17 +218,17 @@ def length_best_fit(spark, sf_dir):
     return synopsis.best_fit(_laws(spark, sf_dir)).select("start_cell", "end_cell", "family", *r6("p1"))
 
 
-@query()
+@query(sql.LAWS + sql.BEST_KS)
 def length_best_fit_ks(spark, sf_dir):
     return synopsis.best_fit(_laws(spark, sf_dir), "ks").select("start_cell", "end_cell", "family", *r6("p1"))
 
 
-@query()
+@query(sql.LAWS + sql.BEST_LOGLIK)
 def length_best_fit_loglik(spark, sf_dir):
     return synopsis.best_fit(_laws(spark, sf_dir), "loglik").select("start_cell", "end_cell", "family", *r6("p1"))
 
 
-@query()
+@query(sql.MOMENTS)
 def length_moments(spark, sf_dir):
     hist = statistics.length_histogram(_grid6(spark, sf_dir), 32)
     return synopsis.moment_parameters(hist, hist.select("start_cell", "end_cell").distinct(), 0.25, 32, CFG.seed).select("start_cell", "end_cell", *r6("mean"))
@@ -269,13 +277,13 @@ def draw_trips(spark, sf_dir):
     return generator.draw_trips(trips, 2000, CFG.seed)
 
 
-@query()
+@query(sql.QUOTA)
 def draw_trips_quota(spark, sf_dir):
     syn = _synopsis(spark, sf_dir)
     return generator.draw_trips(syn.trips, syn.noisy_total, CFG.seed, "quota")
 
 
-@query()
+@query(sql.RELEASE_DRAWS)
 def draw_trips_release(spark, sf_dir):
     """As many draws as a release has; ``draw_trips`` makes the 2,000 that its SQL makes."""
     syn = _synopsis(spark, sf_dir)
@@ -341,7 +349,7 @@ def query_counts_range_join(spark, sf_dir):
     return metrics.query_counts_long(views.drift_trips(spark, sf_dir), metrics.random_regions(spark, DRIFT), DRIFT)
 
 
-@query()
+@query(sql.SEGMENTS)
 def query_counts_segment(spark, sf_dir):
     return metrics.query_counts(views.drift_trips(spark, sf_dir), metrics.random_regions(spark, DRIFT), "segment")
 
@@ -378,7 +386,7 @@ def pattern_topk_traces(spark, sf_dir):
     return metrics.top_patterns(_grid6(spark, sf_dir), count="traces")
 
 
-@query()
+@query(sql.GAPPED)
 def pattern_gapped(spark, sf_dir):
     paths = _grid6(spark, sf_dir)
     return metrics.gapped_supports(paths, metrics.top_patterns(paths))
@@ -606,39 +614,49 @@ def granularity_study(spark, sf_dir):
 @query()
 def tune_small(spark, sf_dir):
     """A reduced run (4 random, 3 guided evaluations) of the tuned method on the small view."""
-    return experiments.convergence_study(spark, sf_dir, explore=4, guided=3, n_tune=2000).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
+    return experiments.convergence_study(spark, sf_dir, explore=4, guided=3, n_tune=2000, cfg=DISTANCE).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
 
 
 @query()
 def tuned_history(spark, sf_dir):
     """The tuned method as proposed: 100 random and 100 guided evaluations on the whole drift view."""
-    return experiments.convergence_study(spark, sf_dir, "drift_trips").select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
+    return experiments.convergence_study(spark, sf_dir, "drift_trips", cfg=DISTANCE).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
 
 
 @query()
 def convergence_run(spark, sf_dir):
     """The same 100 and 100 evaluations on the small view."""
-    return experiments.convergence_study(spark, sf_dir).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
+    return experiments.convergence_study(spark, sf_dir, cfg=DISTANCE).select("eval_id", "phase", *r6("w1", "w2", "w3", "w4", "err", "best_so_far"))
 
 
 @query()
 def tuned_release(spark, sf_dir):
     """What the tuned method is for: the full-size synthetic table made with the winning weights."""
-    made, _ = tuning.tune(views.drift_trips(spark, sf_dir), DRIFT, CFG).finalise()
+    made, _ = tuning.tune(views.drift_trips(spark, sf_dir), DRIFT, CFG).finalise()  # noise of its own: the rows differ each time
     return views.points(made).select("trace_id", "seq", *r6("x", "y"))
 
 
 @query()
 def comparison_table(spark, sf_dir):
     """Four errors, three epsilons, the whole and the small drift view, five methods; tuned ones with 100 and 100 evaluations."""
-    return experiments.comparison_grid(spark, [("drift_trips", sf_dir), ("subset_trips", sf_dir)]).select("metric", "epsilon", "dataset", "method", "weights", "trial", *r6("value"))
+    return experiments.comparison_grid(spark, [("drift_trips", sf_dir), ("subset_trips", sf_dir)], base=CFG).select("metric", "epsilon", "dataset", "method", "weights", "trial", *r6("value"))
 
 
 @query()
 def weight_table(spark, sf_dir):
     """Winning weights of four errors where epsilon changes on one view, and where the view changes at one epsilon."""
     combos = [("drift_trips", sf_dir, 0.5), ("drift_trips", sf_dir, 1.0), ("subset_trips", sf_dir, 1.0)]
-    return experiments.weight_study(spark, combos).select("dataset", "epsilon", "metric", *r6("w1", "w2", "w3", "w4"))
+    return experiments.weight_study(spark, combos, base=CFG).select("dataset", "epsilon", "metric", *r6("w1", "w2", "w3", "w4"))
+
+
+@query()
+def bulk_metrics(spark, sf_dir):
+    """A hundred random splits on adaptive grids, each with its own full-size synthetic set and all four errors, in one job."""
+    real = metrics.RealSide(views.drift_trips(spark, sf_dir), DRIFT)
+    stats = statistics.leaf_statistics(real.traces, DRIFT, CFG.top_n, CFG.max_len)
+    found = lattice_model.evaluate_all(real, stats, CFG, tuning.explored(100, CFG.seed), None, CFG.seed)
+    real.release()
+    return found.select("eval_id", "metric", *r6("w1", "w2", "w3", "w4", "value"))
 
 
 @query(sql.BULK)

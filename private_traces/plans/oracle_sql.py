@@ -73,12 +73,24 @@ moves AS (SELECT trace_id, n, src, dst FROM (SELECT trace_id, n, cell AS src, le
 trips6 AS (SELECT trace_id, arg_min(cell, seq) AS start_cell, arg_max(cell, seq) AS end_cell, count(*) AS n FROM cells6 GROUP BY 1) """
 
 _BOX = "SELECT first_cell + s AS cell, (top // 6 + (s // m) / m) / 6.0 AS x0, (top // 6 + (s // m + 1) / m) / 6.0 AS x1, (top % 6 + (s % m) / m) / 6.0 AS y0, (top % 6 + (s % m + 1) / m) / 6.0 AS y1 FROM spec, unnest(range(0, m * m)) AS t(s)"
-MOBILITY = ADAPTIVE + f""", p AS (SELECT *, lead(cell) OVER (PARTITION BY trace_id ORDER BY seq) AS nxt FROM adaptive),
+_MOVES = ADAPTIVE + f""", p AS (SELECT *, lead(cell) OVER (PARTITION BY trace_id ORDER BY seq) AS nxt FROM adaptive),
 moved AS (SELECT cell AS src, nxt AS dst, sum(1.0 / (n - 1)) AS weight FROM p WHERE nxt IS NOT NULL GROUP BY 1, 2),
 box AS ({_BOX}), pairs AS (SELECT a.cell AS src, b.cell AS dst, a.cell = b.cell OR (least(a.x1, b.x1) - greatest(a.x0, b.x0) > 1e-9 AND abs(least(a.y1, b.y1) - greatest(a.y0, b.y0)) <= 1e-9)
-  OR (least(a.y1, b.y1) - greatest(a.y0, b.y0) > 1e-9 AND abs(least(a.x1, b.x1) - greatest(a.x0, b.x0)) <= 1e-9) AS near FROM box a, box b),
-w AS (SELECT pairs.src, pairs.dst, near, greatest(0, coalesce(weight, 0) + {laplace(4.0, 'move', 'pairs.src', 'pairs.dst')}) AS w FROM pairs LEFT JOIN moved ON moved.src = pairs.src AND moved.dst = pairs.dst),
-mobility AS (SELECT src::INTEGER AS src, dst::INTEGER AS dst, CASE WHEN sum(w) OVER r > 0 THEN w / sum(w) OVER r ELSE near::INTEGER / sum(near::INTEGER) OVER r END AS prob FROM w WINDOW r AS (PARTITION BY src)) """
+  OR (least(a.y1, b.y1) - greatest(a.y0, b.y0) > 1e-9 AND abs(least(a.x1, b.x1) - greatest(a.x0, b.x0)) <= 1e-9) AS near FROM box a, box b), """
+_ROWS = """mobility AS (SELECT src::INTEGER AS src, dst::INTEGER AS dst, CASE WHEN sum(w) OVER r > 0 THEN w / sum(w) OVER r ELSE near::INTEGER / sum(near::INTEGER) OVER r END AS prob FROM w WINDOW r AS (PARTITION BY src)) """
+MOBILITY = _MOVES + f"""w AS (SELECT pairs.src, pairs.dst, near, greatest(0, coalesce(weight, 0) + {laplace(4.0, 'move', 'pairs.src', 'pairs.dst')}) AS w FROM pairs LEFT JOIN moved ON moved.src = pairs.src AND moved.dst = pairs.dst),
+""" + _ROWS
+
+
+def mobility_shifted(weight: str) -> str:
+    """Rows of noisy masses lowered by one constant each, so that their sum stays."""
+    return _MOVES + f"""given AS (SELECT pairs.src, pairs.dst, near, coalesce(weight, 0) AS weight, {laplace(4.0, 'move', 'pairs.src', 'pairs.dst')} AS draw FROM pairs LEFT JOIN moved ON moved.src = pairs.src AND moved.dst = pairs.dst),
+raw AS (SELECT src, dst, near, {weight} AS m FROM given),
+ranked AS (SELECT src, m, row_number() OVER (PARTITION BY src ORDER BY m DESC) AS i, sum(m) OVER (PARTITION BY src ORDER BY m DESC ROWS UNBOUNDED PRECEDING) AS up, sum(m) OVER (PARTITION BY src) AS total FROM raw),
+lev AS (SELECT src, arg_max((up - total) / i, i) AS level FROM ranked WHERE total > 0 AND m > (up - total) / i GROUP BY 1),
+w AS (SELECT raw.src, dst, near, CASE WHEN level IS NULL THEN 0 ELSE greatest(0, m - level) END AS w FROM raw LEFT JOIN lev ON lev.src = raw.src),
+""" + _ROWS
+
 
 TRIPS = ADAPTIVE + f""", k AS (SELECT sum(m * m)::INTEGER AS k FROM spec), ends AS (SELECT trace_id, arg_min(cell, seq) AS s, arg_max(cell, seq) AS e FROM adaptive GROUP BY 1),
 cnt AS (SELECT s, e, count(*)::DOUBLE AS c FROM ends GROUP BY 1, 2), dom AS (SELECT a.range::INTEGER AS s, b.range::INTEGER AS e FROM range(0, (SELECT k FROM k)) a, range(0, (SELECT k FROM k)) b),
@@ -88,6 +100,14 @@ lev AS (SELECT arg_max((up - total) / i, i) AS level FROM ranked WHERE m > (up -
 clean AS (SELECT s AS start_cell, e AS end_cell, greatest(0, m - (SELECT level FROM lev)) AS mass FROM raw),
 noisy_trips AS (SELECT start_cell, end_cell, mass, mass / (SELECT sum(mass) FROM clean) AS prob FROM clean) """
 
+TRIPS_SEPARATE = ADAPTIVE + f""", k AS (SELECT sum(m * m)::INTEGER AS k FROM spec), ends AS (SELECT trace_id, arg_min(cell, seq) AS s, arg_max(cell, seq) AS e FROM adaptive GROUP BY 1),
+cnt AS (SELECT s, e, count(*)::DOUBLE AS c FROM ends GROUP BY 1, 2), dom AS (SELECT a.range::INTEGER AS s, b.range::INTEGER AS e FROM range(0, (SELECT k FROM k)) a, range(0, (SELECT k FROM k)) b),
+raw AS (SELECT dom.s, dom.e, coalesce(c, 0) + {laplace(8.0, 'trip', 'dom.s', 'dom.e')} AS m FROM dom LEFT JOIN cnt ON cnt.s = dom.s AND cnt.e = dom.e),
+ranked AS (SELECT m, row_number() OVER (ORDER BY m DESC) AS i, sum(m) OVER (ORDER BY m DESC ROWS UNBOUNDED PRECEDING) AS up, (SELECT count(*) FROM ends) + {laplace(8.0, 'total', '0')} AS total FROM raw),
+lev AS (SELECT arg_max((up - total) / i, i) AS level FROM ranked WHERE m > (up - total) / i),
+clean AS (SELECT s AS start_cell, e AS end_cell, greatest(0, m - (SELECT level FROM lev)) AS mass FROM raw),
+noisy_trips AS (SELECT start_cell, end_cell, mass, mass / (SELECT sum(mass) FROM clean) AS prob FROM clean) """
+
 DRAWN = f""", upto AS (SELECT start_cell, end_cell, prob, sum(prob) OVER (ORDER BY start_cell, end_cell ROWS UNBOUNDED PRECEDING) AS up, sum(prob) OVER () AS al FROM noisy_trips WHERE prob > 0),
 iv AS (SELECT start_cell, end_cell, round((up - prob) / al, 12) AS lo, round(up / al, 12) AS hi FROM upto),
 drawn AS (SELECT d.range AS trace_id, start_cell, end_cell FROM (SELECT range, {uniform('draw', 'range')} AS u FROM range(2000)) d JOIN iv ON u >= lo AND (u < hi OR hi >= 0.999999999999)) """
@@ -106,6 +126,41 @@ BEST = """, fit AS (SELECT start_cell, end_cell, any_value(mean) AS mean, round(
 SELECT start_cell, end_cell, CASE WHEN a <= b AND a <= c THEN 'uniform' WHEN b <= c THEN 'poisson' ELSE 'exponential' END AS family, round(mean, 6) AS p1 FROM fit"""
 
 
+
+def best_by(miss: dict[str, str]) -> str:
+    """The law with the least misfit; ``miss``: its SQL per family over the rows of a pair."""
+    return f""", gaps AS (SELECT *, {', '.join(f"abs(sum(n - {f}) OVER (PARTITION BY start_cell, end_cell ORDER BY len)) AS {f}_gap" for f in miss)} FROM expected),
+fit AS (SELECT start_cell, end_cell, any_value(mean) AS mean, {', '.join(f"coalesce(round({sql}, 9), 0) AS m_{f}" for f, sql in miss.items())} FROM gaps GROUP BY 1, 2)
+SELECT start_cell, end_cell, CASE WHEN m_uniform <= m_poisson AND m_uniform <= m_exponential THEN 'uniform' WHEN m_poisson <= m_exponential THEN 'poisson' ELSE 'exponential' END AS family, round(mean, 6) AS p1 FROM fit"""
+
+
+FAMILIES = ("uniform", "poisson", "exponential")
+BEST_KS = best_by({f: f"max({f}_gap) / nullif(any_value(total), 0)" for f in FAMILIES})
+BEST_LOGLIK = best_by({f: f"-sum(n * ln(greatest({f} / nullif(total, 0), 1e-9)))" for f in FAMILIES})
+MOMENTS = GRID6 + f""", s AS (SELECT start_cell, end_cell, count(*)::DOUBLE AS k, sum(least(n, 32))::DOUBLE AS s FROM trips6 GROUP BY 1, 2)
+SELECT start_cell, end_cell, round(greatest(1, least(32, (s + {laplace(132.0, 'length-s', 'start_cell', 'end_cell')}) / greatest(1, k + {laplace(132.0, 'length-k', 'start_cell', 'end_cell')}))), 6) AS mean FROM s"""
+
+#: Draws of a whole release: as many as the noisy masses sum to.
+RELEASED = TRIPS + """, size AS (SELECT round(sum(mass))::BIGINT AS n FROM noisy_trips WHERE prob > 0),
+upto AS (SELECT start_cell, end_cell, prob, sum(prob) OVER (ORDER BY start_cell, end_cell ROWS UNBOUNDED PRECEDING) AS up, sum(prob) OVER () AS al FROM noisy_trips WHERE prob > 0),
+iv AS (SELECT start_cell, end_cell, round((up - prob) / al, 12) AS lo, round(up / al, 12) AS hi FROM upto) """
+QUOTA = RELEASED + """, share AS (SELECT start_cell, end_cell, round(lo * n)::BIGINT AS a, round(hi * n)::BIGINT AS b FROM iv, size)
+SELECT unnest(range(a, b)) AS trace_id, start_cell, end_cell FROM share WHERE b > a"""
+RELEASE_DRAWS = RELEASED + f""", ids AS (SELECT range, {uniform('draw', 'range')} AS u FROM range(0, (SELECT n FROM size)))
+SELECT range AS trace_id, start_cell, end_cell FROM ids JOIN iv ON u >= lo AND (u < hi OR hi >= 0.999999999999)"""
+
+#: Whether the part of a step inside both slabs of a rectangle is not empty.
+def _slab(a: str, b: str, low: str, high: str) -> tuple[str, str]:
+    inside, d = f"{a} >= {low} AND {a} < {high}", f"nullif({b} - {a}, 0)"
+    return f"coalesce(least(({low} - {a}) / {d}, ({high} - {a}) / {d}), CASE WHEN {inside} THEN 0 ELSE 2 END)", f"CASE WHEN {b} = {a} THEN CASE WHEN {inside} THEN 1 ELSE -1 END ELSE greatest(({low} - {a}) / {d}, ({high} - {a}) / {d}) END"
+
+
+def segment_counts(regions: str) -> str:
+    (a0, a1), (b0, b1) = _slab("x", "nx", "x0", "x1"), _slab("y", "ny", "y0", "y1")
+    return regions + f""", {_DRIFT}, steps AS (SELECT trace_id, x, y, lead(x) OVER w AS nx, lead(y) OVER w AS ny FROM drift_trips WINDOW w AS (PARTITION BY trace_id ORDER BY seq))
+SELECT qid, count(DISTINCT trace_id) AS n FROM steps JOIN regions ON (x >= x0 AND x < x1 AND y >= y0 AND y < y1) OR (nx IS NOT NULL AND greatest({a0}, {b0}, 0.0) <= least({a1}, {b1}, 1.0)) GROUP BY 1"""
+
+
 def _region_uniform(i: int) -> str:
     text = f"'{SEED}|region|' || range::VARCHAR || '-{i}'"
     return f"round((('0x' || substr(md5({text}), 1, 12))::UBIGINT + 0.5) / 281474976710656.0, 9)"
@@ -115,6 +170,7 @@ REGIONS = f"""WITH us AS (SELECT range::INTEGER AS qid, {_region_uniform(1)} AS
 corner AS (SELECT qid, least(least(a, b), 0.95) AS x0, greatest(a, b) AS xm, least(least(c, d), 0.95) AS y0, greatest(c, d) AS ym FROM us),
 regions AS (SELECT qid, x0, greatest(xm, x0 + 0.05) AS x1, y0, greatest(ym, y0 + 0.05) AS y1 FROM corner) """
 
+SEGMENTS = segment_counts(REGIONS)
 QUERY_ERROR = """, hit AS (SELECT qid, count(DISTINCT trace_id) AS a, count(DISTINCT trace_id) FILTER (WHERE trace_id % 2 = 0) AS b FROM drift_trips JOIN regions ON x >= x0 AND x < x1 AND y >= y0 AND y < y1 GROUP BY 1)
 SELECT 'query_error' AS metric, round(avg(abs(coalesce(a, 0) - coalesce(b, 0)) / greatest(coalesce(a, 0), 0.01 * (SELECT count(DISTINCT trace_id) FROM drift_trips))), 6) AS value FROM regions LEFT JOIN hit USING (qid)"""
 
@@ -133,6 +189,10 @@ def jsd(name: str, on: str) -> str:
 SELECT '{name}' AS metric, round(sum({half('x', 'y')} + {half('y', 'x')}), 6) AS value FROM twoway"""
 
 
+#: A cell is written between bars, so a pattern's cells in order match bar by bar.
+GAPPED = PATTERNS + """, mined AS (SELECT pattern FROM supports ORDER BY support DESC, pattern LIMIT 100), told AS (SELECT trace_id, '|' || array_to_string(c, '||') || '|' AS t FROM seqs)
+SELECT pattern, count(*) AS support FROM mined JOIN told ON t LIKE '%|' || replace(pattern, '>', '|%|') || '|%' GROUP BY 1"""
+
 DISTANCES = view("drift_trips") + """, dist AS (SELECT trace_id, round(coalesce(sum(step ORDER BY seq), 0), 9) AS d FROM (SELECT trace_id, seq, sqrt((x - lag(x) OVER w) ** 2 + (y - lag(y) OVER w) ** 2) AS step FROM drift_trips WINDOW w AS (PARTITION BY trace_id ORDER BY seq)) GROUP BY 1),
 hist AS (SELECT trace_id, least(floor(d / ((SELECT max(d) FROM dist) / 20)), 19)::INTEGER AS bucket FROM dist) """
 

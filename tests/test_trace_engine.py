@@ -320,26 +320,31 @@ def test_data_source_samples_a_released_synopsis(spark, syn, tmp_path):
 
 
 def test_tuned_queries_are_whole(spark, sf, drift, monkeypatch):
-    """Registered runs search with 100 + 100 evaluations of up to 100,000 traces; the search itself is replaced here."""
+    """Registered runs search with 100 + 100 evaluations of up to 100,000 traces; the evaluations themselves are replaced here."""
+    from private_traces.operators import lattice_model
     from private_traces.plans import catalog
 
-    asked, sizes = [], []
-
-    def search(objective, explore, guided, seed=42, **more):
-        asked.append((explore, guided))
-        row = (0, "explore", 0.25, 0.25, 0.25, 0.25, 1, 0.1, 0.1, 0.0)
-        return np.full(4, 0.25), [row]
-
-    monkeypatch.setattr(tuning, "minimise", search)
-    plain = tuning.objective_of
-    monkeypatch.setattr(tuning, "objective_of", lambda real, stats, bounds, cfg, metric, n, *a: (sizes.append((real.total, n)), plain(real, stats, bounds, cfg, metric, n, *a))[1])
-    monkeypatch.setattr(experiments, "runs", lambda *a, **k: [("trip_error", 1, 0.5)])
+    guided, evaluated = [], []
+
+    class Told(lattice_model.Bench):
+        def run(self, asked, names=lattice_model.FOUR):
+            evaluated.extend(asked)
+            return [{m: float(w[2]) for m in names} for _, _, w, _, _ in asked]
+
+        def guide(self, asked):
+            guided.extend(asked)
+            return [(points[0], [(i, "explore", *map(float, w), 1, e, e, 0.0) for i, (w, e) in enumerate(zip(points, known))]) for _, _, points, known, *_ in asked]
+
+    monkeypatch.setattr(lattice_model, "Bench", Told)
+    rows = {name: catalog.QUERIES[name](spark, sf).count() for name in ("tuned_history", "convergence_run", "comparison_table", "weight_table")}
+    sizes = {"drift_trips": drift.count(), "subset_trips": views.subset_trips(spark, sf).count()}
+    assert {(len(points), len(known), steps, n == sizes[v]) for v, _, points, known, steps, _, n in guided} == {(100, 100, 100, True)}
+    assert len(guided) == 1 + 1 + 2 * 3 * 4 + 3 * 4 and rows == {"tuned_history": 100, "convergence_run": 100, "comparison_table": 2 * 3 * 4 * (4 * 5 + 1), "weight_table": 12}
+    assert len(evaluated) == 100 * (1 + 1 + 6 + 3) + 6 * 200 * 2 + 24 * 4 * 5 and {n for *_, n in evaluated} <= {*sizes.values(), None}
+    steps = []
+    monkeypatch.setattr(tuning, "minimise", lambda run, explore, guided, seed, known=None, **more: (steps.append((explore, guided, len(known[0]))), (np.full(4, 0.25), [(0, "explore", 0.25, 0.25, 0.25, 0.25, 1, 0.1, 0.1, 0.0)]))[1])
     made = catalog.QUERIES["tuned_release"](spark, sf).select("trace_id").distinct().count()
-    assert abs(made - drift.count()) < 0.2 * drift.count()
-    for name in ("tuned_history", "convergence_run", "comparison_table", "weight_table"):
-        assert catalog.QUERIES[name](spark, sf).count() > 0
-    assert set(asked) == {(100, 100)} and len(asked) == 3 + 2 * 3 * 4 * 2 + 3 * 4
-    assert {n for _, n in sizes} == {100_000} and {total for total, _ in sizes} == {drift.count(), views.subset_trips(spark, sf).count()}
+    assert abs(made - drift.count()) < 0.2 * drift.count() and steps == [(100, 100, 100)]
 
 
 def test_generation_queries_make_a_full_size_table(spark, sf, drift):
