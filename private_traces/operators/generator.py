@@ -13,6 +13,8 @@ from private_traces.functions.noise import keyed_uniform
 from .synopsis import FAMILIES, ReleasedSynopsis, law_weights
 
 BUCKETS = 4096
+DENSE = 350  # cells up to which a task holds the chances of all pairs: some 30 MB for 32 moves
+WORK = 4_000_000  # numbers of a slice of walks
 
 
 def cdf_intervals(trips: DataFrame, by: list[str] | None = None) -> DataFrame:
@@ -132,6 +134,39 @@ def bridge_paths(p: np.ndarray, end: int, start: np.ndarray, n: np.ndarray, u: n
     return out, jump
 
 
+def bridge_rows(p: np.ndarray, power: np.ndarray, start: np.ndarray, end: np.ndarray, n: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``bridge_paths`` for rows of any ends: ``power[r]`` holds the chances of all pairs over r moves."""
+    most = int(n.max())
+    free = np.cumsum(p, axis=1)
+    out = np.full((len(start), most), -1, np.int64)
+    out[:, 0] = here = start.copy()
+    jump = power[n - 1, start, end] <= 0
+    for k in range(1, most):
+        on = np.flatnonzero(n > k)
+        left = n[on] - 1 - k
+        cum = np.cumsum(p[here[on]] * power[left, :, end[on]], axis=1)
+        tied = ~jump[on] & (cum[:, -1] > 0)
+        cum[~tied] = free[here[on[~tied]]]
+        here[on] = np.minimum((cum <= (u[on, k - 1] * cum[:, -1])[:, None]).sum(axis=1), len(p) - 1)
+        here[on[left == 0]] = end[on[left == 0]]
+        out[on, k] = here[on]
+    return out, jump
+
+
+def _walk_rows(batches, shared, seed: int):
+    p = shared.value
+    power = np.eye(len(p))[None]
+    for batch in batches:
+        for at in range(0, batch.num_rows, max(1, WORK // len(p))):
+            part = batch.slice(at, max(1, WORK // len(p)))
+            ids, start, end, n = (part.column(c).to_numpy().astype(np.int64) for c in ("trace_id", "start_cell", "end_cell", "n"))
+            while len(power) < n.max():
+                power = np.concatenate([power, (p @ power[-1])[None]])
+            out, jump = bridge_rows(p, power, start, end, n, _uniforms(seed, ids, int(n.max())))
+            cells = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)], pa.int32()), pa.array(out[out >= 0], pa.int32()))
+            yield pa.RecordBatch.from_arrays([part.column("trace_id"), pa.array(n, pa.int32()), cells, pa.array(jump)], ["trace_id", "n", "cells", "jumped"])
+
+
 def _walk(batches, shared, seed: int, mode: str):
     p = shared.value
     for batch in batches:
@@ -176,17 +211,25 @@ def _rejected(p: np.ndarray, end: int, start: np.ndarray, n: np.ndarray, seed: i
 def walk(trips: DataFrame, mobility: DataFrame, size: int, seed: int, mode: str = "bridge", source: str = "md5") -> DataFrame:
     """``trace_id, n, cells`` (``jumped`` too for the bridge): walks pinned at both ends.
 
-    Rows are dealt by end cell and a salt, so a popular end is shared by many tasks; each task makes the backward
-    vectors of the ends it meets once per batch."""
+    Up to ``DENSE`` cells a task holds the chances of all pairs for every number of moves, and rows stay where they are. On larger
+    grids, and where free walks are tried first, rows are dealt by end cell and a salt, so a popular end is shared by many tasks, and
+    each task makes the backward vectors of the ends it meets."""
     p = mobility_arrays(mobility, size)
     if mode == "forced_end":
         return walk_free_end(trips, p, seed, source)
     shared = trips.sparkSession.sparkContext.broadcast(p)
+    if mode == "bridge" and size <= DENSE:
+        return trips.select("trace_id", "start_cell", "end_cell", "n").mapInArrow(lambda b: _walk_rows(b, shared, seed), "trace_id long, n int, cells array<int>, jumped boolean")
     salt = F.pmod(F.xxhash64("trace_id"), F.lit(16))
     dealt = trips.select("trace_id", "start_cell", "end_cell", "n").repartition(F.col("end_cell"), salt)
     return dealt.mapInArrow(lambda b: _walk(b, shared, seed, mode), "trace_id long, n int, cells array<int>, jumped boolean")
 
 
+def jumps(walks: DataFrame) -> DataFrame:
+    """``n, traces, jumped``: per number of readings, how many traces could not reach their end in time and jump to it."""
+    return walks.groupBy("n").agg(F.count("*").alias("traces"), F.sum(F.col("jumped").cast("long")).alias("jumped"))
+
+
 def place_points(walks: DataFrame, cells: DataFrame, seed: int, step_seconds: float | None = None, start: str = "2024-01-01 00:00:00", source: str = "md5") -> DataFrame:
     """``trace_id, seq, x, y, ts``: a uniform point of each cell's rectangle; a fixed sampling step where one is given."""
     long = walks.select("trace_id", F.posexplode("cells").alias("pos", "cell")).join(F.broadcast(cells), "cell")
@@ -213,11 +256,12 @@ def chained_trips(syn: ReleasedSynopsis, n: int, k: int, seed: int) -> DataFrame
     """``trace_id, trip, start_cell, end_cell, n``: k trips each; a trip starts where the one before ended."""
     cfg = syn.config
     now = draw_trips(syn.trips, n, seed, source=cfg.noise_source).withColumn("trip", F.lit(0))
-    per_start = cdf_intervals(syn.trips, ["start_cell"])
+    bucket = lambda u: F.least(F.lit(15), F.floor(u * 16)).cast("int")
+    per_start = cdf_intervals(syn.trips, ["start_cell"]).withColumn("b", F.explode(F.sequence(bucket(F.col("lo")), bucket(F.col("hi")))))
     done = now
     for j in range(1, k):
         u = now.select("trace_id", F.col("end_cell").alias("start_cell"), keyed_uniform(seed, f"chain{j}", "trace_id", source=cfg.noise_source).alias("u"))
-        met = u.join(F.broadcast(per_start), "start_cell", "left").where("lo is null or (u >= lo and u < hi) or (hi >= 0.999999999 and u >= hi)")
+        met = u.withColumn("b", bucket(F.col("u"))).join(F.broadcast(per_start), ["start_cell", "b"], "left").where("lo is null or (u >= lo and u < hi) or (hi >= 0.999999999 and u >= hi)")
         now = met.groupBy("trace_id", "start_cell").agg(F.min("end_cell").alias("e")).select("trace_id", "start_cell", F.coalesce("e", "start_cell").alias("end_cell"), F.lit(j).alias("trip"))
         done = done.unionByName(now)
     ided = done.withColumn("trace", F.col("trace_id")).withColumn("trace_id", F.col("trace_id") * k + F.col("trip"))

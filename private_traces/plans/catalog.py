@@ -312,6 +312,13 @@ for _mode in ("bridge", "forced_end", "reject"):
     QUERIES[f"walk_{_mode}"] = _walks(_mode)
 
 
+@query()
+def walk_jumps(spark, sf_dir):
+    """How many traces of a release could not reach their end in time."""
+    syn, trips = _drawn(spark, sf_dir)
+    return generator.jumps(generator.walk(trips, syn.mobility, syn.grid.size, CFG.seed))
+
+
 @query()
 def synth_points(spark, sf_dir):
     syn, trips = _drawn(spark, sf_dir)

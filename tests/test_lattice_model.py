@@ -85,3 +85,26 @@ def test_what_arrays_cannot_do_is_refused(sides):
             lattice_model.synopsis(sides[2], SynthesisConfig(**changes), QUARTERS, np.random.default_rng(0))
         assert not tuning.in_arrays(SynthesisConfig(**changes))
     assert tuning.in_arrays(SynthesisConfig()) and not tuning.in_arrays(SynthesisConfig(metric="speed_error"))
+
+
+def test_walks_by_rows_are_those_by_end():
+    rng = np.random.default_rng(2)
+    p = rng.dirichlet(np.full(12, 0.3), 12)
+    p[3:6, 6:] = 0
+    p[3:6] /= p[3:6].sum(axis=1, keepdims=True)
+    start, end, n = rng.integers(0, 12, 500), rng.integers(0, 12, 500), rng.integers(1, 9, 500)
+    end = np.where(n == 1, start, end)
+    u = rng.random((500, 9))
+    power = [np.eye(12)]
+    for _ in range(8):
+        power.append(p @ power[-1])
+    rows, jump = generator.bridge_rows(p, np.stack(power), start, end, n, u)
+    for e in range(12):
+        own = np.flatnonzero(end == e)
+        out, jumped = generator.bridge_paths(p, e, start[own], n[own], u[own])
+        assert (out == rows[own][:, : out.shape[1]]).all() and (jumped == jump[own]).all()
+
+
+def test_jumps_are_counted(spark):
+    walks = spark.createDataFrame([(1, 2, [0, 1], True), (2, 2, [0, 1], False), (3, 1, [0], False)], "trace_id long, n int, cells array<int>, jumped boolean")
+    assert {(r.n, r.traces, r.jumped) for r in generator.jumps(walks).collect()} == {(2, 2, 1), (1, 1, 0)}
