@@ -215,6 +215,17 @@ def distance_histogram(d: DataFrame, longest: float, buckets: int = 20, overflow
     return d.groupBy(b.cast("int").alias("bucket")).agg(F.count("*").alias("n"))
 
 
+def distance_quantiles(traces: DataFrame, shares=(0.25, 0.5, 0.75, 0.95), accuracy: int = 10_000) -> DataFrame:
+    """``share, d``: approximate quantiles of the travel distance, by a mergeable sketch."""
+    held = distances(traces).agg(F.percentile_approx("d", list(shares), accuracy).alias("q"))
+    return held.select(F.inline(F.arrays_zip(F.array(*[F.lit(float(s)) for s in shares]).alias("share"), F.col("q").alias("d"))))
+
+
+def distinct_patterns(paths: DataFrame, low: int = 2, high: int = 8, rsd: float = 0.02) -> DataFrame:
+    """``n``: about how many patterns occur, by a sketch of fixed size."""
+    return ngrams(paths, low, high).select(F.explode("g").alias("pattern")).agg(F.approx_count_distinct("pattern", rsd).alias("n"))
+
+
 def travel_distance_error(real: DataFrame, synth: DataFrame, buckets: int = 20, base: float = 2.0, overflow: str = "drop") -> DataFrame:
     a = distances(real)
     longest = a.agg(F.coalesce(F.max("d"), F.lit(0.0)).alias("m")).first().m

@@ -55,6 +55,34 @@ def write_paths(traces: DataFrame, path: str, buckets: int = 64) -> None:
     traces.withColumn("bucket", F.pmod(F.xxhash64("trace_id"), F.lit(buckets)).cast("int")).repartition(buckets, "bucket").write.partitionBy("bucket").parquet(path)
 
 
+def bucketed_table(traces: DataFrame, name: str, buckets: int = 64) -> None:
+    """Nested traces as a table bucketed and sorted by the id: joins and groups on it need no shuffle."""
+    traces.write.bucketBy(buckets, "trace_id").sortBy("trace_id").mode("overwrite").saveAsTable(name)
+
+
+def append_batches(stream: DataFrame, path: str, checkpoint: str):
+    """A stream as Parquet, a folder per micro-batch: a batch that is run again replaces its own folder."""
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return stream.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint)
+
+
+STRATEGIES = {"broadcast": "broadcast", "merge": "merge", "shuffle_hash": "shuffle_hash", "nested_loop": "shuffle_replicate_nl"}
+
+
+def join_by(left: DataFrame, right: DataFrame, on, how: str = "inner", strategy: str | None = None, most: int = 1_000_000) -> DataFrame:
+    """A join by the named strategy, or the optimizer's. A side is only broadcast within ``most`` rows, counted first."""
+    if strategy is None:
+        return left.join(right, on, how)
+    if strategy not in STRATEGIES:
+        raise ValueError(f"unknown strategy: {strategy}")
+    if strategy == "broadcast" and right.limit(most + 1).count() > most:
+        raise ValueError(f"over {most} rows to broadcast")
+    return left.join(right.hint(STRATEGIES[strategy]), on, how)
+
+
 def export(traces: DataFrame, path: str, form: str = "parquet") -> None:
     """A synthetic set as Parquet, CSV or JSON in long form."""
     long = traces.select("trace_id", F.inline("path"))

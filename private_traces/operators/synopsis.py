@@ -97,6 +97,14 @@ def moment_parameters(hist: DataFrame, pairs: DataFrame, epsilon: float, max_len
     return dense.select(*keys, F.greatest(F.lit(1.0), F.least(F.lit(float(max_len)), s / k)).alias("mean"))
 
 
+def range_parameters(noisy: DataFrame, max_len: int) -> DataFrame:
+    """``start_cell, end_cell, mean``: the middle of the shortest and longest length whose noisy count reaches 1, which is what a
+    uniform law over the range needs; post-processing of the noisy histogram, with bounds 1..max_len where none does."""
+    held = F.col("n") >= 1
+    low, high = F.coalesce(F.min(F.when(held, F.col("len"))), F.lit(1)), F.coalesce(F.max(F.when(held, F.col("len"))), F.lit(max_len))
+    return noisy.groupBy("start_cell", "end_cell").agg(((low + high) / 2).alias("mean"))
+
+
 def candidates(hist: DataFrame, max_len: int, means: DataFrame | None = None) -> DataFrame:
     """``start_cell, end_cell, len, n, total, mean, <family> expected`` for the three laws."""
     keys = ["start_cell", "end_cell"]
@@ -141,7 +149,7 @@ def length_laws(hist: DataFrame, trips: DataFrame, epsilon: float | None, cfg: S
         fitted = candidates(noisy, cfg.max_len, moment_parameters(hist, pairs, rest / 2, cfg.max_len, seed, cfg.noise_source))
     else:
         noisy = noisy_lengths(hist, pairs, rest, cfg.max_len, seed, cfg.noise_source)
-        fitted = candidates(noisy, cfg.max_len)
+        fitted = candidates(noisy, cfg.max_len, range_parameters(noisy, cfg.max_len) if cfg.params_from == "range" else None)
     if cfg.fit_on == "true":  # the choice of the law then reads the exact histogram and leaks
         exact = noisy_lengths(hist, pairs, None, cfg.max_len, seed)
         fitted = candidates(exact, cfg.max_len, fitted.groupBy("start_cell", "end_cell").agg(F.first("mean").alias("mean")))

@@ -32,6 +32,54 @@ def stream_sessions(events: DataFrame, gap: str = "6 hours", late: str = "1 hour
     return grouped.agg(F.count("*").alias("n"), F.min("ts").alias("first_ts"), F.max("ts").alias("last_ts")).select("user_id", "first_ts", "last_ts", "n")
 
 
+TRIP = "user_id bigint, first_ts timestamp, last_ts timestamp, n bigint, x0 double, y0 double, x1 double, y1 double, late bigint"
+HELD = "first double, last double, n long, x0 double, y0 double, x1 double, y1 double, late long"
+
+
+def stream_trips(events: DataFrame, gap_seconds: float = 6 * 3600, late: str = "1 hour") -> DataFrame:
+    """Trips built reading by reading: a user's open trip is the state, and it ends when the next reading comes ``gap_seconds``
+    later or the watermark is that far past its last one. ``late``: readings of the user so far that were older than the open
+    trip's last one by more than the gap, which join no trip. The state is one fixed-size row a user."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def step(key, batches, state: GroupState):
+        (user,) = key
+        held = list(state.get) if state.exists else None
+        out = []
+
+        def done(h):
+            first, last = (pd.Timestamp(round(x * 1e6), unit="us", tz="UTC") for x in h[:2])
+            out.append((user, first, last, int(h[2]), *h[3:7], int(h[7])))
+
+        if state.hasTimedOut:
+            done(held)
+            state.remove()
+        else:
+            rows = pd.concat(list(batches)).sort_values(["at", "event_id"])
+            for at, x, y in zip(rows["at"], rows["x"], rows["y"]):
+                if held is not None and at < held[0] - gap_seconds:
+                    held[7] += 1
+                elif held is not None and at < held[1] + gap_seconds:
+                    held[2] += 1
+                    if at >= held[1]:
+                        held[1], held[5], held[6] = at, x, y
+                    elif at < held[0]:
+                        held[0], held[3], held[4] = at, x, y
+                else:
+                    if held is not None:
+                        done(held)
+                    held = [at, at, 1, x, y, x, y, held[7] if held is not None else 0]
+            state.update(tuple(held))
+            state.setTimeoutTimestamp(max(int((held[1] + gap_seconds) * 1000), state.getCurrentWatermarkMs() + 1))
+        if out:
+            yield pd.DataFrame(out, columns=["user_id", "first_ts", "last_ts", "n", "x0", "y0", "x1", "y1", "late"])
+
+    t = F.col("ts").cast("timestamp")
+    rows = events.where("value is not null").select("user_id", "event_id", t.alias("t"), (F.unix_micros(t) / 1e6).alias("at"), F.col("value").alias("x"), F.coalesce(F.get_json_object("props", "$.k").cast("double"), F.lit(0.0)).alias("y"))
+    return rows.withWatermark("t", late).groupBy("user_id").applyInPandasWithState(step, TRIP, HELD, "append", GroupStateTimeout.EventTimeTimeout)
+
+
 def density_windows(events: DataFrame, window: str = "1 day", slide: str | None = None, late: str = "1 hour", bins: int = 6) -> DataFrame:
     """``start, cell, n``: readings per cell and (tumbling or sliding) window."""
     from private_traces.functions.lattice import uniform_cell
