@@ -344,7 +344,8 @@ def test_tuned_queries_are_whole(spark, sf, drift, monkeypatch):
     steps = []
     monkeypatch.setattr(tuning, "minimise", lambda run, explore, guided, seed, known=None, **more: (steps.append((explore, guided, len(known[0]))), (np.full(4, 0.25), [(0, "explore", 0.25, 0.25, 0.25, 0.25, 1, 0.1, 0.1, 0.0)]))[1])
     made = catalog.QUERIES["tuned_release"](spark, sf).select("trace_id").distinct().count()
-    assert abs(made - drift.count()) < 0.2 * drift.count() and steps == [(100, 100, 100)]
+    cells = 110  # the final release draws noise of its own: the noisy total is a sum over pairs of cells with scale 4
+    assert abs(made - drift.count()) < 6 * 4 * 2**0.5 * cells and steps == [(100, 100, 100)]
 
 
 def test_generation_queries_make_a_full_size_table(spark, sf, drift):
