@@ -108,3 +108,35 @@ def test_walks_by_rows_are_those_by_end():
 def test_jumps_are_counted(spark):
     walks = spark.createDataFrame([(1, 2, [0, 1], True), (2, 2, [0, 1], False), (3, 1, [0], False)], "trace_id long, n int, cells array<int>, jumped boolean")
     assert {(r.n, r.traces, r.jumped) for r in generator.jumps(walks).collect()} == {(2, 2, 1), (1, 1, 0)}
+
+
+def test_halving_and_bins_find_what_a_full_look_finds():
+    rng = np.random.default_rng(4)
+    for size in (1, 2, 5, 8, 77):
+        cum = np.cumsum(rng.random((30, size)) * (rng.random((30, size)) < 0.5), axis=1)
+        cum = cum[cum[:, -1] > 0]
+        row, u = rng.integers(0, len(cum), 3000), rng.random(3000)
+        assert (lattice_model._landed(cum, row, u) == np.minimum((cum[row] <= (u * cum[row, -1])[:, None]).sum(axis=1), size - 1)).all()
+    low = np.round(rng.random(200) * 0.9, 3)
+    axis = lattice_model.Axis(low, low + 0.05, bins=64)
+    v = np.r_[rng.random(5000) * 1.4 - 0.2, axis.edges]
+    bits = np.unpackbits(np.ascontiguousarray(axis.words[:, axis.interval(v)].T).view(np.uint8), axis=1)[:, :200]
+    assert (bits == ((low <= v[:, None]) & (v[:, None] < low + 0.05))).all()
+
+
+def test_equal_requests_are_run_once():
+    class Asked(Exception):
+        pass
+
+    class Session:
+        sparkContext = property(lambda self: self)
+        defaultParallelism = 8
+        broadcast = staticmethod(lambda value: value)
+
+        def range(self, start, end, *_):
+            raise Asked(end)
+
+    cfg = SynthesisConfig(seed=1)
+    with pytest.raises(Asked) as asked:
+        lattice_model.Bench(Session(), {}).run([("a", cfg.but(metric=m), QUARTERS, 7, None) for m in lattice_model.FOUR] + [("a", cfg, QUARTERS, 8, None)])
+    assert asked.value.args == (2,)
