@@ -140,3 +140,19 @@ def test_equal_requests_are_run_once():
     with pytest.raises(Asked) as asked:
         lattice_model.Bench(Session(), {}).run([("a", cfg.but(metric=m), QUARTERS, 7, None) for m in lattice_model.FOUR] + [("a", cfg, QUARTERS, 8, None)])
     assert asked.value.args == (2,)
+
+
+def test_a_full_size_run_holds_a_block_of_traces_at_a_time(monkeypatch):
+    rng, cells = np.random.default_rng(8), 36
+    model = lattice_model.Model(lattice_model.uniform_grid(UNIT, 6, 6), rng.dirichlet(np.ones(cells), cells), np.full(cells**2, cells**-2.0), np.full(cells**2, 0.2), np.arange(cells**2), np.tile([0.5, 1.0], (cells**2, 1)))
+    none = np.zeros(0, np.int64)
+    t = lattice_model.Tables(UNIT, 6, 2, np.ones(36), (none,) * 3, (none,) * 4, np.array([[0.0, 1.0, 0.0, 1.0]]), np.array([250.0]), [(0, 1)], np.ones(1), np.ones((36, 36)), np.ones(20), 1.5, 250)
+    held, walked, parts = [], lattice_model.walked, []
+    monkeypatch.setattr(lattice_model, "synopsis", lambda *_: model)
+    monkeypatch.setattr(lattice_model, "walked", lambda m, n, r: held.append(n) or walked(m, n, r))
+    monkeypatch.setattr(lattice_model, "BLOCK", 100)
+    monkeypatch.setattr(lattice_model, "PART", 30)
+    add = lattice_model.Measure.add
+    monkeypatch.setattr(lattice_model.Measure, "add", lambda self, xs, ys: parts.append(len(xs[0])) or add(self, xs, ys))
+    got = lattice_model.one_run(t, SynthesisConfig(seed=1), QUARTERS, 1, 250)
+    assert held == [100, 100, 50] and sum(parts) == 250 and max(parts) == 30 and got["query_error"] == 0
