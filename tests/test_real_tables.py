@@ -64,3 +64,34 @@ def test_bulk_metrics_takes_its_real_side_in_one_pass(spark, sf, monkeypatch):
     with pytest.raises(Done) as done:
         catalog.QUERIES["bulk_metrics"](spark, sf)
     assert done.value.args == (views.drift_trips(spark, sf).count(),)
+
+
+def test_a_guide_and_halves_find_what_a_full_look_finds():
+    rng = np.random.default_rng(6)
+    for size in (1, 3, 77, 300):
+        cum = np.cumsum(rng.random((40, size)) * (rng.random((40, size)) < 0.3), axis=1)
+        cum = cum[cum[:, -1] > 0]
+        cum /= cum[:, -1:].copy()
+        cum[0] = np.round(cum[0] * lattice_model.GUIDE) / lattice_model.GUIDE  # steps where a guide begins
+        row, u = rng.integers(0, len(cum), 4000), np.r_[rng.random(3872), np.arange(128) / 128]
+        assert (lattice_model._led(cum, lattice_model._guide(cum), row, u) == (cum[row] <= u[:, None]).sum(axis=1)).all()
+    for n in (0, 1, 64, 65, 1000, 4097):
+        words = rng.integers(0, 2**64, (n, 4), dtype=np.uint64)
+        assert (lattice_model._ones(words) == np.unpackbits(words.view(np.uint8), axis=1).sum(axis=0)).all()
+
+
+def test_later_blocks_of_a_run_take_kept_tables_and_follow_the_law():
+    rng, size, n = np.random.default_rng(7), 9, 60_000
+    p = rng.dirichlet(np.full(size, 0.5), size)
+    pairs = np.arange(size**2)
+    grid = lattice_model.uniform_grid(UNIT, 3, 3)
+    model = lattice_model.Model(grid, p, np.full(size**2, size**-2.0), np.full(size**2, 1.0), pairs, np.tile([0.0, 0.0, 0.0, 1.0], (size**2, 1)))
+    law = p[:, :, None, None] * p[None, :, :, None] * p[None, None]  # start, two between, end
+    law = law / law.sum(axis=(1, 2), keepdims=True) / size**2
+    for kept in (0, 1, 2):
+        assert [seen for _, _, seen in model.held.get("tables", {}).values()] == [kept] * 2 * (kept > 0)
+        length, cells, jumps = lattice_model.walked(model, n, rng)
+        assert jumps == 0 and (length == 4).all()
+        code = cells[3] * size**3 + cells[2] * size**2 + cells[1] * size + cells[0]
+        found, want = np.bincount(code, minlength=size**4), law.ravel() * n
+        assert (found[want == 0] == 0).all() and (np.abs(found - want) < 6 * np.sqrt(want) + 6).all()
