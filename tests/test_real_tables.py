@@ -95,3 +95,13 @@ def test_later_blocks_of_a_run_take_kept_tables_and_follow_the_law():
         code = cells[3] * size**3 + cells[2] * size**2 + cells[1] * size + cells[0]
         found, want = np.bincount(code, minlength=size**4), law.ravel() * n
         assert (found[want == 0] == 0).all() and (np.abs(found - want) < 6 * np.sqrt(want) + 6).all()
+
+
+def test_halves_are_rounded_as_round_does(spark, sf):
+    rng = np.random.default_rng(9)
+    odd = [0.0, -0.0, 0.5, -0.5, 1.5, -2.5, 0.49999999999999994, -0.49999999999999994, 4503599627370495.5, 1e15, 149999.99999999997, 150000.00000000003]
+    v = [*odd, *(rng.integers(-400_000, 400_000, 2000) / 2).tolist(), *(rng.normal(size=2000) * 1e5).tolist()]
+    li = spark.read.parquet(f"{sf}/lineitem.parquet").select((F.lit(3000000) * (F.col("l_discount") - 0.05)).alias("v"))
+    frame = spark.createDataFrame([(float(x),) for x in v], "v double").union(li)
+    assert frame.where(~views.half_up(F.col("v")).eqNullSafe(F.round("v").cast("bigint"))).count() == 0
+    assert "round(" not in views.drift_steps(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
